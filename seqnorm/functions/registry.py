@@ -2,42 +2,32 @@
 
 from __future__ import annotations
 
-from collections.abc import Iterator
-
 import numpy as np
 import pandas as pd
 from pyspark.sql import SparkSession
 from pyspark.sql.functions import pandas_udf, udtf
-from pyspark.sql.udtf import AnalyzeArgument, AnalyzeResult, OrderingColumn, PartitioningColumn
 
 from seqnorm.functions import distance as D
+from seqnorm.functions.table_functions import ContiguousClusters, LivingDetect, SlidingWindows
 from seqnorm.session import ship
 
 
 def _pairwise(fn):  # noqa: ANN001, ANN202
-    @pandas_udf("double")
     def run(a: pd.Series, b: pd.Series) -> pd.Series:
         return pd.Series([None if x is None or y is None else fn(np.asarray(x, float), np.asarray(y, float)) for x, y in zip(a, b)])
 
-    return run
-
+    return pandas_udf(run, "double")
 
-zm_dist, zn_dist, sbd_dist, dtw_dist = (_pairwise(f) for f in (D.zm, D.zn, D.sbd, D.dtw))
-min_place = _pairwise(lambda p, w: D.min_place(p, w)[0])
 
-
-@pandas_udf("double")
 def phi(d: pd.Series, tau: pd.Series, eta: pd.Series) -> pd.Series:
     return pd.Series(np.where(d <= tau, 1.0, np.exp(-eta * (d - tau).clip(lower=0))))
 
 
-@pandas_udf("array<double>")
-def centroid(xs: pd.Series) -> list:
+def centroid(xs: pd.Series) -> list[float]:
     """Pointwise mean of centred arrays (an aggregate)."""
     return D.prepare(np.stack(xs.to_numpy()).astype(float), "zm").mean(0).tolist()
 
 
-@pandas_udf("double")
 def auc(score: pd.Series, y: pd.Series) -> float:
     """AUC of a group (an aggregate); for groups that fit a task."""
     r = score.rank().to_numpy()
@@ -46,85 +36,13 @@ def auc(score: pd.Series, y: pd.Series) -> float:
     return float((r[pos].sum() - p * (p + 1) / 2) / (p * n)) if p and n else float("nan")
 
 
-class LivingDetect:
-    """living_detect(TABLE(points) PARTITION BY series_id ORDER BY pos, ell): scores of a series by online detection."""
-
-    @staticmethod
-    def analyze(t: AnalyzeArgument, ell: AnalyzeArgument) -> AnalyzeResult:
-        from pyspark.sql.types import StructType
-
-        schema = StructType().add("series_id", "string").add("start", "long").add("score", "double").add("no_active", "boolean")
-        return AnalyzeResult(schema=schema, partitionBy=[PartitioningColumn("series_id")], orderBy=[OrderingColumn("pos")])
-
-    def __init__(self):
-        self.rows: list[tuple[int, float]] = []
-        self.series, self.ell = None, 50
-
-    def eval(self, t, ell: int) -> None:  # noqa: ANN001
-        self.series, self.ell = t["series_id"], ell
-        self.rows.append((t["pos"], t["x"]))
-
-    def terminate(self) -> Iterator[tuple]:
-        from seqnorm.operators.living import Params, detect_series, fit_series
-
-        if self.rows:
-            x, params = np.array([r[1] for r in self.rows], float), Params(ell=self.ell)
-            model = fit_series(x[: max(params.ell_m, len(x) // 5)], params)
-            found = detect_series(x, model, params)
-            for i in range(len(found.score)):
-                yield self.series, self.rows[0][0] + i, float(found.score[i]), bool(found.no_active[i])
-
-
-class SlidingWindows:
-    """sliding_windows(TABLE(points) PARTITION BY series_id ORDER BY pos, ell)."""
-
-    @staticmethod
-    def analyze(t: AnalyzeArgument, ell: AnalyzeArgument) -> AnalyzeResult:
-        from pyspark.sql.types import ArrayType, DoubleType, StructType
-
-        schema = StructType().add("series_id", "string").add("start", "long").add("xs", ArrayType(DoubleType()))
-        return AnalyzeResult(schema=schema, partitionBy=[PartitioningColumn("series_id")], orderBy=[OrderingColumn("pos")])
-
-    def __init__(self):
-        self.held: list[float] = []
-
-    def eval(self, t, ell: int) -> Iterator[tuple]:  # noqa: ANN001
-        self.held.append(float(t["x"]))
-        if len(self.held) > ell:
-            self.held.pop(0)
-        if len(self.held) == ell:
-            yield t["series_id"], t["pos"] - ell + 1, list(self.held)
-
-
-class ContiguousClusters:
-    """contiguous_clusters(TABLE(segments) PARTITION BY series_id ORDER BY seg)."""
-
-    @staticmethod
-    def analyze(t: AnalyzeArgument) -> AnalyzeResult:
-        from pyspark.sql.types import StructType
-
-        schema = StructType().add("series_id", "string").add("cluster_id", "int").add("seg", "int")
-        return AnalyzeResult(schema=schema, partitionBy=[PartitioningColumn("series_id")], orderBy=[OrderingColumn("seg")])
-
-    def __init__(self):
-        self.rows: list[tuple[str, int, list[float]]] = []
-
-    def eval(self, t) -> None:  # noqa: ANN001
-        self.rows.append((t["series_id"], t["seg"], t["xs"]))
-
-    def terminate(self) -> Iterator[tuple]:
-        from seqnorm.operators.contig import cluster
-
-        if self.rows:
-            _, found = cluster(D.prepare(np.array([r[2] for r in self.rows], float), "zm"))
-            for k, members in enumerate(found):
-                for i in members:
-                    yield self.rows[i][0], k, self.rows[i][1]
-
-
 def register(spark: SparkSession) -> None:
     ship(spark)
-    for name, f in {"zm_dist": zm_dist, "zn_dist": zn_dist, "sbd_dist": sbd_dist, "dtw_dist": dtw_dist, "min_place": min_place, "phi": phi, "centroid": centroid, "auc": auc}.items():
-        spark.udf.register(name, f)
+    named = {"zm_dist": D.zm, "zn_dist": D.zn, "sbd_dist": D.sbd, "dtw_dist": D.dtw, "min_place": lambda p, w: D.min_place(p, w)[0]}
+    for name, fn in named.items():
+        spark.udf.register(name, _pairwise(fn))
+    spark.udf.register("phi", pandas_udf(phi, "double"))
+    spark.udf.register("centroid", pandas_udf(centroid, "array<double>"))
+    spark.udf.register("auc", pandas_udf(auc, "double"))
     for name, cls in {"living_detect": LivingDetect, "sliding_windows": SlidingWindows, "contiguous_clusters": ContiguousClusters}.items():
         spark.udtf.register(name, udtf(cls))

@@ -118,7 +118,7 @@ def in_blocks(points: DataFrame, patterns: DataFrame, params: Params = Params(),
         own = start // block == g["block_id"].iloc[0]
         return pd.DataFrame({"series_id": g["series_id"].iloc[0], "start": start[own], "score": score[own], "nearest": nearest[own].astype("int32"), "no_active": none[own]})
 
-    blocks = cells.select("series_id", "block_id").distinct()
+    blocks = cells.select(F.col("series_id").alias("series_id"), F.col("block_id").alias("block_id")).distinct()
     carried = blocks.join(patterns, "series_id")
     schema = "series_id string, start bigint, score double, nearest int, no_active boolean"
     return cells.groupBy("series_id", "block_id").cogroup(carried.groupBy("series_id", "block_id")).applyInPandas(run, schema)
