@@ -143,6 +143,8 @@ class Store:
     def read(self, version: int | None = None) -> DataFrame:
         """The rows of a version."""
         names = [r[0] for r in self.manifest(version).select("file").collect()]
+        if not names:  # files without rows are in no manifest, but hold the columns
+            return self.spark.read.option("recursiveFileLookup", "true").parquet(f"{self.path}/shards").limit(0)
         return self.spark.read.parquet(*names)
 
     def placement(self, key: str = "doc_id", version: int | None = None) -> DataFrame:
