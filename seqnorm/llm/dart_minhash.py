@@ -7,8 +7,9 @@ with many shingles costs hardly more than one hash for each, as most of its regi
 
 Bands of coordinates are joined; candidates are checked on the texts; links make classes.  The members of a band's
 bucket are compared with its smallest member only, which is enough where these comparisons put them into one class.
-Buckets that still hold several classes are compared in blocks, class against class, by sketches, and what passes is
-checked on the texts too, so that no link between classes is lost to a hot bucket.
+Buckets that still hold several classes are compared in blocks: pairs of different classes whose sketches are alike are
+checked on their texts then and there, once for each pair, and only links come out.  So no link between classes is lost
+to a hot bucket, and no pair that isn't a link is ever a row.
 """
 
 from __future__ import annotations
@@ -29,7 +30,7 @@ SIMILARITY = 0.8
 BANDS, ROWS = 40, 6
 COORDINATES = BANDS * ROWS
 SALTS = 8
-BLOCK = 1000
+BLOCK = 500
 WORDS_HELD = 500_000
 #: Sketches agree in as large a part as texts are alike, within 0.03 (one standard deviation).
 SKETCH_MARGIN = 0.15
@@ -79,8 +80,11 @@ def weighted_set(words: np.ndarray, size: int = SHINGLE) -> tuple[np.ndarray, np
 
 def jaccard(a: tuple[np.ndarray, np.ndarray], b: tuple[np.ndarray, np.ndarray]) -> float:
     """Sum of smaller weights over sum of larger ones; 0 for two empty sets."""
-    _, ia, ib = np.intersect1d(a[0], b[0], assume_unique=True, return_indices=True)
-    both = np.minimum(a[1][ia], b[1][ib]).sum()
+    if not len(a[0]) or not len(b[0]):
+        return 0.0
+    at = np.minimum(np.searchsorted(b[0], a[0]), len(b[0]) - 1)
+    hit = b[0][at] == a[0]
+    both = np.minimum(a[1][hit], b[1][at[hit]]).sum()
     either = a[1].sum() + b[1].sum() - both
     return float(both / either) if either else 0.0
 
@@ -216,32 +220,52 @@ def components(links: DataFrame, salts: int = SALTS) -> DataFrame:
             return labels
 
 
-def _unresolved(members: DataFrame, failing: DataFrame, labels: DataFrame, sketches: DataFrame, similarity: float) -> DataFrame:
-    """Pairs of members of one bucket and different classes whose sketches agree well enough.
+def _unresolved(members: DataFrame, failing: DataFrame, labels: DataFrame, signed: DataFrame, texts: DataFrame, similarity: float) -> DataFrame:
+    """Links (a, b) between members of one bucket that are in different classes.
 
-    members (band, key, leader, n); only buckets with a failing comparison between classes are looked at, in blocks."""
+    members (band, key, leader, n); signed (key, bands, sketch).  Only buckets with a failing comparison between classes
+    are looked at, in pairs of blocks.  A pair is tried in the first band that it shares, the likeliest pairs first,
+    and no more once its classes are joined."""
     least = similarity - SKETCH_MARGIN
     open_ = members.join(failing.select(F.col("a").alias("leader"), F.col("b").alias("key")), ["leader", "key"], "left_semi").select("band").distinct()
     inside = members.join(open_, "band", "left_semi").select("band", "key", "n")
-    inside = inside.join(labels, "key", "left").withColumn("label", F.coalesce("label", "key")).join(sketches, "key")
-    blocks = F.ceil(F.col("n") / BLOCK).cast("int")
-    inside = inside.withColumn("blocks", blocks).withColumn("own", F.pmod(F.xxhash64("key"), F.col("blocks")).cast("int"))
+    inside = inside.join(labels, "key", "left").withColumn("label", F.coalesce("label", "key")).join(signed, "key").join(texts, "key")
+    inside = inside.withColumn("blocks", F.ceil(F.col("n") / BLOCK).cast("int")).withColumn("own", F.pmod(F.xxhash64("key"), F.col("blocks")).cast("int"))
     inside = inside.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
-    inside = inside.select("band", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"), "own", "key", "label", "sketch")
+    inside = inside.select("band", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"), "own", "key", "label", "bands", "sketch", "text")
 
     def run(group: pa.Table) -> pa.Table:
         keys, label = group["key"].to_numpy(), group["label"].to_numpy()
-        own, i, j = group["own"].to_numpy(), group["i"][0].as_py(), group["j"][0].as_py()
+        own, i, j, band = group["own"].to_numpy(), group["i"][0].as_py(), group["j"][0].as_py(), group["band"][0].as_py()
         sketch = np.frombuffer(b"".join(group["sketch"].to_pylist()), np.uint8).reshape(len(keys), -1)
+        bands = np.array(group["bands"].to_pylist(), np.int64)
+        earlier = bands[:, : int(np.flatnonzero(bands[0] == band)[0])]
         left, right = np.flatnonzero(own == i), np.flatnonzero(own == j)
-        out_a, out_b = [], []
+        found = []
         for x in left:
             others = right[(label[right] != label[x]) & ((keys[right] > keys[x]) if i == j else True)]
             if len(others):
-                good = others[(sketch[others] == sketch[x]).mean(1) >= least]
-                out_a += np.minimum(keys[good], keys[x]).tolist()
-                out_b += np.maximum(keys[good], keys[x]).tolist()
-        return pa.table({"a": pa.array(out_a, pa.int64()), "b": pa.array(out_b, pa.int64())})
+                same = (sketch[others] == sketch[x]).mean(1)
+                good = (same >= least) & ~(earlier[others] == earlier[x]).any(1)
+                found += zip(-same[good], np.full(good.sum(), x), others[good])
+        owner: dict[int, int] = {}
+
+        def root(c: int) -> int:
+            while c in owner:
+                c = owner[c]
+            return c
+
+        @lru_cache(maxsize=None)
+        def of(row: int) -> tuple[np.ndarray, np.ndarray]:
+            return weighted_set(word_hashes(group["text"][row].as_py()))
+
+        links = []
+        for _, x, y in sorted(found):
+            a, b = root(int(label[x])), root(int(label[y]))
+            if a != b and jaccard(of(int(x)), of(int(y))) >= similarity:
+                owner[a] = b
+                links.append(sorted((int(keys[x]), int(keys[y]))))
+        return pa.table({"a": pa.array([p[0] for p in links], pa.int64()), "b": pa.array([p[1] for p in links], pa.int64())})
 
     return inside.groupBy("band", "i", "j").applyInArrow(run, "a bigint, b bigint").distinct()
 
@@ -273,9 +297,7 @@ def classes(df: DataFrame, key: str = "doc_id", text: str = "text", similarity:
     apart = checked.filter(F.col("similarity") < similarity).join(of("a"), "a", "left").join(of("b"), "b", "left")
     failing = materialise(apart.filter(F.coalesce("label_a", "a") != F.coalesce("label_b", "b")).select("a", "b"), "failing")
     if not failing.isEmpty():
-        more = _unresolved(members, failing, labels, reps.select("key", "sketch"), similarity)
-        more = more.join(checked.select("a", "b"), ["a", "b"], "left_anti")
-        found = materialise(verify(more, texts).filter(F.col("similarity") >= similarity).select("a", "b"), "links")
+        found = materialise(_unresolved(members, failing, labels, reps, texts, similarity), "more")
         if not found.isEmpty():
             labels = components(links.union(found), salts)
 
