@@ -129,6 +129,16 @@ def mixture(df: DataFrame, target: Target = Target(), key: str = "doc_id", sourc
 def mixed(df: DataFrame, target: Target, key: str = "doc_id", source: str = "source", text: str = "text") -> DataFrame:
     """The rows of df that the mixture uses, each as often as it is used.
 
-    Rows with a null key have nothing to be told apart by and stay as they are."""
-    uses = mixture(df.filter(F.col(key).isNotNull()), target, key, source, text).select(F.col(key).alias("_used"))
-    return df.join(uses, F.col(key) == F.col("_used")).drop("_used").unionByName(df.filter(F.col(key).isNull()))
+    Rows with a null key have nothing to be told apart by and stay as they are; repeated rows share their key's uses."""
+    keyed = df.filter(F.col(key).isNotNull())
+    uses = mixture(keyed, target, key, source, text).groupBy(F.col(key).alias("_used")).agg(F.count(F.lit(1)).cast("int").alias("_u"))
+    rest = df.filter(F.col(key).isNull())
+    again = lambda n: F.explode(F.sequence(F.lit(1), n))
+    if keyed.groupBy(key).agg(F.count(F.lit(1)).alias("c")).filter("c > 1").isEmpty():
+        out = keyed.join(uses, F.col(key) == F.col("_used"))
+        return out.withColumn("_i", again(F.col("_u"))).select(*df.columns).unionByName(rest)
+    rank = F.row_number().over(Window.partitionBy(key).orderBy(F.xxhash64(text)))
+    every = F.count(F.lit(1)).over(Window.partitionBy(key))
+    out = keyed.withColumns({"_r": rank, "_c": every}).join(uses, F.col(key) == F.col("_used"))
+    share = F.floor(F.col("_u") / F.col("_c")).cast("int") + (F.col("_r") <= F.col("_u") % F.col("_c")).cast("int")
+    return out.withColumn("_n", share).filter("_n > 0").withColumn("_i", again(F.col("_n"))).select(*df.columns).unionByName(rest)
