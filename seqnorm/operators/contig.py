@@ -175,11 +175,16 @@ def branch_cut(forest: Forest, rule: str = "mean_jump", height: float | None = N
     """Clusters of segments.  rule 'height' cuts all branches at a height, 'count' leaves that many clusters."""
     nodes = forest.nodes
     if rule == "height" or rule == "count":
-        joins = sorted((x for x in nodes if x.live and x.left >= 0), key=lambda x: (x.height, x.id))
+        # a join counts as high as the highest below it, so that what is cut stays a tree where heights fall
+        high = [0.0] * len(nodes)
+        for x in nodes:
+            if x.left >= 0:
+                high[x.id] = max(x.height, high[x.left], high[x.right])
+        joins = sorted((x for x in nodes if x.live and x.left >= 0), key=lambda x: (high[x.id], x.id))
         if rule == "count":
             keep = {x.id for x in joins[: max(0, forest.n_leaves - (count or 1))]}
         else:
-            keep = {x.id for x in joins if x.height <= (height or 0.0)}
+            keep = {x.id for x in joins if high[x.id] <= (height or 0.0)}
         top = [x for x in nodes if x.live and (x.left < 0 or x.id in keep) and (x.parent < 0 or x.parent not in keep)]
         return sorted(sorted(x.members) for x in top)
     assigned: set[int] = set()
