@@ -5,6 +5,8 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from seqnorm.session import materialise
+
 
 def assign_pos(df: DataFrame, key: str, order: str, pos_col: str = "pos") -> DataFrame:
     """Dense positions from 0 within each series."""
@@ -16,7 +18,8 @@ def assign_pos_giant(df: DataFrame, order: str, pos_col: str = "pos", parts: int
 
     Only one count per partition is gathered, so no task sees the whole series."""
     n = parts or int(df.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    ranged = df.repartitionByRange(n, order).sortWithinPartitions(order).withColumn("_p", F.spark_partition_id())
+    # written once: the counts and the positions must see the same ranges, whose bounds are sampled anew in every plan
+    ranged = materialise(df.repartitionByRange(n, order).withColumn("_p", F.spark_partition_id()), "ranged")
     counts = ranged.groupBy("_p").agg(F.count(F.lit(1)).alias("_c")).orderBy("_p").collect()  # one row per partition
     offsets, total = [], 0
     for r in counts:
