@@ -22,13 +22,14 @@ STEPS, WAYS = 5, 32
 @dataclass(frozen=True)
 class Target:
     """entropy: share of the largest possible entropy that the weights should have, at least (None: keep `exponent`).
-    max_repeats: how often a source may be passed over.  budget: tokens of the mixture; None: as many as there are,
-    or as many as max_repeats allows."""
+    max_repeats: how often a source may be passed over.  budget: tokens of the mixture; None: `part` of all there are.
+    A budget that max_repeats does not allow at any exponent is lowered to what it allows."""
 
     entropy: float | None = 0.97
     exponent: float = 0.7
     max_repeats: float = 4.0
     budget: int | None = None
+    part: float = 1.0
     seed: int = 11
 
 
@@ -76,7 +77,7 @@ def weights(tokens: DataFrame, target: Target = Target()) -> DataFrame:
     if target.entropy is not None:
         wanted = target.entropy * math.log(n)
         exponent = _bisect(shares, lambda h, _: h >= wanted - 1e-12)
-    budget = target.budget or total
+    budget = target.budget or total * target.part
     over = budget / total
     if over * _at_exponents(shares, [exponent])[0][1] > target.max_repeats:
         # repeats fall as the exponent rises: look for the largest 1 - exponent that is allowed
@@ -92,7 +93,8 @@ def weights(tokens: DataFrame, target: Target = Target()) -> DataFrame:
         budget = budget * min(1.0, target.max_repeats / worst)
     z = shares.agg(F.sum(F.pow("share", F.lit(exponent)))).first()[0]
     out = shares.withColumn("exponent", F.lit(exponent)).withColumn("weight", F.pow("share", F.lit(exponent)) / F.lit(z))
-    return out.withColumn("repeats", F.col("weight") * F.lit(float(budget)) / F.col("tokens"))
+    repeats = F.col("weight") * F.lit(float(budget)) / F.col("tokens")
+    return out.withColumn("repeats", F.least(repeats, F.lit(float(target.max_repeats))))
 
 
 def mixture(df: DataFrame, target: Target = Target(), key: str = "doc_id", source: str = "source", text: str = "text", blocks: int = BLOCKS) -> DataFrame:
@@ -116,7 +118,7 @@ def mixture(df: DataFrame, target: Target = Target(), key: str = "doc_id", sourc
     sums = rows.groupBy("source", "block").agg(F.sum("tokens").alias("block_tokens"))
     order = Window.partitionBy("source", "pass_no").orderBy(place(F.lit("order"), F.col("source"), F.col("block"), F.col("pass_no")), "block")
     plan = sums.join(per_pass, "source").withColumn("before", F.sum("block_tokens").over(order.rowsBetween(Window.unboundedPreceding, -1)))
-    plan = plan.withColumns({"before": F.coalesce("before", F.lit(0)), "limit": part * F.col("held")}).filter(F.col("before") < F.col("limit"))
+    plan = plan.withColumns({"before": F.coalesce("before", F.lit(0)), "limit": F.round(part * F.col("held")).cast("bigint")}).filter(F.col("before") < F.col("limit"))
     plan = plan.select("source", "block", "pass_no", "before", "limit", "block_tokens", "held", "repeats", "weight", "exponent")
 
     inside = Window.partitionBy("source", "block", "pass_no").orderBy(place(F.lit("inside"), F.col("key"), F.col("pass_no")), "key", "tokens")

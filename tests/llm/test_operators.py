@@ -115,6 +115,20 @@ def test_temperature_mix(spark, docs, empty):
     assert kept.columns == docs.columns and kept.groupBy("doc_id").count().filter("doc_id is not null and count > 2").isEmpty()
 
 
+def test_mixing_without_repeats_takes_from_the_largest(spark):
+    """At a repetition limit of one pass no document is used twice, and a large source gives more up than small ones."""
+    big = [(i, "w " * 10, "en", "hot" if i % 3 == 0 else f"s{i % 7}", 0, "", "", 0) for i in range(6000)]
+    df = spark.createDataFrame(big, DOCS)
+    held = {r.source: r["count"] for r in df.groupBy("source").count().collect()}
+    for part, exponent in ((0.95, 0.0), (1.0, 0.9)):
+        target = temperature_mix.Target(entropy=None, exponent=exponent, max_repeats=1.0, part=part)
+        kept = temperature_mix.mixed(df, target).cache()
+        assert kept.select("doc_id").distinct().count() == kept.count()
+        assert abs(kept.count() - part * len(big)) <= len(held)
+        left = {r.source: r["count"] / held[r.source] for r in kept.groupBy("source").count().collect()}
+        assert part == 1.0 or (left["hot"] < 0.9 and min(v for k, v in left.items() if k != "hot") > 0.98)
+
+
 def test_forward_backward_is_exact():
     rng = np.random.default_rng(0)
     lengths = np.array([3, 0, 130, 64, 1, 65])
