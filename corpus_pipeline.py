@@ -13,6 +13,9 @@ COLUMNS = ("doc_id", "text", "lang", "source", "n_chars")
 #: A language that is this sure overrules the label, and the document goes as mislabelled; below the other, no language holds the text.
 SURE, LEAST = 0.97, 0.4
 
+#: The mixture's part of the tokens that come to it.
+MIXED = 0.95
+
 
 def quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that no rule of the cascade rejects."""
@@ -33,8 +36,9 @@ def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFr
 
 
 def mixing(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Sources in tempered weights, without repeats: only sources above their weight give documents up."""
-    target = temperature_mix.Target(entropy=None, exponent=0.9, max_repeats=1.0)
+    """Sources in tempered weights and without repeats, over MIXED of all tokens: the smallest exponent that asks no
+    source for more than it holds, so that it is the largest sources that give documents up."""
+    target = temperature_mix.Target(entropy=None, exponent=0.0, max_repeats=1.0, part=MIXED)
     return temperature_mix.mixed(docs, target).select(*COLUMNS)
 
 
