@@ -31,7 +31,7 @@ BANDS, ROWS = 40, 6
 COORDINATES = BANDS * ROWS
 SALTS = 8
 BLOCK = 500
-WORDS_HELD = 500_000
+WORDS_HELD = 100_000
 #: Sketches agree in as large a part as texts are alike, within 0.03 (one standard deviation).
 SKETCH_MARGIN = 0.15
 

@@ -24,7 +24,8 @@ BLOCK = 64
 DOCS_PER_LANGUAGE = 150
 WORDS_PER_DOC = 150
 WORDS_HELD = 400_000
-CHARS_AT_ONCE = 3_000_000
+CHARS_AT_ONCE = 2_000_000
+NEW_AT_ONCE = 4096
 UNKNOWN = "und"
 
 _WORD = re.compile(r"[^\W\d_]+")
@@ -112,10 +113,14 @@ class Model:
     _table: list[np.ndarray] = field(default_factory=list, repr=False)
 
     def emissions(self, words: list[str]) -> np.ndarray:
-        features = [word_features(w) for w in words]
-        ends = np.cumsum([len(f) for f in features])
-        flat = np.fromiter((x for f in features for x in f), np.int64, int(ends[-1]) if len(ends) else 0)
-        return np.add.reduceat(self.weights[flat], np.concatenate([[0], ends[:-1]])) if len(ends) else np.zeros((0, len(self.labels)), np.float32)
+        """Scores of words; a word's features, far larger than its scores, are held for NEW_AT_ONCE words at a time."""
+        out = np.zeros((len(words), len(self.labels)), np.float32)
+        for at in range(0, len(words), NEW_AT_ONCE):
+            features = [word_features(w) for w in words[at : at + NEW_AT_ONCE]]
+            ends = np.cumsum([len(f) for f in features])
+            flat = np.fromiter((x for f in features for x in f), np.int64, int(ends[-1]))
+            out[at : at + len(features)] = np.add.reduceat(self.weights[flat], np.concatenate([[0], ends[:-1]]))
+        return out
 
     def shares(self, texts: list[str | None]) -> tuple[np.ndarray, np.ndarray]:
         """(number of words, mean posterior of each label) of each text."""
@@ -237,6 +242,26 @@ def learn(df: DataFrame, key: str = "doc_id", text: str = "text", lang: str = "l
 SCHEMA = "key bigint, held_out boolean, lang_pred string, score double, n_words bigint, mix string"
 
 
+def _predictions(model: Model | None, batch: pa.RecordBatch, at: int) -> Iterator[tuple[pa.RecordBatch, np.ndarray, list[str], list[float], np.ndarray]]:
+    """Rows of a batch, as many at once as have CHARS_AT_ONCE characters: (rows, words, language, score, shares)."""
+    begin = 0
+    while begin < batch.num_rows:
+        texts: list[str | None] = []
+        chars = 0
+        while begin + len(texts) < batch.num_rows and (not texts or chars < CHARS_AT_ONCE):
+            texts.append(batch.column(at)[begin + len(texts)].as_py())
+            chars += len(texts[-1] or "")
+        part = batch.slice(begin, len(texts))
+        begin += len(texts)
+        if model is None:
+            yield part, np.zeros(len(texts), np.int64), [UNKNOWN] * len(texts), [0.0] * len(texts), np.zeros((len(texts), 0))
+            continue
+        counts, shares = model.shares(texts)
+        best = shares.argmax(1)
+        pred = [model.labels[b] if n else UNKNOWN for b, n in zip(best, counts)]
+        yield part, counts, pred, [float(s[b]) if n else 0.0 for s, b, n in zip(shares, best, counts)], shares
+
+
 def identify(df: DataFrame, model: Model | None, key: str = "doc_id", text: str = "text") -> DataFrame:
     """key, held_out, lang_pred, score (mean posterior of that language), n_words, and the mix of languages found.
 
@@ -251,25 +276,33 @@ def identify(df: DataFrame, model: Model | None, key: str = "doc_id", text: str
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         m = shared.value
         for batch in batches:
-            texts = batch.column(2).to_pylist()
-            at = 0
-            while at < len(texts):
-                upto, chars = at, 0
-                while upto < len(texts) and (upto == at or chars + len(texts[upto] or "") <= CHARS_AT_ONCE):
-                    chars += len(texts[upto] or "")
-                    upto += 1
-                if m is None:
-                    counts, pred, score, mix = np.zeros(upto - at, np.int64), [UNKNOWN] * (upto - at), [0.0] * (upto - at), [""] * (upto - at)
-                else:
-                    counts, shares = m.shares(texts[at:upto])
-                    best = shares.argmax(1)
-                    pred = [m.labels[b] if n else UNKNOWN for b, n in zip(best, counts)]
-                    score = [float(s[b]) if n else 0.0 for s, b, n in zip(shares, best, counts)]
-                    mix = [",".join(f"{m.labels[j]}:{s[j]:.2f}" for j in np.argsort(-s, kind="stable") if s[j] >= 0.1) for s in shares]
+            for part, counts, pred, score, shares in _predictions(m, batch, 2):
+                mix = [",".join(f"{m.labels[j]}:{s[j]:.2f}" for j in np.argsort(-s, kind="stable") if s[j] >= 0.1) for s in shares] if m else [""] * len(pred)
                 yield pa.RecordBatch.from_arrays(
-                    [batch.column(0)[at:upto], batch.column(1)[at:upto], pa.array(pred, pa.string()), pa.array(score, pa.float64()), pa.array(counts, pa.int64()), pa.array(mix, pa.string())],
+                    [part.column(0), part.column(1), pa.array(pred, pa.string()), pa.array(score, pa.float64()), pa.array(counts, pa.int64()), pa.array(mix, pa.string())],
                     names=["key", "held_out", "lang_pred", "score", "n_words", "mix"],
                 )
-                at = upto
 
     return rows.mapInArrow(run, SCHEMA).withColumnRenamed("key", key)
+
+
+def keep_clear(df: DataFrame, model: Model | None, least: float, sure: float, text: str = "text", lang: str = "lang") -> DataFrame:
+    """The rows of df whose text has a language with a score of `least` or more that doesn't contradict the label.
+
+    A language other than the label's contradicts it from a score of `sure` on; a null label is never contradicted.
+    A text that is null or has no letter goes, as does every row when there was nothing to learn from.  Repeated rows
+    are judged alike, each for itself; an empty table gives an empty result; all columns stay.  Whole batches pass
+    through one narrow stage, so texts are neither shuffled nor joined."""
+    spark = df.sparkSession
+    ship(spark)
+    shared = spark.sparkContext.broadcast(model)
+    at, label = df.columns.index(text), df.columns.index(lang)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for part, _, pred, score, _ in _predictions(shared.value, batch, at):
+                told = part.column(label).to_pylist()
+                mask = [p != UNKNOWN and s >= least and not (t is not None and t != p and s >= sure) for p, s, t in zip(pred, score, told)]
+                yield part.filter(pa.array(mask, pa.bool_()))
+
+    return df.mapInArrow(run, df.schema)
