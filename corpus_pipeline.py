@@ -3,7 +3,6 @@
 from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
-from pyspark.sql import functions as F
 
 from seqnorm.llm import best_fit, dart_minhash, language_crf, quality_cascade, temperature_mix
 from seqnorm.llm.common import scratch
@@ -24,10 +23,7 @@ def quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 def language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents without text of a language, of no clear language, or surely of another than their label's go."""
-    found = language_crf.identify(docs, language_crf.learn(docs)).select(F.col("doc_id").alias("_id"), "lang_pred", "score").dropDuplicates(["_id"])
-    other = F.col("lang").isNotNull() & (F.col("lang") != F.col("lang_pred")) & (F.col("score") >= SURE)
-    joined = docs.join(found, F.col("doc_id").eqNullSafe(F.col("_id")), "left")
-    return joined.filter((F.col("lang_pred") != language_crf.UNKNOWN) & (F.col("score") >= LEAST) & ~other).select(*COLUMNS)
+    return language_crf.keep_clear(docs.select(*COLUMNS), language_crf.learn(docs), LEAST, SURE)
 
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
