@@ -25,7 +25,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import materialise, ship
+from .common import hold, materialise, ship
 
 CAPACITY = 2048
 WORDS_HELD, PARTS_HELD = 300_000, 500_000
@@ -237,6 +237,7 @@ def pieces(df: DataFrame, capacity: int = CAPACITY, path: str | None = None, key
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         from pyspark import TaskContext
 
+        hold("tokens", _tokens.cache_clear)
         tokens, task, count = _tokens(path), TaskContext.get().partitionId(), defaultdict(int)
         for batch in batches:
             out = []

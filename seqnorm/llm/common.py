@@ -2,12 +2,31 @@
 
 from __future__ import annotations
 
+from collections.abc import Callable
+
 from pyspark.sql import DataFrame, SparkSession
 
 from seqnorm.session import checkpoint, materialise, scratch, shared_dir, ship
 
-__all__ = ["checkpoint", "materialise", "scratch", "shared_dir", "ship", "table"]
+__all__ = ["checkpoint", "hold", "materialise", "scratch", "shared_dir", "ship", "table"]
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
+
+
+_HELD: dict[str, Callable[[], object]] = {}
+
+
+def hold(owner: str, release: Callable[[], object] = bool) -> None:
+    """Called by a kernel in a worker before it fills caches that outlive its task: those of other kernels are let go.
+
+    Workers serve one stage after another, and without this the caches of all would add up."""
+    others = [name for name in _HELD if name != owner]
+    for name in others:
+        _HELD.pop(name)()
+    if others:
+        import pyarrow as pa
+
+        pa.default_memory_pool().release_unused()
+    _HELD[owner] = release

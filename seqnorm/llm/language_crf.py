@@ -17,15 +17,16 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import ship
+from .common import hold, ship
 
 BUCKETS = 1 << 17
 BLOCK = 64
 DOCS_PER_LANGUAGE = 150
 WORDS_PER_DOC = 150
-WORDS_HELD = 400_000
+WORDS_HELD = 250_000
 CHARS_AT_ONCE = 2_000_000
 NEW_AT_ONCE = 4096
+WORDS_AT_ONCE = 60_000
 UNKNOWN = "und"
 
 _WORD = re.compile(r"[^\W\d_]+")
@@ -122,6 +123,11 @@ class Model:
             out[at : at + len(features)] = np.add.reduceat(self.weights[flat], np.concatenate([[0], ends[:-1]]))
         return out
 
+    def forget(self) -> None:
+        """Let go of the words held."""
+        self._rows.clear()
+        self._table.clear()
+
     def shares(self, texts: list[str | None]) -> tuple[np.ndarray, np.ndarray]:
         """(number of words, mean posterior of each label) of each text."""
         split = [words_of(t) for t in texts]
@@ -139,12 +145,16 @@ class Model:
                 del self._rows[w]
         else:
             self._table[0] = table
-        posterior = forward_backward(table[ids].astype(np.float64), self.transitions, lengths)
+        del split, new
         out = np.zeros((len(texts), len(self.labels)))
-        some = lengths > 0
-        if some.any():
-            edges = (np.cumsum(lengths) - lengths)[some]
-            out[some] = np.add.reduceat(posterior, edges) / lengths[some, None]
+        some = np.flatnonzero(lengths)
+        ends = np.cumsum(lengths)
+        while len(some):
+            upto = max(1, int(np.searchsorted(ends[some], ends[some[0]] + WORDS_AT_ONCE)))
+            now, some = some[:upto], some[upto:]
+            begin = int(ends[now[0]] - lengths[now[0]])
+            posterior = forward_backward(table[ids[begin : ends[now[-1]]]].astype(np.float64), self.transitions, lengths[now])
+            out[now] = np.add.reduceat(posterior, ends[now] - lengths[now] - begin) / lengths[now, None]
         return lengths, out
 
 
@@ -244,6 +254,7 @@ SCHEMA = "key bigint, held_out boolean, lang_pred string, score double, n_words
 
 def _predictions(model: Model | None, batch: pa.RecordBatch, at: int) -> Iterator[tuple[pa.RecordBatch, np.ndarray, list[str], list[float], np.ndarray]]:
     """Rows of a batch, as many at once as have CHARS_AT_ONCE characters: (rows, words, language, score, shares)."""
+    hold("languages", model.forget if model else bool)
     begin = 0
     while begin < batch.num_rows:
         texts: list[str | None] = []

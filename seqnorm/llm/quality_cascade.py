@@ -18,7 +18,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import ship
+from .common import hold, ship
 
 WINDOW = 8
 SAMPLE_ROWS = 500
@@ -185,6 +185,7 @@ def judge(df: DataFrame, rules: tuple[Rule, ...] | None = None, key: str = "doc_
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
+            hold("rules")
             columns: list[list] = [[] for _ in range(7)]
             for value in batch.column(1):
                 t = Text(value.as_py())
@@ -207,6 +208,7 @@ def keep_good(df: DataFrame, rules: tuple[Rule, ...] | None = None, key: str = "
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
+            hold("rules")
             mask = []
             for value in batch.column(at):
                 t = Text(None if not value.is_valid else str(value.as_py()))

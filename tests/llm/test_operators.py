@@ -162,6 +162,38 @@ def test_language_crf(spark, docs, empty):
     mixed = language_crf.identify(spark.createDataFrame([(1, fr + " " + en)], "doc_id long, text string"), model).first()
     assert {p.split(":")[0] for p in mixed.mix.split(",")} == {"fr", "en"}
     assert language_crf.learn(empty) is None and language_crf.identify(docs, None).filter("lang_pred <> 'und'").isEmpty()
+    odd_docs = docs.withColumn("extra", F.lit(1)) if "lang" in docs.columns else docs.withColumn("lang", F.lit(None).cast("string"))
+    kept = language_crf.keep_clear(odd_docs, model, 0.0, 2.0)
+    assert kept.columns == odd_docs.columns
+    assert kept.count() == language_crf.identify(odd_docs, model).filter("lang_pred <> 'und'").count()
+    assert language_crf.keep_clear(real, model, 0.4, 0.97).count() > 0.9 * real.count()
+    wrong = real.filter("lang = 'fr'").withColumn("lang", F.lit("en"))
+    sure = language_crf.identify(wrong, model).filter("lang_pred <> 'en' and score >= 0.97").count()
+    assert language_crf.keep_clear(wrong, model, 0.0, 0.97).count() == wrong.count() - sure - language_crf.identify(wrong, model).filter("lang_pred = 'und'").count()
+    assert language_crf.keep_clear(real, None, 0.4, 0.97).isEmpty() and language_crf.keep_clear(real.limit(0), model, 0.4, 0.97).isEmpty()
+
+
+def test_language_crf_cuts(monkeypatch):
+    """Texts and words taken in small parts give what they give in one."""
+    texts = ["alpha beta " * 40, None, "gamma", "", "delta epsilon zeta " * 200, "1 2 3", "beta"]
+    samples = [("alpha beta gamma " * 60, "xx"), ("delta epsilon zeta " * 60, "yy")]
+    whole = language_crf.fit(samples).shares(texts)
+    monkeypatch.setattr(language_crf, "WORDS_AT_ONCE", 3)
+    monkeypatch.setattr(language_crf, "NEW_AT_ONCE", 2)
+    monkeypatch.setattr(language_crf, "WORDS_HELD", 1)
+    parts = language_crf.fit(samples).shares(texts)
+    assert (whole[0] == parts[0]).all() and np.allclose(whole[1], parts[1])
+
+
+def test_one_kernels_caches_at_a_time():
+    from seqnorm.llm import common
+
+    let_go = []
+    common.hold("first", lambda: let_go.append("first"))
+    common.hold("first", lambda: let_go.append("first"))
+    assert not let_go
+    common.hold("second")
+    assert let_go == ["first"] and set(common._HELD) == {"second"}
 
 
 def test_tiff_formats():
