@@ -1,13 +1,16 @@
 """License scans with a generalised suffix automaton over the tokens of license templates.
 
 Every text is streamed once through the automaton.  At each word the automaton holds the longest
-run of words ending there that occurs in some template (the matching statistics).  Runs that cannot
-be extended are kept when long enough, are chained per template when they keep the template's order,
-and a chain that covers enough of its template becomes a span with the template's label.
+run of words ending there that occurs in some template (the matching statistics); its links lead to the
+shorter runs that other templates, or other places, share with it.  A run that cannot be extended at a
+place of a template is kept for that place when long enough.  The runs of a template are chained in its order
+for the most words, and a chain that covers enough of its template becomes a span with the template's
+label, unless a template of another label explains the same stretch of text better.
 """
 
 from __future__ import annotations
 
+from bisect import bisect_left
 from collections import defaultdict
 from collections.abc import Iterator
 from dataclasses import dataclass, field
@@ -90,6 +93,9 @@ def words_of(text: str | None) -> list[bytes]:
     return (text or "").encode("utf-8", "surrogatepass").translate(_WORD).split()
 
 
+Run = tuple[int, int, int]  # first word in the text, first word in the template, words
+
+
 @dataclass
 class Automaton:
     """Suffix automaton of several token sequences; a state knows where its strings end in each template."""
@@ -185,6 +191,19 @@ class Scanner:
                 found += own.get(up, [])
                 up = self.link[up]
             self.endings.append(found)
+        # places of templates where a state's string or a suffix of it ends: (template, place, longest match, next token)
+        self.matches: list[list[tuple[int, int, int, int]]] = []
+        for state in range(len(self.next)):
+            seen: dict[tuple[int, int], int] = {}
+            up = state
+            while up > 0 and self.length[up] >= min_run:
+                for template, ends in self.ends[up].items():
+                    if template >= 0:
+                        for end in ends:
+                            seen.setdefault((template, end), self.length[up])
+                up = self.link[up]
+            after = lambda t, e: self.templates[t][2][e + 1] if e + 1 < len(self.templates[t][2]) else -1
+            self.matches.append([(t, e, size, after(t, e)) for (t, e), size in seen.items()])
 
     def statistics(self, ids: list[int]) -> Iterator[tuple[int, int, int]]:
         """(place, length, state) for every known word; unknown words (0) bring the automaton to its root."""
@@ -213,42 +232,91 @@ class Scanner:
         words = words_of(text)
         ids = list(map(self.vocab.get, words, (0,) * len(words)))
         places: list[tuple[int, str]] = []
-        runs: list[tuple[int, int, int]] = []  # first word, length, state
-        last = (-2, 0, 0)
+        runs: dict[int, list[Run]] = defaultdict(list)
         for i, size, state in self.statistics(ids):
             for k in self.endings[state]:
                 label, tokens = self.phrases[k]
                 if len(tokens) <= size:
                     places.append((i - len(tokens) + 1, label))
-            if (last[0] != i - 1 or size != last[1] + 1) and last[1] >= self.min_run:
-                runs.append((last[0] - last[1] + 1, last[1], last[2]))
-            last = (i, size, state)
-        if last[1] >= self.min_run:
-            runs.append((last[0] - last[1] + 1, last[1], last[2]))
-        return {"n_words": len(words), "places": places, "spans": self.chain(runs)}
-
-    def chain(self, runs: list[tuple[int, int, int]]) -> list[tuple[int, int, str, float]]:
-        """Runs of one template that follow each other in text and template, gaps up to max_gap words."""
-        by: dict[int, list[tuple[int, int, int]]] = defaultdict(list)
-        for start, size, state in runs:
-            for template, ends in self.ends[state].items():
-                if template >= 0:
-                    by[template] += [(start, end - size + 1, size) for end in ends]
+            if size >= self.min_run:
+                follows = ids[i + 1] if i + 1 < len(ids) else 0
+                for template, end, most, after in self.matches[state]:
+                    if after != follows:
+                        n = min(size, most)
+                        runs[template].append((i - n + 1, end - n + 1, n))
+        return {"n_words": len(words), "places": places, "spans": self.spans(runs)}
+
+    def chains(self, runs: list[Run]) -> list[tuple[int, int, int]]:
+        """(words covered, -runs, first word) of the best chain that ends in each of one template's sorted runs.
+
+        Runs follow each other in text and template with gaps up to max_gap words; what overlaps counts once."""
+        best: list[tuple[int, int, int]] = []
+        longest = max((size for _, _, size in runs), default=0)
+        for j, (start, at, size) in enumerate(runs):
+            top = (size, -1, start)
+            for i in range(j - 1, -1, -1):
+                begin, place, n = runs[i]
+                if begin + longest + self.max_gap < start:
+                    break
+                cut = max(0, begin + n - start, place + n - at)
+                if cut < size and start + cut - begin - n <= self.max_gap and at + cut - place - n <= self.max_gap:
+                    words, number, first = best[i]
+                    top = max(top, (words + size - cut, number - 1, first))
+            best.append(top)
+        return best
+
+    def within(self, runs: list[Run], low: int, high: int, longest: int) -> list[Run]:
+        """The parts of sorted runs in the words from low up to high."""
+        out = []
+        for k in range(bisect_left(runs, (low - longest, 0, 0)), len(runs)):
+            start, at, size = runs[k]
+            if start >= high:
+                break
+            skip = max(0, low - start)
+            size = min(start + size, high) - start - skip
+            if size >= self.min_run:
+                out.append((start + skip, at + skip, size))
+        return sorted(out)
+
+    def covered(self, runs: list[Run], length: int) -> list[tuple[int, int, int, int]]:
+        """(first word, next word, words covered, -runs) of one template's chains that cover enough and don't overlap."""
+        out, parts = [], [runs]
+        while parts:
+            part = parts.pop()
+            found = [
+                (-words, -number, start + size - first, first)
+                for (words, number, first), (start, _, size) in zip(self.chains(part), part)
+                if words >= self.min_cover * length
+            ]
+            taken: list[tuple[int, int]] = []
+            for words, number, wide, first in sorted(found):
+                k = bisect_left(taken, (first, first))
+                if (k == 0 or taken[k - 1][1] <= first) and (k == len(taken) or taken[k][0] >= first + wide):
+                    taken.insert(k, (first, first + wide))
+                    out.append((first, first + wide, -words, -number))
+            if taken:
+                edges = [part[0][0], *(e for t in taken for e in t), max(start + size for start, _, size in part)]
+                rest = [self.within(part, low, high, length) for low, high in zip(edges[::2], edges[1::2]) if low < high]
+                parts += [r for r in rest if r]
+        return out
+
+    def spans(self, runs: dict[int, list[Run]]) -> list[tuple[int, int, str, float]]:
+        """Chains that cover enough of their template, less those whose words a template of another label explains better:
+        by more words, by as many in fewer runs, or by as many in as many runs and more of the template."""
+        runs = {template: sorted(found) for template, found in runs.items()}
         spans = []
-        for template, found in by.items():
+        for template, found in runs.items():
             _, label, tokens = self.templates[template]
-            open_: list[list[int]] = []  # first word, next word, next place in the template, words covered
-            for start, at, size in sorted(found):
-                fit = [c for c in open_ if 0 <= start - c[1] <= self.max_gap and 0 <= at - c[2] <= self.max_gap]
-                if fit:
-                    best = max(fit, key=lambda c: c[3])
-                    best[1:] = [start + size, at + size, best[3] + size]
+            for start, end, words, number in self.covered(found, len(tokens)):
+                mine = (words, number, words / len(tokens))
+                for other, theirs in runs.items():
+                    _, name, text = self.templates[other]
+                    if name != label:
+                        part = self.within(theirs, start, end, len(text))
+                        if any((w, n, w / len(text)) > mine for w, n, _ in self.chains(part)):
+                            break
                 else:
-                    open_.append([start, start + size, at + size, size])
-                done = [c for c in open_ if start - c[1] > self.max_gap]
-                spans += [(c[0], c[1], label, c[3] / len(tokens)) for c in done if c[3] >= self.min_cover * len(tokens)]
-                open_ = [c for c in open_ if start - c[1] <= self.max_gap]
-            spans += [(c[0], c[1], label, c[3] / len(tokens)) for c in open_ if c[3] >= self.min_cover * len(tokens)]
+                    spans.append((start, end, label, mine[2]))
         return sorted(set(spans))
 
 

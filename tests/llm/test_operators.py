@@ -76,6 +76,39 @@ def test_matching_statistics_are_the_longest_factors():
             assert size == best
 
 
+def test_license_notices_that_share_an_opening_with_another_template():
+    labels = lambda text: sorted({x[2] for x in license_scan.Scanner().scan(text)["spans"]})
+    by = "This work is licensed under the Creative Commons Attribution 4.0 International License"
+    assert labels(by) == ["cc-by-4.0"]
+    assert license_scan.Scanner().scan(by)["spans"] == [(0, 13, "cc-by-4.0", 12 / 13)]
+    assert labels(by.replace("Attribution", "Attribution-ShareAlike")) == ["cc-by-sa-4.0"]
+    for name, (label, text) in license_scan.TEMPLATES.items():
+        assert labels(text) == [label], name
+        assert len(license_scan.Scanner().scan(f"{text} {text} x {text}")["spans"]) >= 3, name
+    assert labels("under the terms of the GNU General Public License") == []
+
+
+def test_license_runs_are_all_the_longest_common_stretches():
+    s = license_scan.Scanner({"a": ("a", "w1 w2 w3 w1 w2 w3 w4 w5"), "b": ("b", "w2 w3 w1 w5"), "c": ("c", "w1 w2 w3 w4")}, {"w2 w3": "p"})
+    seen = {}
+    s.spans = lambda runs: seen.update(runs) or []
+    rng = random.Random(2)
+    for _ in range(200):
+        seen.clear()
+        words = [rng.choice([1, 2, 3, 1, 2, 3, 4, 5, 9]) for _ in range(25)]
+        s.scan(" ".join(f"w{w}" for w in words))
+        ids = [s.vocab.get(f"w{w}".encode(), 0) for w in words]
+        for k, (_, _, t) in enumerate(s.templates):
+            same = lambda i, j: 0 <= i < len(ids) and 0 <= j < len(t) and ids[i] == t[j]
+            want = []
+            for i in range(len(ids)):
+                for j in range(len(t)):
+                    n = next(n for n in range(len(t) + 1) if not same(i + n, j + n))
+                    if n >= 3 and not same(i - 1, j - 1):
+                        want.append((i, j, n))
+            assert sorted(seen.get(k, [])) == want
+
+
 def test_tiered_shards(spark, docs, empty):
     settings = tiered_shards.Settings(arrival_rows=2, target_bytes=1 << 16, least_bytes=1 << 10, fan_in=3)
     store = tiered_shards.compacted(docs, settings)
