@@ -175,7 +175,7 @@ def _ca(repair: bool, k: int) -> Query:
 
 
 def ca_rounds_daily(s: SparkSession, d: str) -> DataFrame:
-    """Rounds of locally closest pairs until about twenty clusters are left."""
+    """Rounds of locally closest pairs until twenty clusters are left."""
     return contig.agglomerate_rounds(segment.segments(P.daily_lineitem(s, d), 14), stop_clusters=20).select("cluster_id", "seg_lo", "seg_hi", "n")
 
 

@@ -252,15 +252,18 @@ def clusters(segments: DataFrame, distance: str = "zm", cut_rule: str = "mean_ju
     return segments.select("series_id", "seg", "xs").groupBy("series_id").applyInPandas(run, "series_id string, cluster_id int, seg int")
 
 
-def agglomerate_rounds(segments: DataFrame, stop_clusters: int = 1, max_rounds: int = 64, stop_height: float | None = None) -> DataFrame:
-    """Ward agglomeration of giant series in rounds: every pair closer than both its neighbouring pairs joins, ties to the left.
+def agglomerate_rounds(segments: DataFrame, stop_clusters: int = 1, stop_height: float | None = None) -> DataFrame:
+    """Ward agglomeration of giant series in rounds: every pair closer than both its neighbouring pairs joins; of a run of equally
+    close pairs every other one does, from the left.  Rounds go on until stop_clusters are left or no pair may join; where a round
+    offers more joins than that leaves, the closest are taken.
 
     segments (series_id, seg, xs) to (series_id, cluster_id, seg_lo, seg_hi, n).  Blocks of neighbouring clusters are the unit of work,
     a round is one window pass over them, and its result is written to the shared folder."""
     spec = Window.partitionBy("series_id").orderBy("seg_lo")
     state = segments.select("series_id", F.col("seg").alias("seg_lo"), F.col("seg").alias("seg_hi"), F.lit(1).alias("n"), D.centred(F.col("xs")).alias("total"))
     state = materialise(state, "rounds")
-    for _ in range(max_rounds):
+    left = state.count()
+    while True:
         mean = F.transform("total", lambda v: v / F.col("n"))
         s = state.withColumn("mean", mean).withColumn("next_mean", F.lead("mean").over(spec)).withColumn("next_n", F.lead("n").over(spec))
         d = F.sqrt(2.0 * F.col("n") * F.col("next_n") / (F.col("n") + F.col("next_n"))) * D.euclid(F.col("mean"), F.col("next_mean"))
@@ -268,17 +271,21 @@ def agglomerate_rounds(segments: DataFrame, stop_clusters: int = 1, max_rounds:
         if stop_height is not None:
             s = s.withColumn("d", F.when(F.col("d") <= stop_height, F.col("d")))
         s = s.withColumns({"before": F.lag("d").over(spec), "after": F.lead("d").over(spec), "alive": F.count(F.lit(1)).over(Window.partitionBy("series_id"))})
-        takes = F.col("d").isNotNull() & (F.col("before").isNull() | (F.col("d") < F.col("before"))) & (F.col("after").isNull() | (F.col("d") <= F.col("after"))) & (F.col("alive") > stop_clusters)
-        s = s.withColumn("takes", F.coalesce(takes, F.lit(False))).withColumn("taken", F.coalesce(F.lag("takes").over(spec), F.lit(False)))
+        least = F.col("d").isNotNull() & (F.col("before").isNull() | (F.col("d") <= F.col("before"))) & (F.col("after").isNull() | (F.col("d") <= F.col("after")))
+        s = s.withColumns({"least": F.coalesce(least, F.lit(False)), "place": F.row_number().over(spec)})
+        edge = F.max(F.when(~F.col("least"), F.col("place"))).over(spec.rowsBetween(Window.unboundedPreceding, 0))
+        s = s.withColumn("takes", F.col("least") & ((F.col("place") - F.coalesce(edge, F.lit(0))) % 2 == 1))
+        order = F.row_number().over(Window.partitionBy("series_id", "takes").orderBy("d", "seg_lo"))
+        s = s.withColumn("takes", F.col("takes") & (order <= F.col("alive") - stop_clusters))
+        s = s.withColumn("taken", F.coalesce(F.lag("takes").over(spec), F.lit(False)))
         s = s.withColumns({"hi2": F.lead("seg_hi").over(spec), "n2": F.lead("n").over(spec), "total2": F.lead("total").over(spec)})
         merged = s.filter(~F.col("taken")).select(
             "series_id", "seg_lo", F.when(F.col("takes"), F.col("hi2")).otherwise(F.col("seg_hi")).alias("seg_hi"),
             F.when(F.col("takes"), F.col("n") + F.col("n2")).otherwise(F.col("n")).alias("n"),
             F.when(F.col("takes"), F.zip_with("total", "total2", lambda x, y: x + y)).otherwise(F.col("total")).alias("total"),
         )
-        new = materialise(merged, "rounds")
-        done = new.count() == state.count()
-        state = new
-        if done:
+        state, before = materialise(merged, "rounds"), left
+        left = state.count()
+        if left == before:
             break
     return state.select("series_id", (F.row_number().over(spec) - 1).alias("cluster_id"), "seg_lo", "seg_hi", "n")

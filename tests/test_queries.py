@@ -76,6 +76,18 @@ def test_rounds_join_what_the_heap_joins_without_inversions(spark):
     assert sorted((r.seg_lo, r.seg_hi) for r in got) == sorted((x.lo, x.hi) for x in f.roots())
 
 
+def test_rounds_go_on_until_the_asked_number_is_left(spark):
+    flat = [("flat", i, [1.0, 2.0, 4.0]) for i in range(150)]
+    ramp = [("ramp", i, [0.0, float(i)]) for i in range(150)]
+    fall = [("fall", i, [0.0, float(v)]) for i, v in enumerate(np.cumsum(np.arange(12, 0, -1) ** 2))]
+    df = spark.createDataFrame(flat + ramp + fall, "series_id string, seg int, xs array<double>")
+    for stop in (1, 7):
+        got = contig.agglomerate_rounds(df, stop_clusters=stop).toPandas()
+        for name, n in (("flat", 150), ("ramp", 150), ("fall", 12)):
+            g = got[got["series_id"] == name].sort_values("seg_lo")
+            assert len(g) == stop and g["n"].sum() == n and (g["seg_hi"] - g["seg_lo"] + 1 == g["n"]).all()
+
+
 def test_truth_and_auc(spark):
     pts = spark.createDataFrame([("s", i, int(i in (5, 6))) for i in range(12)], "series_id string, pos long, y_true int")
     y = {r.start: r.y for r in metrics.window_truth(pts, 3).collect()}
