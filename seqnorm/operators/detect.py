@@ -16,12 +16,12 @@ from seqnorm.operators.model import living_of
 from seqnorm.session import ship
 
 SCORES = "series_id string, start bigint, score double, nearest int, no_active boolean, event string, pattern_id int"
-EVENTS = ("off", "on_recurring", "born")
+EVENTS = ("off", "on_recurring", "born", "refused")
 
 
 def events_of(found: Detected) -> list[tuple[int, str, int]]:
-    """(window, kind, pattern) of every change of activity; the first window's state is no change."""
-    out = [(j, "born", q) for j, q in found.births]
+    """(window, kind, pattern) of every change of activity, and of every pattern refused; the first window's state is no change."""
+    out = [(j, "born", q) for j, q in found.births] + [(j, "refused", -1) for j in found.refused]
     born = {q: j for j, q in found.births}
     for q in range(found.active.shape[1]):
         change = np.flatnonzero(np.diff(found.active[:, q].astype(np.int8))) + 1

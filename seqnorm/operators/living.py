@@ -30,7 +30,7 @@ class Params:
     delta: int = 0
     retry_every: int | None = None
     relearn_mult: float = 1.0
-    max_patterns: int = 64
+    max_patterns: int | None = None  # with a limit, admitted patterns beyond it are refused and reported
     min_separation: float | None = None
     births: bool = True
     all_active: bool = False
@@ -148,6 +148,7 @@ class Detected:
     births: list[tuple[int, int]]  # (window, pattern)
     epochs: int = 0
     evaluations: int = 0
+    refused: list[int] = field(default_factory=list)  # windows at which max_patterns kept an admitted pattern out
 
 
 def activity(phi: np.ndarray, freq: float, win: int, params: Params) -> tuple[np.ndarray, np.ndarray]:
@@ -188,11 +189,16 @@ def accept(candidate: Pattern, model: Living, params: Params) -> bool:
     return far and (not model.patterns or candidate.freq > min(p.freq for p in model.patterns))
 
 
+def full(model: Living, params: Params) -> bool:
+    return params.max_patterns is not None and len(model.patterns) >= params.max_patterns
+
+
 def detect_series(x: np.ndarray, model: Living, params: Params) -> Detected:
     """Scores of all windows.  For given patterns everything is a function of position; a birth changes only what comes
     after it, so each epoch ends at the first window without an active pattern whose proposal is admitted."""
     model, ell, n = model.copy(), params.ell, len(x) - params.ell + 1
     births: list[tuple[int, int]] = []
+    refused: list[int] = []
     if n <= 0:
         z = np.zeros(0)
         return Detected(z, z.astype(int), z.astype(bool), np.zeros((0, len(model.patterns)), bool), np.zeros((0, len(model.patterns))), np.zeros((0, len(model.patterns))), model, births)
@@ -215,7 +221,7 @@ def detect_series(x: np.ndarray, model: Living, params: Params) -> Detected:
     pace, epochs, at = params.retry_every or ell, 1, 0
     if params.births:
         # before a first full segment has been seen there is nothing to learn from
-        while len(model.patterns) < params.max_patterns:
+        while True:
             none = ~np.logical_or.reduce(act) if act else np.ones(n, bool)
             none[: max(at, 2 * params.ell_m)] = False
             if not none.any():
@@ -225,7 +231,9 @@ def detect_series(x: np.ndarray, model: Living, params: Params) -> Detected:
             stretch = x[max(0, j + ell - back) : j + ell + params.delta]
             epochs += 1
             candidate = propose(stretch, params, min(model.win, max(1, len(stretch) - ell + 1)))
-            if candidate is not None and accept(candidate, model, params):
+            if candidate is not None and accept(candidate, model, params) and full(model, params):
+                refused.append(j)
+            elif candidate is not None and accept(candidate, model, params):
                 born = replace(candidate, born_at=j, origin="born", members=[])
                 model.patterns.append(born)
                 births.append((j, len(model.patterns) - 1))
@@ -233,7 +241,7 @@ def detect_series(x: np.ndarray, model: Living, params: Params) -> Detected:
                 act[-1][j] = True
             at = j + pace
     if not dist:
-        return Detected(np.zeros(n), np.full(n, -1), np.ones(n, bool), np.zeros((n, 0), bool), np.zeros((n, 0)), np.zeros((n, 0)), model, births, epochs, evaluations)
+        return Detected(np.zeros(n), np.full(n, -1), np.ones(n, bool), np.zeros((n, 0), bool), np.zeros((n, 0)), np.zeros((n, 0)), model, births, epochs, evaluations, refused)
     d, on = np.stack(dist, 1), np.stack(act, 1)
     no_active = ~on.any(1)
     masked = np.where(on | no_active[:, None], d, np.inf)
@@ -245,7 +253,7 @@ def detect_series(x: np.ndarray, model: Living, params: Params) -> Detected:
         score = d @ (weight / weight.sum())
     else:
         score = window_score(d, nearest, ell, params.align)
-    return Detected(score, nearest, no_active, on, d, np.stack(avg, 1), model, births, epochs, evaluations)
+    return Detected(score, nearest, no_active, on, d, np.stack(avg, 1), model, births, epochs, evaluations, refused)
 
 
 def offline_series(x: np.ndarray, params: Params) -> Detected:

@@ -47,7 +47,7 @@ def range_join(a: DataFrame, b: DataFrame, a_lo: str, a_hi: str, b_lo: str, b_hi
 
 
 def theta_join(a: DataFrame, small: DataFrame, condition: Column) -> DataFrame:
-    """Any condition against a model-sized side (patterns of a series: at most max_patterns rows)."""
+    """Any condition against a model-sized side (patterns of a series: as many rows as it has learned)."""
     return a.join(F.broadcast(small), condition)
 
 

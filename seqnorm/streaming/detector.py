@@ -13,7 +13,7 @@ from pyspark.sql import functions as F
 from pyspark.sql.streaming import StatefulProcessor
 
 from seqnorm.functions import distance as D
-from seqnorm.operators.living import Living, Params, accept, eta_of, fit_series, propose
+from seqnorm.operators.living import Living, Params, accept, eta_of, fit_series, full, propose
 from seqnorm.session import ship
 
 OUT = "series_id string, start bigint, score double, nearest int, no_active boolean, event string, pattern_id int"
@@ -74,11 +74,13 @@ class LiveSeries:
         active = []
         for i, p in enumerate(model.patterns):
             active.append(self._see(i, p, w))
-        if not any(active) and params.births and j >= self.retry and len(model.patterns) < params.max_patterns and j >= 2 * params.ell_m:
+        if not any(active) and params.births and j >= self.retry and j >= 2 * params.ell_m:
             back = int(max(model.win, 2 * params.ell_m) * params.relearn_mult)
             stretch = np.array(self.x[max(0, j + params.ell - back - self.base) : j + params.ell - self.base])
             candidate = propose(stretch, params, min(model.win, max(1, len(stretch) - params.ell + 1)))
-            if candidate is not None and accept(candidate, model, params):
+            if candidate is not None and accept(candidate, model, params) and full(model, params):
+                yield j, None, -1, False, "refused", -1
+            elif candidate is not None and accept(candidate, model, params):
                 model.patterns.append(replace(candidate, born_at=j, origin="born", members=[]))
                 self._track(model.patterns[-1], j)
                 active.append(self._see(len(model.patterns) - 1, model.patterns[-1], w))
@@ -106,7 +108,7 @@ class LiveSeries:
 
 
 class Detector(StatefulProcessor):
-    """State of a series: its points, memberships and patterns, all bounded by the window and the pattern limit."""
+    """State of a series: its points, memberships and patterns; points and memberships are bounded by the window, patterns only by max_patterns where given."""
 
     def __init__(self, params: Params, train_points: int):
         self.params, self.train_points = params, train_points

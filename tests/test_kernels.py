@@ -1,12 +1,16 @@
 """Worked examples and invariants of the kernels."""
 
+from dataclasses import replace
+
 import numpy as np
 import pytest
 
 from seqnorm.baselines import kernels
 from seqnorm.functions import distance as D
 from seqnorm.operators import contig
+from seqnorm.operators.detect import events_of
 from seqnorm.operators.living import Params, activity, detect_series, fit_series, offline_series
+from seqnorm.streaming.detector import LiveSeries
 
 RNG = np.random.default_rng(0)
 
@@ -113,6 +117,23 @@ def test_birth_and_recurrence():
     assert not again.births and again.active[1200:3400].any() and again.model.win <= p.win_max * p.ell
 
 
+def test_births_have_no_limit_and_refusals_are_reported():
+    rng = np.random.default_rng(4)
+    # 200 concepts of random shape, of which a good third are admitted
+    shapes = np.cumsum(rng.normal(size=(200, 10)), 1)
+    x = np.concatenate([np.tile(s - s.mean(), 30) for s in shapes]) + 0.02 * rng.normal(size=200 * 300)
+    p = Params(ell=10)
+    model = fit_series(x[:600], p)
+    found = detect_series(x, model, p)
+    assert len(found.model.patterns) > 64 and not found.refused
+    few = detect_series(x, model, replace(p, max_patterns=len(model.patterns) + 2))
+    assert len(few.births) == 2 and few.births == found.births[:2] and few.refused
+    events = [e for e in events_of(few) if e[1] == "refused"]
+    assert events == [(j, "refused", -1) for j in few.refused] and min(few.refused) > few.births[-1][0]
+    live = LiveSeries(replace(p, max_patterns=len(model.patterns)), 600)
+    assert any(r[4] == "refused" for i, v in enumerate(x[:3000]) for r in live.push(i, float(v)))
+
+
 def test_online_sees_only_the_past():
     x, p = carrier(), Params()
     model = fit_series(x[:1200], p)
