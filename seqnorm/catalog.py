@@ -94,6 +94,25 @@ def dist_dtw_small(s: SparkSession, d: str) -> DataFrame:
     return rounded(_vector_pairs(s, d, 8).select("a", "b", F.call_udf("dtw_dist", "xa", "xb").alias("dist")), "dist")
 
 
+def _all_pairs(kind: str) -> Query:
+    """Distances of every pair of vectors of the whole table."""
+
+    def run(s: SparkSession, d: str) -> DataFrame:
+        from seqnorm.functions import registry
+
+        registry.register(s)
+        plain = kind not in ("zm", "zn")  # the others are made ready once for each vector, not for each pair
+        v = P.vectors(s, d).select("start", (F.col("xs") if plain else D.centred(F.col("xs"))).alias("xs")).repartition(4 * s.sparkContext.defaultParallelism, "start")
+        if kind == "zn":
+            sd = F.sqrt(F.aggregate("xs", F.lit(0.0), lambda t, x: t + x * x) / F.size("xs"))
+            v = v.select("start", "xs", sd.alias("sd")).select("start", F.transform("xs", lambda x: F.when(F.col("sd") < D.FLAT, 0.0).otherwise(x / F.col("sd"))).alias("xs"))
+        a, b = v.select(F.col("start").alias("a"), F.col("xs").alias("xa")), v.select(F.col("start").alias("b"), F.col("xs").alias("xb"))
+        how = D.euclid if kind in ("zm", "zn") else (lambda x, y: F.call_udf(f"{kind}_dist", x, y))
+        return rounded(a.join(b, F.col("a") < F.col("b")).select("a", "b", how(F.col("xa"), F.col("xb")).alias("dist")), "dist")
+
+    return run
+
+
 def _day_pairs(s: SparkSession, d: str) -> DataFrame:
     g = segment.segments(P.hourly(s, d), ELL)
     return g.select(F.col("seg").alias("a"), F.col("xs").alias("xa")).join(g.select(F.col("seg").alias("b"), F.col("xs").alias("xb")), F.col("b") == F.col("a") + 1)
@@ -521,6 +540,25 @@ def _asof(direction: str) -> Query:
     return lambda s, d: rounded(relational.asof(_days(s, d), _marks(s, d), "series_id", "pos", "mark", direction).select("pos", "mark"), "mark", digits=2)
 
 
+def _asof_all(direction: str) -> Query:
+    """As-of against every day of orders on which something was ordered."""
+
+    def run(s: SparkSession, d: str) -> DataFrame:
+        marks = P.daily_orders(s, d).filter("x > 0").select(F.lit("daily_lineitem").alias("series_id"), "pos", F.col("x").alias("mark"))
+        return rounded(relational.asof(_days(s, d), marks, "series_id", "pos", "mark", direction).select("pos", "mark"), "mark", digits=2)
+
+    return run
+
+
+def op_range_join_lineitem(s: SparkSession, d: str) -> DataFrame:
+    """Every line item's days in use, one piece a day from its shipment, and the weeks (counted from 1970) that they meet."""
+    lo = F.unix_date(F.col("l_shipdate").cast("date")).cast("bigint")
+    b = P.table(s, d, "lineitem").select("l_orderkey", "l_linenumber", lo.alias("b_lo"), (lo + F.col("l_quantity").cast("bigint") - 1).alias("b_hi"))
+    ends = b.agg(F.floor(F.min("b_lo") / 7).alias("first"), F.floor(F.max("b_hi") / 7).alias("last"))
+    weeks = ends.select(F.explode(F.sequence("first", "last")).alias("w")).select((F.col("w") * 7).alias("a_lo"), (F.col("w") * 7 + 6).alias("a_hi"))
+    return relational.range_join(weeks, b, "a_lo", "a_hi", "b_lo", "b_hi", 16)
+
+
 def op_range_join(s: SparkSession, d: str) -> DataFrame:
     """Weeks and overlapping stretches of ten days that meet them."""
     a = s.range(50).select((F.col("id") * 7).alias("a_lo"), (F.col("id") * 7 + 6).alias("a_hi"))
@@ -717,7 +755,7 @@ def queries() -> dict[str, Query]:
         " adaptive_window_daily auc_carrier auc_binned roc_points confusion fp_after_drift dissim_matrix anom_dissim unclustered_by_rmin by_region dataset_card"
         " stability op_range_join op_semi op_anti op_cross_pivot op_unpivot op_agg_stats op_grouping_sets op_cube op_rollup op_rank_suite op_range_frame op_rolling"
         " op_running op_islands op_topk op_topk_per op_percentile op_count_distinct op_json_props op_tumbling op_sliding op_session op_lateral_topk op_full_outer"
-        " op_sample_md5 stream_hourly stream_session stream_dedup stream_detect"
+        " op_sample_md5 stream_hourly stream_session stream_dedup stream_detect op_range_join_lineitem"
     ).split()
     out = _points() | {name: getattr(here, name) for name in plain} | _injectors() | _workloads()
     out |= {f"link_{k}": _links(k) for k in ("single", "complete", "average", "centroid", "ward")}
@@ -726,6 +764,8 @@ def queries() -> dict[str, Query]:
     out |= {"label_radius": _labelled("radius"), "label_threshold": _labelled("threshold", threshold=1000.0), "label_topk": _labelled("topk", k=20), "label_quantile": _labelled("quantile", q=0.95)}
     out |= {"admit_dissimilar": _admission("dissimilar"), "admit_frequent": _admission("frequent"), "admit_both": _admission("admitted")}
     out |= {"auc_doc_toxic": _auc_doc(lambda: F.col("toxic")), "auc_doc_quality": _auc_doc(lambda: 1 - F.col("quality"))}
+    out |= {f"dist_emb_{k}_all": _all_pairs(k) for k in ("zm", "zn", "sbd", "dtw")}
+    out |= {f"op_asof_{k}_all": _asof_all(k) for k in ("backward", "forward", "nearest")}
     out |= {f"op_asof_{k}": _asof(k) for k in ("backward", "forward", "nearest")}
     out |= {
         "static_weighted_carrier": _baseline(detectors.static_weighted),

@@ -66,6 +66,24 @@ def dtw(a: np.ndarray, b: np.ndarray, band: int | None = None) -> float:
     return float(np.sqrt(row[m]))
 
 
+def dtw_rows(a: np.ndarray, b: np.ndarray, rows: int = 256) -> np.ndarray:
+    """Warping distances of the rows of a to those of b, without a band; a diagonal of the table at a time for many pairs."""
+    a, b, out = prepare(a, "zm"), prepare(b, "zm"), np.empty(len(a))
+    n, m = a.shape[1], b.shape[1]
+    for at in range(0, len(a), rows):
+        x, y = a[at : at + rows], b[at : at + rows, ::-1]
+        before, last = np.full((len(x), n + 1), np.inf), np.full((len(x), n + 1), np.inf)  # by row of the table
+        before[:, 0] = 0.0
+        for s in range(2, n + m + 1):
+            lo, hi = max(1, s - m), min(n, s - 1)
+            now = np.full((len(x), n + 1), np.inf)
+            gap = x[:, lo - 1 : hi] - y[:, m - s + lo : m - s + hi + 1]
+            now[:, lo : hi + 1] = gap * gap + np.minimum(np.minimum(last[:, lo - 1 : hi], before[:, lo - 1 : hi]), last[:, lo : hi + 1])
+            before, last = last, now
+        out[at : at + rows] = np.sqrt(last[:, n])
+    return out
+
+
 _NAMED: dict[str, Callable[[np.ndarray, np.ndarray], float]] = {"zm": zm, "zn": zn, "sbd": sbd, "dtw": dtw}
 
 

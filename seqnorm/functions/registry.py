@@ -19,6 +19,20 @@ def _pairwise(fn):  # noqa: ANN001, ANN202
     return pandas_udf(run, "double")
 
 
+def dtw(a: pd.Series, b: pd.Series) -> pd.Series:
+    """Warping distances; pairs of equal shape go through one table together."""
+    out, alike = pd.Series(np.nan, index=a.index), {}
+    for i, (x, y) in enumerate(zip(a, b)):
+        if x is not None and y is not None:
+            alike.setdefault((len(x), len(y)), []).append(i)
+    for (n, m), at in alike.items():
+        if n and m:
+            out.iloc[at] = D.dtw_rows(np.stack(a.iloc[at].to_list()).astype(float), np.stack(b.iloc[at].to_list()).astype(float))
+        else:
+            out.iloc[at] = [D.dtw(np.asarray(a.iloc[i], float), np.asarray(b.iloc[i], float)) for i in at]
+    return out
+
+
 def phi(d: pd.Series, tau: pd.Series, eta: pd.Series) -> pd.Series:
     return pd.Series(np.where(d <= tau, 1.0, np.exp(-eta * (d - tau).clip(lower=0))))
 
@@ -38,9 +52,10 @@ def auc(score: pd.Series, y: pd.Series) -> float:
 
 def register(spark: SparkSession) -> None:
     ship(spark)
-    named = {"zm_dist": D.zm, "zn_dist": D.zn, "sbd_dist": D.sbd, "dtw_dist": D.dtw, "min_place": lambda p, w: D.min_place(p, w)[0]}
+    named = {"zm_dist": D.zm, "zn_dist": D.zn, "sbd_dist": D.sbd, "min_place": lambda p, w: D.min_place(p, w)[0]}
     for name, fn in named.items():
         spark.udf.register(name, _pairwise(fn))
+    spark.udf.register("dtw_dist", pandas_udf(dtw, "double"))
     spark.udf.register("phi", pandas_udf(phi, "double"))
     spark.udf.register("centroid", pandas_udf(centroid, "array<double>"))
     spark.udf.register("auc", pandas_udf(auc, "double"))

@@ -32,6 +32,8 @@ def test_distances():
     assert D.sbd(a, b) == pytest.approx(1 - cross / np.linalg.norm(D.prepare(a, "zm")) / np.linalg.norm(D.prepare(b, "zm")))
     assert D.dtw(a, a) == 0 and D.dtw(a, b) <= D.zm(a, b) + 1e-12 and D.dtw(a, b, 0) == pytest.approx(D.zm(a, b))
     pattern = np.r_[b, a]
+    many = RNG.normal(size=(2, 300, 24))
+    assert D.dtw_rows(*many) == pytest.approx([D.dtw(x, y) for x, y in zip(*many)])
     best, at = D.min_place(pattern, a)
     assert at == 24 and best == pytest.approx(0, abs=1e-6)
     assert all(best <= D.zm(pattern[o : o + 24], a) + 1e-9 for o in range(25))

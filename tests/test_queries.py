@@ -6,6 +6,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from seqnorm import catalog
+from seqnorm.functions import distance as D
 from seqnorm.operators import contig, detect, metrics, model, segment
 from seqnorm.operators.living import Params
 from seqnorm.sources import points as P
@@ -44,6 +45,28 @@ def test_catalog_is_consistent():
     assert set(catalog.oracle_sql()) <= set(catalog.queries()) and len(catalog.queries()) > 160
 
 
+def test_whole_tables_reach_the_distances_and_joins(spark, duck):
+    v = {r.vec_id: np.array(r.embedding, float) for r in spark.read.parquet(f"{SF}/embeddings.parquet").collect()}
+    pairs = len(v) * (len(v) - 1) // 2
+    for kind in ("zm", "zn"):
+        got = catalog.queries()[f"dist_emb_{kind}_all"](spark, SF).toPandas()
+        assert len(got) == len(got[["a", "b"]].drop_duplicates()) == pairs and (got["a"] < got["b"]).all()
+        for a, b, dist in got.iloc[:: pairs // 200].itertuples(index=False):
+            assert dist == pytest.approx(D.named(kind)(v[a], v[b]), abs=1e-4)
+    for kind in ("sbd", "dtw"):
+        few = catalog.queries()[f"dist_emb_{kind}_all"](spark, SF).filter("a % 100 = 99 and b % 50 = 49").toPandas()
+        assert len(few) == 8 + 6 + 4 + 2 and few["a"].max() > 8
+        assert all(r.dist == pytest.approx(D.named(kind)(v[r.a], v[r.b]), abs=1e-4) for r in few.itertuples())
+    got = catalog.queries()["op_range_join_lineitem"](spark, SF).toPandas()
+    same(got, duck.execute("""with b as (select l_orderkey, l_linenumber, date_diff('day', date '1970-01-01', cast(l_shipdate as date)) as b_lo, date_diff('day', date '1970-01-01', cast(l_shipdate as date)) + cast(l_quantity as bigint) - 1 as b_hi from lineitem)
+        select w * 7 as a_lo, w * 7 + 6 as a_hi, b.* from b, unnest(range(b_lo // 7, b_hi // 7 + 1)) t(w)""").df())
+    days, marks = P.daily_lineitem(spark, SF).toPandas(), P.daily_orders(spark, SF).filter("x > 0").toPandas()
+    got = catalog.queries()["op_asof_backward_all"](spark, SF).toPandas().sort_values("pos")
+    at = np.searchsorted(np.sort(marks["pos"]), got["pos"], "right") - 1
+    want = marks.sort_values("pos")["x"].to_numpy()[at]
+    assert len(got) == len(days) and np.allclose(got["mark"].to_numpy(float)[at >= 0], want[at >= 0], atol=0.01)
+
+
 def test_batch_blocks_and_series_agree(spark):
     pts = catalog._drifting(spark, SF).cache()
     p = Params(births=False)
