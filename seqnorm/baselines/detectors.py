@@ -29,7 +29,7 @@ def per_series(points: DataFrame, kernel: Callable[[np.ndarray], np.ndarray]) ->
     return points.select("series_id", "pos", "x").groupBy("series_id").applyInPandas(run, SCORES)
 
 
-def static_weighted(points: DataFrame, ell: int, mult: int = 2, sample: int = 300, select: str = "random", weight: str = "freq") -> DataFrame:
+def static_weighted(points: DataFrame, ell: int, mult: int = 2, sample: int = 5000, select: str = "random", weight: str = "freq") -> DataFrame:
     def kernel(x: np.ndarray) -> np.ndarray:
         shapes, weights = kernels.static_fit(x, ell, mult, sample, select, weight)
         return kernels.static_score(x, shapes, weights, ell)

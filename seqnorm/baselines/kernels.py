@@ -17,7 +17,7 @@ def centred_mean(v: np.ndarray, width: int) -> np.ndarray:
 # -- static weighted model ---------------------------------------------------------------------------
 
 
-def static_fit(x: np.ndarray, ell: int, mult: int = 2, sample: int = 300, select: str = "random", weight: str = "freq", seed: int = 3) -> tuple[list[np.ndarray], np.ndarray]:
+def static_fit(x: np.ndarray, ell: int, mult: int = 2, sample: int = 5000, select: str = "random", weight: str = "freq", seed: int = 3) -> tuple[list[np.ndarray], np.ndarray]:
     """(patterns, weights): clusters of sampled windows without any constraint in time, cut at the largest relative jump."""
     length = ell * mult
     windows = D.sliding(x, length) if len(x) >= length else np.zeros((0, length))
@@ -142,7 +142,7 @@ def k_shape(rows: np.ndarray, k: int, seed: int = 5, rounds: int = 10) -> tuple[
     return centres, owner
 
 
-def batch_shape(x: np.ndarray, ell: int, mult: int = 2, batch: int = 5000, k: int = 4, alpha: float = 0.5, decay: float = 0.8, sample: int = 200, mode: str = "online") -> np.ndarray:
+def batch_shape(x: np.ndarray, ell: int, mult: int = 2, batch: int = 5000, k: int = 4, alpha: float = 0.5, decay: float = 0.8, sample: int | None = None, mode: str = "online") -> np.ndarray:
     """Scores of all windows with a shape model that every batch refreshes."""
     n, length = len(x) - ell + 1, ell * mult
     out = np.zeros(max(n, 0))
@@ -154,7 +154,7 @@ def batch_shape(x: np.ndarray, ell: int, mult: int = 2, batch: int = 5000, k: in
         part = x[at : min(at + batch + ell - 1, len(x))]
         if len(part) >= length:
             windows = D.sliding(part, length)
-            rows = windows[np.linspace(0, len(windows) - 1, min(sample, len(windows))).astype(int)]
+            rows = windows[np.linspace(0, len(windows) - 1, min(sample or len(windows), len(windows))).astype(int)]
             fresh, owner = k_shape(rows, min(k, len(rows)))
             weights = [w * decay for w in weights]
             for c, centre in enumerate(fresh):
@@ -312,7 +312,7 @@ class Transformer:
         return ((o1 - x) ** 2).mean(1) / 2 + ((o2 - x) ** 2).mean(1) / 2
 
 
-def transformer_fit(x: np.ndarray, ell: int, epochs: int = 3, seed: int = 0, most: int = 1500) -> tuple[Transformer, float, float]:
+def transformer_fit(x: np.ndarray, ell: int, epochs: int = 3, seed: int = 0, most: int | None = None) -> tuple[Transformer, float, float]:
     lo, hi = float(x.min()), float(x.max())
     ready = (x - lo) / (hi - lo if hi > lo else 1.0)
     windows = D.sliding(ready, ell)

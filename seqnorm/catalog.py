@@ -772,7 +772,7 @@ def queries() -> dict[str, Query]:
         "batch_shape_carrier": _baseline(detectors.batch_shape),
         "discord_carrier": _baseline(detectors.backward_discord),
         "discord_bounded_carrier": _baseline(detectors.backward_discord, lookback=1000, block=2048),
-        "transformer_carrier": _baseline(detectors.transformer, stride=5),
+        "transformer_carrier": _baseline(detectors.transformer),
         "op_union": lambda s, d: _half(s, d, 150).union(_half(s, d, 200)),
         "op_intersect": lambda s, d: _half(s, d, 100).intersect(_half(s, d, 120)),
         "op_except": lambda s, d: _half(s, d, 50).subtract(_half(s, d, 120)),

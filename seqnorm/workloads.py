@@ -42,7 +42,7 @@ def score_of(method: str, x: np.ndarray, p: Params) -> tuple[np.ndarray, int, di
     if method == "discord":
         return kernels.backward_discord(x, ell), ell // 2, {}
     if method == "transformer":
-        return kernels.transformer_score(x, ell, epochs=3, stride=5), ell // 2, {}
+        return kernels.transformer_score(x, ell, epochs=3), ell // 2, {}
     raise ValueError(f"unknown method {method}")
 
 

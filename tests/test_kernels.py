@@ -199,3 +199,20 @@ def test_transformer_gradients():
             loss.append((((y @ net.p["o1"])[..., 0] + net.p["b1"] - x) ** 2).mean())
         net.p[name][at] += 1e-5
         assert grad[name][at] == pytest.approx((loss[0] - loss[1]) / 2e-5, rel=1e-3, abs=1e-7)
+
+
+def test_baselines_take_the_windows_that_the_series_has(monkeypatch):
+    from seqnorm import workloads
+
+    x, seen = carrier(3000), {}
+    real_shape, real_step = kernels.k_shape, kernels.Transformer.step
+    monkeypatch.setattr(kernels, "k_shape", lambda rows, k: seen.setdefault("batch", len(rows)) and real_shape(rows[:50], k))
+    monkeypatch.setattr(kernels, "_free_clusters", lambda ready: seen.setdefault("static", len(ready)) and [[0, 1], [2]])
+    monkeypatch.setattr(kernels.Transformer, "step", lambda net, rows, mix: seen.update(net=seen.get("net", 0) + len(rows)))
+    kernels.batch_shape(x, 50)
+    kernels.static_fit(x, 50)
+    kernels.transformer_fit(x, 50, epochs=1)
+    assert seen == {"batch": 2901, "static": 2901, "net": 2951}
+    monkeypatch.setattr(kernels.Transformer, "step", real_step)
+    score, *_ = workloads.score_of("transformer", x[:1200], Params())
+    assert np.array_equal(score, kernels.transformer_score(x[:1200], 50, epochs=3, stride=1))
