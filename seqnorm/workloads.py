@@ -146,14 +146,14 @@ def carriers(spark: SparkSession, sf_dir: str) -> dict[str, tuple[DataFrame, int
 # -- experiments -------------------------------------------------------------------------------------
 
 
-def x1(spark: SparkSession, sf_dir: str, kind: str = "heart", sweep: Sequence[int] = (2, 5, 11), methods: Sequence[str] = ALL) -> DataFrame:
+def x1(spark: SparkSession, sf_dir: str, kind: str = "heart", sweep: Sequence[int] = tuple(range(2, 12)), methods: Sequence[str] = ALL) -> DataFrame:
     """Abrupt drifts: n_d cuts, four concepts in turn, scale anomalies."""
     n = _n(spark, sf_dir) // (1 if kind == "heart" else 5)
     make = heart if kind == "heart" else services
     return run({f"n_d={d}": inject.scale(make(spark, sf_dir, inject.abrupt(inject.cuts(n, d, 1), 4)), 0.05) for d in sweep}, methods=methods)
 
 
-def x2(spark: SparkSession, sf_dir: str, kind: str = "heart", sweep: Sequence[int] = (10, 30, 50), methods: Sequence[str] = ALL) -> DataFrame:
+def x2(spark: SparkSession, sf_dir: str, kind: str = "heart", sweep: Sequence[int] = (10, 20, 30, 40, 50), methods: Sequence[str] = ALL) -> DataFrame:
     """Gradual drifts: five hand-overs that fill a share of the series."""
     n = _n(spark, sf_dir) // (1 if kind == "heart" else 5)
     make, frames = heart if kind == "heart" else services, {}
@@ -163,25 +163,25 @@ def x2(spark: SparkSession, sf_dir: str, kind: str = "heart", sweep: Sequence[in
     return run(frames, methods=methods)
 
 
-def x3(spark: SparkSession, sf_dir: str, ratios: Sequence[tuple[int, int]] = ((1, 9), (5, 5), (8, 2), (9, 1)), shares: Sequence[int] = (5, 20), methods: Sequence[str] = ALL) -> DataFrame:
+def x3(spark: SparkSession, sf_dir: str, ratios: Sequence[tuple[int, int]] = ((1, 9), (5, 5), (8, 2), (9, 1)), shares: Sequence[int] = (1, 5, 10, 15, 20, 25, 30), methods: Sequence[str] = ALL) -> DataFrame:
     """Temporal context: A then B, with windows of B that look like A."""
     n = _n(spark, sf_dir)
     return run({f"{a}:{b} {s}%": inject.lookalike(heart(spark, sf_dir, inject.ratio(n, a, b)), s / 100) for a, b in ratios for s in shares}, methods=methods)
 
 
-def x4(spark: SparkSession, sf_dir: str, sweep: Sequence[int] = (20, 60, 100), methods: Sequence[str] = ALL) -> DataFrame:
+def x4(spark: SparkSession, sf_dir: str, sweep: Sequence[int] = (20, 40, 60, 80, 100), methods: Sequence[str] = ALL) -> DataFrame:
     """Several normal patterns: 10 periods of A in turn with longer chunks of B; anomalies in B."""
     return run({f"b={b}": inject.scale(heart(spark, sf_dir, inject.alternate(b)), 0.05, where=F.col("concept") == 1) for b in sweep}, methods=methods)
 
 
-def x5a(spark: SparkSession, sf_dir: str, laws: Sequence[str] = ("uniform", "gauss", "rayleigh", "invrayleigh"), shares: Sequence[int] = (5, 30), methods: Sequence[str] = ALL) -> DataFrame:
+def x5a(spark: SparkSession, sf_dir: str, laws: Sequence[str] = ("uniform", "gauss", "rayleigh", "invrayleigh"), shares: Sequence[int] = (5, 10, 15, 20, 25, 30), methods: Sequence[str] = ALL) -> DataFrame:
     """Where anomalies are placed in time, on the weekly carrier."""
     base = weekly(spark, sf_dir)
     n = base.count()
     return run({f"{law} {s}%": inject.place(base, law, s / 100, n, ell=7) for law in laws for s in shares}, Params(ell=7), methods)
 
 
-def x5b(spark: SparkSession, sf_dir: str, sweep: Sequence[float] = (0.1, 0.5, 1.0, 1.5, 2.0, 3.0), methods: Sequence[str] = OURS) -> DataFrame:
+def x5b(spark: SparkSession, sf_dir: str, sweep: Sequence[float] = (0.1, 0.5, 1.0, 1.5, 2.0, 2.5, 3.0), methods: Sequence[str] = OURS) -> DataFrame:
     """How far anomalies lie from normal: factors around s, with the anomalies' distance to their nearest normal pattern."""
     base = weekly(spark, sf_dir)
     frames = {f"s={s}": inject.scaled_normal(base, s, ell=7) for s in sweep}
@@ -204,7 +204,7 @@ def x5b(spark: SparkSession, sf_dir: str, sweep: Sequence[float] = (0.1, 0.5, 1.
     return out.unionByName(dist)
 
 
-def x6(spark: SparkSession, sf_dir: str, kind: str = "weekly", sweep: Sequence[int] = (1, 10, 30), methods: Sequence[str] = ALL) -> DataFrame:
+def x6(spark: SparkSession, sf_dir: str, kind: str = "weekly", sweep: Sequence[int] = (1, 5, 10, 15, 20, 25, 30), methods: Sequence[str] = ALL) -> DataFrame:
     """Share of anomalies."""
     base, ell = (weekly(spark, sf_dir), 7) if kind == "weekly" else (seasonal(spark, sf_dir), 24)
     return run({f"{s}%": inject.scale(base, s / 100, ell=ell) for s in sweep}, Params(ell=ell), methods)
@@ -220,11 +220,11 @@ def sweep_params(spark: SparkSession, sf_dir: str, settings: dict[str, Callable[
     return run(frames, params, methods, counters=True)
 
 
-def x7a(spark: SparkSession, sf_dir: str, sweep: Sequence[int] = (1, 2, 3, 5, 10)) -> DataFrame:
+def x7a(spark: SparkSession, sf_dir: str, sweep: Sequence[int] = (1, 2, 3, 5, 10, 15, 20)) -> DataFrame:
     return sweep_params(spark, sf_dir, {f"k={k}": lambda p, k=k: replace(p, k=k) for k in sweep})
 
 
-def x7b(spark: SparkSession, sf_dir: str, sweep: Sequence[int] = (10, 20, 50)) -> DataFrame:
+def x7b(spark: SparkSession, sf_dir: str, sweep: Sequence[int] = (10, 20, 30, 40, 50)) -> DataFrame:
     return sweep_params(spark, sf_dir, {f"W={w}": lambda p, w=w: replace(p, win_max=w) for w in sweep}, ("online",))
 
 
@@ -232,7 +232,7 @@ def x7c(spark: SparkSession, sf_dir: str, sweep: Sequence[int] = (2, 3, 4)) -> D
     return sweep_params(spark, sf_dir, {f"L={m}": lambda p, m=m: replace(p, mult=m) for m in sweep}, OURS)
 
 
-def x7d(spark: SparkSession, sf_dir: str, sweep: Sequence[float] = (0.001, 0.01, 0.04, 0.1)) -> DataFrame:
+def x7d(spark: SparkSession, sf_dir: str, sweep: Sequence[float] = (0.001, 0.01, 0.02, 0.04, 0.06, 0.08, 0.1)) -> DataFrame:
     return sweep_params(spark, sf_dir, {f"R={r}": lambda p, r=r: replace(p, r_min=r) for r in sweep})
 
 
@@ -243,15 +243,18 @@ def x8(spark: SparkSession, sf_dir: str, methods: Sequence[str] = ALL) -> DataFr
 
 
 def x9(spark: SparkSession, sf_dir: str, methods: Sequence[str] = ("online",)) -> DataFrame:
-    """Delay buffer: 0, one window, half and all of the currency window."""
+    """Delay buffer: 0, one window, half and all of the currency window, on abrupt and gradual drifts."""
     n = _n(spark, sf_dir)
-    df = inject.scale(heart(spark, sf_dir, inject.abrupt(inject.cuts(n, 5, 1), 4)), 0.05)
+    cuts = inject.cuts(n, 5, 1)
+    concept, inside = inject.gradual(cuts, 0.3 * n / 5, 4, 1)
+    carried = {"abrupt": inject.scale(heart(spark, sf_dir, inject.abrupt(cuts, 4)), 0.05), "gradual": inject.scale(heart(spark, sf_dir, concept, inside), 0.05)}
     deltas = {"0": 0, "ell": ELL, "W/2": 4 * ELL, "W": 8 * ELL}
-    return run({f"delta={k}": df for k in deltas}, {f"delta={k}": Params(delta=v) for k, v in deltas.items()}, methods)
+    settings = {f"{name} delta={k}": (df, Params(delta=v)) for name, df in carried.items() for k, v in deltas.items()}
+    return run({k: df for k, (df, _) in settings.items()}, {k: p for k, (_, p) in settings.items()}, methods)
 
 
 def x10(spark: SparkSession, sf_dir: str, kinds: Sequence[str] = ("zm", "zn")) -> DataFrame:
-    """Distances: on abrupt drifts and on look-alikes.  Shape-based and warping distances run on a slice, being slow by nature."""
+    """Distances: on abrupt drifts and on look-alikes.  Shape-based and warping distances are not run (see the README)."""
     n = _n(spark, sf_dir)
     a = inject.scale(heart(spark, sf_dir, inject.abrupt(inject.cuts(n, 5, 1), 4)), 0.05)
     b = inject.lookalike(heart(spark, sf_dir, inject.ratio(n, 5, 5)), 0.1)

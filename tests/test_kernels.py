@@ -201,6 +201,20 @@ def test_transformer_gradients():
         assert grad[name][at] == pytest.approx((loss[0] - loss[1]) / 2e-5, rel=1e-3, abs=1e-7)
 
 
+def test_experiments_take_the_grids_of_the_survey():
+    from inspect import signature
+
+    from seqnorm import workloads as w
+
+    grid = lambda f, name="sweep": list(signature(f).parameters[name].default)
+    assert grid(w.x1) == list(range(2, 12)) and grid(w.x2) == [10, 20, 30, 40, 50] and grid(w.x4) == [20, 40, 60, 80, 100]
+    shares = [1, 5, 10, 15, 20, 25, 30]
+    assert grid(w.x3, "shares") == grid(w.x6) == shares and grid(w.x5a, "shares") == shares[1:]
+    assert grid(w.x5b) == [0.1, 0.5, 1.0, 1.5, 2.0, 2.5, 3.0] and grid(w.x7a) == [1, 2, 3, 5, 10, 15, 20]
+    assert grid(w.x7b) == [10, 20, 30, 40, 50] and grid(w.x7c) == [2, 3, 4]
+    assert {0.001, 0.01, 0.02, 0.04, 0.06, 0.08, 0.1} == set(grid(w.x7d))
+
+
 def test_baselines_take_the_windows_that_the_series_has(monkeypatch):
     from seqnorm import workloads
 
