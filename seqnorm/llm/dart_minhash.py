@@ -7,9 +7,13 @@ with many shingles costs hardly more than one hash for each, as most of its regi
 
 Bands of coordinates are joined; candidates are checked on the texts; links make classes.  The members of a band's
 bucket are compared with its smallest member only, which is enough where these comparisons put them into one class.
-Buckets that still hold several classes are compared in blocks: pairs of different classes whose sketches are alike are
-checked on their texts then and there, once for each pair, and only links come out.  So no link between classes is lost
-to a hot bucket, and no pair that isn't a link is ever a row.
+Buckets that still hold several classes are compared in blocks, first by sketches alone: what comes out is the members
+that have a likely partner in another class.  Texts join these only, and in each block the likely pairs are checked on
+them, once for each pair, so that only links come out.  No link between classes is lost to a hot bucket, and no pair
+that isn't a link is ever a row.
+
+Classes are the connected parts of the links, found by star contraction: a round hangs the larger neighbours of each
+node on its smallest one, then the smaller ones; there are never more edges than links.
 """
 
 from __future__ import annotations
@@ -23,14 +27,15 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import hold, materialise, ship
+from .common import fresh, hold, join_split, materialise, ship
 
 SHINGLE = 5
 SIMILARITY = 0.8
 BANDS, ROWS = 40, 6
 COORDINATES = BANDS * ROWS
-SALTS = 8
-BLOCK = 500
+#: Members of a block, and words of its texts; a bucket has as many blocks as keep it below both, as dealt by hash.
+BLOCK, BLOCK_WORDS = 2000, 4_000_000
+SETS_HELD = 1000
 WORDS_HELD = 100_000
 #: Sketches agree in as large a part as texts are alike, within 0.03 (one standard deviation).
 SKETCH_MARGIN = 0.15
@@ -183,10 +188,14 @@ def signatures(df: DataFrame, key: str, text: str) -> DataFrame:
 
 
 def verify(pairs: DataFrame, texts: DataFrame) -> DataFrame:
-    """pairs (a, b) with their weighted Jaccard similarity; texts (key, text) has each key once."""
+    """pairs (a, b), each once, with their weighted Jaccard similarity; texts (key, text) has each key once.
+
+    A text with very many partners is joined in copies, a part of the partners each."""
     left = texts.select(F.col("key").alias("a"), F.col("text").alias("ta"))
     right = texts.select(F.col("key").alias("b"), F.col("text").alias("tb"))
-    rows = pairs.select("a", "b").join(left, "a").join(right, "b").select("a", "b", "ta", "tb")
+    many = lambda side: pairs.groupBy(side).agg(F.count(F.lit(1)).alias("n"))
+    rows = join_split(pairs.select("a", "b"), left, ["a"], many("a"), F.xxhash64("b"))
+    rows = join_split(rows, right, ["b"], many("b"), F.xxhash64("a")).select("a", "b", "ta", "tb")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         @lru_cache(maxsize=256)
@@ -200,55 +209,85 @@ def verify(pairs: DataFrame, texts: DataFrame) -> DataFrame:
     return rows.mapInArrow(run, "a bigint, b bigint, similarity double")
 
 
-def components(links: DataFrame, salts: int = SALTS) -> DataFrame:
+def _stars(edges: DataFrame, small: bool) -> DataFrame:
+    """One half round over edges (low, high): the larger (or the smaller) neighbours of each node, and where these are the
+    smaller ones the node itself, hang on its smallest neighbour.  A node that has none smaller is its own."""
+    near = edges.select(F.col("high").alias("node"), F.col("low").alias("other"))
+    both = near if small else near.union(edges.select(F.col("low").alias("node"), F.col("high").alias("other")))
+    least = materialise(both.groupBy("node").agg(F.least("node", F.min("other")).alias("least"), F.count(F.lit(1)).alias("n")), "least")
+    moving = near if small else edges.select(F.col("low").alias("node"), F.col("high").alias("other"))
+    hung = join_split(moving, least.select("node", "least"), ["node"], least.select("node", "n"), F.xxhash64("other"))
+    out = hung.select(F.col("least").alias("low"), F.col("other").alias("high"))
+    if small:
+        out = out.union(least.select(F.col("least").alias("low"), F.col("node").alias("high")))
+    return materialise(out.filter("low < high").distinct(), "stars")
+
+
+def components(links: DataFrame) -> DataFrame:
     """(key, label) of every node of links (a, b): the smallest node that it is connected with.
 
-    Labels travel along links and then to their label's label, until none changes.  A node's label is spread over
-    `salts` buckets, so that a node with very many links is no hot key."""
-    both = links.select("a", "b").union(links.select(F.col("b").alias("a"), F.col("a").alias("b"))).filter("a <> b").distinct()
-    both = materialise(both.withColumn("s", F.pmod(F.xxhash64("b"), F.lit(salts)).cast("int")), "links")
-    labels = both.groupBy(F.col("a").alias("key")).agg(F.least("key", F.min("b")).alias("label"))
-    labels = materialise(labels, "labels")
-    spread = F.explode(F.sequence(F.lit(0), F.lit(salts - 1))).alias("s")
+    A round never has more edges than the one before, and their distances shrink, so that a chain of n links takes
+    about log n rounds; it ends when a round leaves all edges as they were, by count and two sums of their hashes."""
+    edges = materialise(links.select(F.least("a", "b").alias("low"), F.greatest("a", "b").alias("high")).filter("low < high").distinct(), "links")
+    state = None
     while True:
-        sent = both.join(labels.select(F.col("key").alias("a"), "label", spread), ["a", "s"]).groupBy(F.col("b").alias("key")).agg(F.min("label").alias("sent"))
-        near = labels.join(sent, "key").select("key", F.col("label").alias("old"), F.least("label", "sent").alias("near"))
-        near = near.withColumn("s", F.pmod(F.xxhash64("key"), F.lit(salts)).cast("int"))
-        jump = labels.select(F.col("key").alias("near"), F.col("label").alias("far"), spread)
-        moved = materialise(near.join(jump, ["near", "s"]).select("key", "old", F.least("near", "far").alias("label")), "labels")
-        labels = moved.select("key", "label")
-        if moved.filter("label <> old").isEmpty():
-            return labels
+        told = edges.agg(F.count(F.lit(1)), F.bit_xor(F.xxhash64("low", "high")), F.sum(F.pmod(F.xxhash64("high", "low"), F.lit(1 << 31)))).first()
+        if told == state or not told[0]:
+            return edges.select(F.col("high").alias("key"), F.col("low").alias("label")).union(edges.select(F.col("low").alias("key"), F.col("low").alias("label")).distinct())
+        state, edges = told, _stars(_stars(edges, small=False), small=True)
+
+
+GROUP = "band bigint, i int, j int, own int, key bigint, label bigint, n_words bigint, bands array<bigint>, sketch binary"
+
+
+def _likely(group: pa.Table, least: float, similarity: float) -> Iterator[tuple[int, np.ndarray, np.ndarray]]:
+    """Rows of a pair of blocks with the rows of the other block that may be alike: (row, others, shares of equal sketch bytes).
+
+    They are of different classes, share this band first, and neither is too long to be alike the other."""
+    keys, label, own = (group[c].to_numpy() for c in ("key", "label", "own"))
+    i, j, band = group["i"][0].as_py(), group["j"][0].as_py(), group["band"][0].as_py()
+    weight = np.maximum(group["n_words"].to_numpy() - SHINGLE + 1, 1)
+    sketch = np.frombuffer(b"".join(group["sketch"].to_pylist()), np.uint8).reshape(len(keys), -1)
+    bands = group["bands"].combine_chunks().flatten().to_numpy().reshape(len(keys), -1)
+    earlier = bands[:, : int(np.flatnonzero(bands[0] == band)[0])]
+    left, right = np.flatnonzero(own == i), np.flatnonzero(own == j)
+    for x in left:
+        others = right[(label[right] != label[x]) & (np.minimum(weight[right], weight[x]) >= similarity * np.maximum(weight[right], weight[x]))]
+        if i == j:
+            others = others[keys[others] > keys[x]]
+        if len(others):
+            same = (sketch[others] == sketch[x]).mean(1)
+            others, same = others[same >= least], same[same >= least]
+            first = ~(earlier[others] == earlier[x]).any(1)
+            if first.any():
+                yield int(x), others[first], same[first]
 
 
 def _unresolved(members: DataFrame, failing: DataFrame, labels: DataFrame, signed: DataFrame, texts: DataFrame, similarity: float) -> DataFrame:
-    """Links (a, b) between members of one bucket that are in different classes.
+    """Links (a, b) between classes that share a bucket and are alike in two of their members; a and b are labels.
 
-    members (band, key, leader, n); signed (key, bands, sketch).  Only buckets with a failing comparison between classes
-    are looked at, in pairs of blocks.  A pair is tried in the first band that it shares, the likeliest pairs first,
-    and no more once its classes are joined."""
+    members (band, key, leader, n, n_words); signed (key, n_words, bands, sketch).  Only buckets with a failing comparison
+    between classes are looked at, in pairs of blocks.  A pair is tried in the first band that it shares, the likeliest
+    pairs first, and no more once its classes are joined."""
     least = similarity - SKETCH_MARGIN
-    open_ = members.join(failing.select(F.col("a").alias("leader"), F.col("b").alias("key")), ["leader", "key"], "left_semi").select("band").distinct()
-    inside = members.join(open_, "band", "left_semi").select("band", "key", "n")
-    inside = inside.join(labels, "key", "left").withColumn("label", F.coalesce("label", "key")).join(signed, "key").join(texts, "key")
-    inside = inside.withColumn("blocks", F.ceil(F.col("n") / BLOCK).cast("int")).withColumn("own", F.pmod(F.xxhash64("key"), F.col("blocks")).cast("int"))
+    apart = members.join(failing.select(F.col("a").alias("leader"), F.col("b").alias("key")), ["leader", "key"], "left_semi")
+    open_ = materialise(apart.groupBy("band").agg(F.first("n").alias("n"), F.first("n_words").alias("words")), "open")
+    inside = join_split(members.select("band", "key"), open_.select("band", F.ceil(F.greatest(F.col("n") / BLOCK, F.col("words") / BLOCK_WORDS)).cast("int").alias("blocks")), ["band"], open_.select("band", "n"), F.xxhash64("key"))
+    inside = inside.join(labels, "key", "left").withColumn("label", F.coalesce("label", "key")).join(signed, "key")
+    inside = inside.withColumn("own", F.pmod(F.xxhash64("key"), F.col("blocks")).cast("int"))
     inside = inside.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
-    inside = inside.select("band", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"), "own", "key", "label", "bands", "sketch", "text")
-
-    def run(group: pa.Table) -> pa.Table:
-        keys, label = group["key"].to_numpy(), group["label"].to_numpy()
-        own, i, j, band = group["own"].to_numpy(), group["i"][0].as_py(), group["j"][0].as_py(), group["band"][0].as_py()
-        sketch = np.frombuffer(b"".join(group["sketch"].to_pylist()), np.uint8).reshape(len(keys), -1)
-        bands = np.array(group["bands"].to_pylist(), np.int64)
-        earlier = bands[:, : int(np.flatnonzero(bands[0] == band)[0])]
-        left, right = np.flatnonzero(own == i), np.flatnonzero(own == j)
-        found = []
-        for x in left:
-            others = right[(label[right] != label[x]) & ((keys[right] > keys[x]) if i == j else True)]
-            if len(others):
-                same = (sketch[others] == sketch[x]).mean(1)
-                good = (same >= least) & ~(earlier[others] == earlier[x]).any(1)
-                found += zip(-same[good], np.full(good.sum(), x), others[good])
+    inside = inside.select("band", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"), "own", "key", "label", "n_words", "bands", "sketch")
+
+    def look(group: pa.Table) -> pa.Table:
+        seen = np.zeros(group.num_rows, bool)
+        for x, others, _ in _likely(group, least, similarity):
+            seen[x] = True
+            seen[others] = True
+        return group.filter(pa.array(seen))
+
+    def check(group: pa.Table) -> pa.Table:
+        label = group["label"].to_numpy()
+        found = [(-s, x, int(y)) for x, others, same in _likely(group, least, similarity) for y, s in zip(others, same)]
         owner: dict[int, int] = {}
 
         def root(c: int) -> int:
@@ -256,67 +295,76 @@ def _unresolved(members: DataFrame, failing: DataFrame, labels: DataFrame, signe
                 c = owner[c]
             return c
 
-        @lru_cache(maxsize=None)
+        @lru_cache(maxsize=SETS_HELD)
         def of(row: int) -> tuple[np.ndarray, np.ndarray]:
             return weighted_set(word_hashes(group["text"][row].as_py()))
 
         links = []
         for _, x, y in sorted(found):
             a, b = root(int(label[x])), root(int(label[y]))
-            if a != b and jaccard(of(int(x)), of(int(y))) >= similarity:
+            if a != b and jaccard(of(x), of(y)) >= similarity:
                 owner[a] = b
-                links.append(sorted((int(keys[x]), int(keys[y]))))
+                links.append(sorted((int(label[x]), int(label[y]))))
         return pa.table({"a": pa.array([p[0] for p in links], pa.int64()), "b": pa.array([p[1] for p in links], pa.int64())})
 
-    return inside.groupBy("band", "i", "j").applyInArrow(run, "a bigint, b bigint").distinct()
+    likely = materialise(inside.groupBy("band", "i", "j").applyInArrow(look, GROUP), "likely")
+    return likely.join(texts, "key").groupBy("band", "i", "j").applyInArrow(check, "a bigint, b bigint").distinct()
 
 
-def classes(df: DataFrame, key: str = "doc_id", text: str = "text", similarity: float = SIMILARITY, salts: int = SALTS) -> DataFrame:
+def classes(df: DataFrame, key: str = "doc_id", text: str = "text", similarity: float = SIMILARITY) -> DataFrame:
     """key and class_id (the smallest key of its class) for each row of df.
 
     Texts with the same words are one class from the start.  A text without a word (null, empty, punctuation only) is a
     class of its own.  A row with a null key takes the class of the texts equal to its own, or null, and starts no
-    class.  Repeated rows get a row each; an empty table gives an empty result; other columns are not read."""
+    class.  Repeated rows get a row each; an empty table gives an empty result; other columns are not read.  A very long
+    text costs in proportion to its words, and fills a block of its bucket sooner.  There are no ties: of equal texts the
+    smallest key leads."""
     ship(df.sparkSession)
     sig = materialise(signatures(df, key, text), "signatures")
     worded = sig.filter("n_words > 0")
     groups = materialise(worded.groupBy("h1", "h2").agg(F.min("key").alias("rep"), F.count(F.lit(1)).alias("copies")).filter("rep is not null"), "copies")
-    reps = worded.join(groups.select("h1", "h2", F.col("rep").alias("key")), ["h1", "h2", "key"], "left_semi").select("key", "bands", "sketch")
-    reps = reps.dropDuplicates(["key"])
-    banded = reps.select("key", F.explode("bands").alias("band"))
-    buckets = banded.groupBy("band").agg(F.min("key").alias("leader"), F.count(F.lit(1)).alias("n")).filter("n > 1")
-    members = materialise(banded.join(buckets, "band"), "members")
-    tried = members.filter("key <> leader").select(F.col("leader").alias("a"), F.col("key").alias("b")).distinct()
+    reps = worded.join(groups.select("h1", "h2", F.col("rep").alias("key")), ["h1", "h2", "key"], "left_semi").select("key", "n_words", "bands", "sketch")
+    reps = materialise(reps.dropDuplicates(["key"]), "leading")
+    banded = reps.select("key", "n_words", F.explode("bands").alias("band"))
+    buckets = banded.groupBy("band").agg(F.min("key").alias("leader"), F.count(F.lit(1)).alias("n"), F.sum("n_words").alias("n_words")).filter("n > 1")
+    buckets = materialise(buckets, "buckets")
+    members = materialise(join_split(banded.select("key", "band"), buckets, ["band"], buckets.select("band", "n"), F.xxhash64("key")), "members")
+    tried = materialise(members.filter("key <> leader").select(F.col("leader").alias("a"), F.col("key").alias("b")).distinct(), "tried")
     texts = df.select(F.col(key).cast("bigint").alias("key"), F.col(text).cast("string").alias("text"))
     wanted = members.select("key").distinct()
     texts = materialise(texts.join(wanted, "key", "left_semi").dropDuplicates(["key"]), "candidates")
     checked = materialise(verify(tried, texts), "checked")
-    links = checked.filter(F.col("similarity") >= similarity).select("a", "b")
-    labels = components(links, salts)
+    labels = materialise(components(checked.filter(F.col("similarity") >= similarity).select("a", "b")), "labels")
 
     of = lambda name: labels.select(F.col("key").alias(name), F.col("label").alias(f"label_{name}"))
-    apart = checked.filter(F.col("similarity") < similarity).join(of("a"), "a", "left").join(of("b"), "b", "left")
+    apart = checked.filter(F.col("similarity") < similarity)
+    leading = lambda: apart.groupBy("a").agg(F.count(F.lit(1)).alias("n"))
+    apart = join_split(apart, of("a"), ["a"], leading(), F.xxhash64("b"), "left").join(of("b"), "b", "left")
     failing = materialise(apart.filter(F.coalesce("label_a", "a") != F.coalesce("label_b", "b")).select("a", "b"), "failing")
     if not failing.isEmpty():
         found = materialise(_unresolved(members, failing, labels, reps, texts, similarity), "more")
         if not found.isEmpty():
-            labels = components(links.union(found), salts)
+            joined = components(found).select(F.col("key").alias("label"), F.col("label").alias("joined"))
+            known = labels.unionByName(joined.select(F.col("label").alias("key"), "label")).dropDuplicates(["key"])  # a class of one has no label yet
+            sizes = known.groupBy("label").agg(F.count(F.lit(1)).alias("n"))
+            labels = join_split(known, joined, ["label"], sizes, F.xxhash64("key"), "left").select("key", F.coalesce("joined", "label").alias("label"))
 
     named = groups.join(labels.withColumnRenamed("key", "rep"), "rep", "left").filter("copies > 1 or label is not null")
-    spread = F.explode(F.sequence(F.lit(0), F.lit(salts - 1))).alias("s")
-    named = named.select("h1", "h2", F.coalesce("label", "rep").alias("class_id"), spread)
-    rows = sig.select("key", "h1", "h2", "n_words", F.pmod(F.xxhash64("key"), F.lit(salts)).cast("int").alias("s"))
-    out = rows.filter("n_words > 0").join(named, ["h1", "h2", "s"], "left").select("key", F.coalesce("class_id", "key").alias("class_id"))
+    named = named.select("h1", "h2", F.coalesce("label", "rep").alias("class_id"))
+    rows = sig.select("key", "h1", "h2", "n_words")
+    sizes = groups.select("h1", "h2", F.col("copies").alias("n"))
+    out = join_split(rows.filter("n_words > 0"), named, ["h1", "h2"], sizes, F.monotonically_increasing_id(), "left").select("key", F.coalesce("class_id", "key").alias("class_id"))
     return out.unionByName(rows.filter("n_words = 0").select("key", F.col("key").alias("class_id"))).withColumnRenamed("key", key)
 
 
 def keep_one(df: DataFrame, key: str = "doc_id", text: str = "text", similarity: float = SIMILARITY) -> DataFrame:
-    """df with one row of each class, that of the smallest key; rows with a null key all stay.
+    """df with one row of each class, that of the smallest key; rows with a null key all stay, and all columns by any name.
 
     The ids that go are far fewer than those that stay, so it is they that are joined with the rows."""
     found = materialise(classes(df.filter(F.col(key).isNotNull()), key, text, similarity), "classes")
-    gone = found.filter(F.col(key) != F.col("class_id")).select(F.col(key).alias("_gone")).distinct()
-    kept = df.join(gone, F.col(key) == F.col("_gone"), "left_anti")
+    name = fresh("gone")
+    gone = found.filter(F.col(key) != F.col("class_id")).select(F.col(key).alias(name)).distinct()
+    kept = df.join(gone, F.col(key) == F.col(name), "left_anti")
     if found.groupBy(key).count().filter("count > 1").isEmpty():
         return kept
     once = kept.filter(F.col(key).isNotNull()).dropDuplicates([key])  # a repeated row is a copy of itself

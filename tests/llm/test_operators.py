@@ -345,14 +345,89 @@ def test_unresolved_buckets_are_compared_in_blocks(spark):
     pos = bands[2].tolist().index(at)
     for b in bands:
         b[pos] = at
-    signed = spark.createDataFrame([(i, b.tolist(), bytes((s & np.uint64(255)).astype(np.uint8))) for i, (b, s) in enumerate(zip(bands, sig))], "key long, bands array<long>, sketch binary")
-    members = spark.createDataFrame([(at, i, 0, 1200) for i in range(6)], "band long, key long, leader long, n long")
+    signed = spark.createDataFrame([(i, 100, b.tolist(), bytes((s & np.uint64(255)).astype(np.uint8))) for i, (b, s) in enumerate(zip(bands, sig))], "key long, n_words long, bands array<long>, sketch binary")
+    members = spark.createDataFrame([(at, i, 0, 6000, 600) for i in range(6)], "band long, key long, leader long, n long, n_words long")
     failing = spark.createDataFrame([(0, i) for i in range(1, 6)], "a long, b long")
     labels = spark.createDataFrame([(i, i) for i in range(6)], "key long, label long")
     words = spark.createDataFrame(list(enumerate(texts)), "key long, text string")
     assert [tuple(r) for r in dart_minhash._unresolved(members, failing, labels, signed, words, 0.8).collect()] == [(2, 4)]
 
 
+def _roots(n: int, links) -> list[int]:
+    owner = list(range(n))
+
+    def find(i):
+        while owner[i] != i:
+            owner[i] = owner[owner[i]]
+            i = owner[i]
+        return i
+
+    for i, j in links:
+        a, b = sorted((find(i), find(j)))
+        owner[b] = a
+    return [find(i) for i in range(n)]
+
+
+@pytest.mark.parametrize("hot", [1000, 5])
+def test_components_of_chains_hubs_and_rings(spark, monkeypatch, hot):
+    """Labels are the smallest node of each part, with and without keys that are split."""
+    from seqnorm.llm import common
+
+    monkeypatch.setattr(common, "HOT_ROWS", hot)
+    rng = random.Random(hot)
+    links = [(i, i + 1) for i in range(40)] + [(100, 100 + i) for i in range(1, 60)] + [(160, 130 + i) for i in range(8)]
+    links += [(200 + i, 200 + (i + 1) % 30) for i in range(30)] + [(rng.randrange(250, 400), rng.randrange(250, 400)) for _ in range(120)]
+    rng.shuffle(links)
+    want = _roots(400, links)
+    got = {r.key: r.label for r in dart_minhash.components(spark.createDataFrame(links * 2, "a long, b long")).collect()}
+    assert got == {k: want[k] for k in {x for l in links if l[0] != l[1] for x in l}}
+    assert dart_minhash.components(spark.createDataFrame([], "a long, b long")).count() == 0
+
+
+def test_split_joins_keep_every_row(spark, monkeypatch):
+    from seqnorm.llm import common
+
+    monkeypatch.setattr(common, "HOT_ROWS", 3)
+    rows = spark.createDataFrame([(k, i) for k, n in ((1, 40), (2, 3), (3, 1), (4, 9)) for i in range(n)], "k long, i long")
+    side = spark.createDataFrame([(1, "a"), (2, "b"), (5, "c")], "k long, x string")
+    counts = rows.groupBy("k").agg(F.count(F.lit(1)).alias("n"))
+    for how in ("inner", "left"):
+        got = common.join_split(rows, side, ["k"], counts, F.xxhash64("i"), how)
+        want = rows.join(side, "k", how)
+        assert got.columns == want.columns and sorted(map(str, got.collect())) == sorted(map(str, want.collect()))
+
+
+def near_pairs(texts: list[str], least: float) -> dict[tuple[int, int], float]:
+    """Weighted Jaccard similarities of five-word shingles, by brute force over shared shingles."""
+    bags = []
+    for t in texts:
+        w = re.findall(r"\w+", (t or "").lower())
+        bags.append(Counter(tuple(w[i : i + 5]) for i in range(max(1, len(w) - 4))) if w else Counter())
+    where, both = {}, Counter()
+    for i, bag in enumerate(bags):
+        for x, n in bag.items():
+            for j, m in where.setdefault(x, []):
+                both[j, i] += min(n, m)
+            where[x].append((i, n))
+    size = [sum(b.values()) for b in bags]
+    found = {(i, j): n / (size[i] + size[j] - n) for (i, j), n in both.items()}
+    return {p: s for p, s in found.items() if s >= least}
+
+
+def test_near_copies_of_the_given_documents(spark):
+    """Every pair of documents that brute force finds alike by 0.8 or more is in one class, and nothing else is."""
+    docs = spark.read.parquet("/root/testdata/sf0.01/documents.parquet").select("doc_id", "text").orderBy("doc_id").collect()
+    ids, texts = [r.doc_id for r in docs], [r.text for r in docs]
+    want = _roots(len(ids), near_pairs(texts, 0.8))
+    got = {r.doc_id: r.class_id for r in dart_minhash.classes(spark.read.parquet("/root/testdata/sf0.01/documents.parquet")).collect()}
+    assert got == {ids[i]: ids[want[i]] for i in range(len(ids))}
+
+
+def test_near_duplicates_beside_columns_of_any_name(spark):
+    df = spark.createDataFrame([(1, "a b c d e f", 1, 2), (2, "a b c d e f", 3, 4), (2, "a b c d e f", 3, 4), (3, None, 5, 6)], "doc_id long, text string, _gone long, key long")
+    assert sorted(map(tuple, dart_minhash.keep_one(df).collect()), key=str) == [(1, "a b c d e f", 1, 2), (3, None, 5, 6)]
+
+
 def test_quality_cascade(spark, docs, empty):
     got = {r.doc_id: r for r in quality_cascade.judge(docs).collect() if r.doc_id is not None}
     for k, text, *_ in rows():
