@@ -33,7 +33,9 @@ class TiffError(ValueError):
 
 def pack_bits(data: bytes) -> bytes:
     """PackBits: runs of three and more as (1 - n, byte), the rest as literals of up to 128 bytes."""
-    out, i, start, n = bytearray(), 0, 0, len(data)
+    samples, out, start = np.frombuffer(data, np.uint8), bytearray(), 0
+    edges = np.concatenate([[0], np.flatnonzero(samples[1:] != samples[:-1]) + 1, [len(data)]]) if data else np.zeros(1, np.int64)
+    long = np.flatnonzero(np.diff(edges) >= 3)
 
     def literal(upto: int) -> None:
         for at in range(start, upto, 128):
@@ -41,17 +43,14 @@ def pack_bits(data: bytes) -> bytes:
             out.append(len(piece) - 1)
             out.extend(piece)
 
-    while i < n:
-        j = i + 1
-        while j < n and data[j] == data[i] and j - i < 128:
-            j += 1
-        if j - i >= 3:
-            literal(i)
-            out.append(257 - (j - i))
-            out.append(data[i])
-            start = j
-        i = j
-    literal(n)
+    for begin, end in zip(edges[long].tolist(), edges[long + 1].tolist()):
+        literal(begin)
+        for at in range(begin, end, 128):
+            n = min(128, end - at)
+            out.append(257 - n if n > 1 else 0)
+            out.append(data[at])
+        start = end
+    literal(len(data))
     return bytes(out)
 
 
@@ -71,43 +70,39 @@ def unpack_bits(data: bytes) -> bytes:
 
 
 def lzw_pack(data: bytes) -> bytes:
-    """LZW as TIFF has it: codes of 9 to 12 bits, most significant bit first, width raised one code early."""
-    out, held, bits = bytearray(), 0, 0
-    width, table, code = 9, {bytes([b]): b for b in range(256)}, 258
-
-    def put(value: int) -> None:
-        nonlocal held, bits
-        held, bits = held << width | value, bits + width
-        while bits >= 8:
-            bits -= 8
-            out.append(held >> bits & 255)
-        held &= (1 << bits) - 1
+    """LZW as TIFF has it: codes of 9 to 12 bits, most significant bit first, width raised one code early.
 
-    put(256)
-    word = b""
+    A string in the table is known by the code of all but its last byte, and that byte."""
+    out, held, bits = bytearray(), 256, 9
+    width, code, table = 9, 258, {}
+    word, top = -1, 1 << 9
     for b in data:
-        longer = word + bytes([b])
-        if longer in table:
+        if word < 0:
+            word = b
+            continue
+        longer = table.get(word << 8 | b)
+        if longer is not None:
             word = longer
             continue
-        put(table[word])
-        table[longer] = code
+        held, bits = held << width | word, bits + width
+        table[word << 8 | b] = code
         code += 1
         if code == 4094:
-            put(256)
-            width, table, code = 9, {bytes([x]): x for x in range(256)}, 258
-        elif code + 1 > (1 << width):
-            width += 1
-        word = bytes([b])
-    if word:
-        put(table[word])
-        code += 1
-        if code + 1 > (1 << width) and width < 12:
+            held, bits = held << width | 256, bits + width
+            width, code, table, top = 9, 258, {}, 1 << 9
+        elif code + 1 > top:
+            width, top = width + 1, top << 1
+        if bits >= 256:
+            bits, rest = bits & 7, bits
+            out += (held >> bits).to_bytes((rest - bits) // 8, "big")
+            held &= (1 << bits) - 1
+        word = b
+    if word >= 0:
+        held, bits = held << width | word, bits + width
+        if code + 2 > top and width < 12:
             width += 1
-    put(257)
-    if bits:
-        out.append(held << (8 - bits) & 255)
-    return bytes(out)
+    held, bits = held << width | 257, bits + width
+    return bytes(out) + (held << -bits % 8).to_bytes(-(-bits // 8), "big")
 
 
 def lzw_unpack(data: bytes) -> bytes:
@@ -301,22 +296,25 @@ def read_pages(df: DataFrame, key: str = "doc_id", media: str = "media") -> Data
 ROW = 192
 
 
-def _scheme(payload: bytes) -> dict:
-    """How a payload is stored: PackBits for a single row, LZW strips for small ones, deflate strips, and tiles for large ones."""
-    if len(payload) <= ROW:
-        return {"compression": PACKBITS, "predictor": False}
-    if len(payload) <= 3 * ROW:
-        return {"compression": LZW, "predictor": True, "rows_per_strip": 2}
-    if len(payload) <= 256 * ROW:
-        return {"compression": DEFLATE, "predictor": True}
-    return {"compression": DEFLATE, "predictor": True, "tile": (256, 64)}
+#: How payloads are stored.  The checksum of the bytes picks one, whatever their number.
+SCHEMES = (
+    {"compression": PACKBITS, "predictor": False, "rows_per_strip": 64},
+    {"compression": LZW, "predictor": False},
+    {"compression": DEFLATE, "predictor": True},
+    {"compression": DEFLATE, "predictor": True, "tile": (256, 64)},
+)
+
+
+def scheme(payload: bytes) -> dict:
+    """The scheme of a payload: equal bytes have equal schemes, and each scheme meets texts of every length."""
+    return SCHEMES[zlib.crc32(payload) % len(SCHEMES)]
 
 
 def store_text(text: str | None) -> tuple[int, bytes]:
     """(UTF-8 bytes, TIFF file): the bytes with spaces up to a positive multiple of 192, as a page 192 samples wide."""
     raw = (text or "").encode("utf-8", "surrogatepass")
     payload = raw.ljust(max(ROW, -(-len(raw) // ROW) * ROW), b" ")
-    return len(raw), write_tiff([np.frombuffer(payload, np.uint8).reshape(-1, ROW)], **_scheme(payload))
+    return len(raw), write_tiff([np.frombuffer(payload, np.uint8).reshape(-1, ROW)], **scheme(payload))
 
 
 def features(page: Page) -> str:
@@ -335,8 +333,10 @@ DIGEST = "key bigint, n_bytes bigint, payload_bytes bigint, payload_sha256 strin
 def text_media(df: DataFrame, key: str = "doc_id", text: str = "text", keep_media: bool = False) -> DataFrame:
     """Store each text as a one-page TIFF file, read the file back and describe what was read.
 
-    Null and empty texts are one row of spaces.  Equal texts give equal values.  keep_media adds the files
-    themselves as column media.  One narrow pass: a batch of files at a time is in memory, nothing is shuffled."""
+    Null and empty texts are one row of spaces.  Equal texts, repeated rows too, give equal values.  keep_media adds the
+    files themselves as column media.  Other columns are not read, so their names may clash with the result's; an empty
+    table gives an empty result; a very long text is one file of many strips or tiles.  One narrow pass: a batch of
+    files at a time is in memory, nothing is shuffled."""
     ship(df.sparkSession)
     rows = df.select(F.col(key).cast("bigint").alias("key"), F.col(text).cast("string").alias("text"))
 

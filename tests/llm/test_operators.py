@@ -244,6 +244,31 @@ def test_tiff_formats():
         list(tiff_media.read_tiff(b"II*\0\x08\0\0\0\xff\xff"))
 
 
+def test_tiff_codecs_of_every_length():
+    """Codecs give back what they took, at each length up to some strips and around the changes of code width."""
+    rng = random.Random(4)
+    words = [bytes(rng.choices(range(97, 123), k=rng.randrange(1, 9))) + b" " for _ in range(300)]
+    long = b"".join(rng.choice(words) for _ in range(20_000))
+    noise = bytes(rng.choices(range(256), k=9000))
+    for n in [*range(700), *range(3700, 4300, 7), 60_000]:
+        for data in (long[:n], noise[:n], b" " * n, (b"aab" * n)[:n], long[: n // 2] + b" " * (n - n // 2)):
+            assert tiff_media.lzw_unpack(tiff_media.lzw_pack(data)) == data
+            assert tiff_media.unpack_bits(tiff_media.pack_bits(data)) == data
+    assert len(tiff_media.lzw_pack(long)) < len(long) / 1.5 and len(tiff_media.pack_bits(b" " * 1280)) == 20
+
+
+def test_tiff_schemes_do_not_follow_the_length(spark):
+    """Short, middling and long texts meet every way of storing them."""
+    docs = spark.read.parquet("/root/testdata/sf0.01/documents.parquet").select("text").distinct().collect()
+    seen = defaultdict(Counter)
+    for (text,) in docs:
+        n, media = tiff_media.store_text(text)
+        (page,) = tiff_media.read_tiff(media)
+        assert page.pixels[:n] == (text or "").encode() and not page.pixels[n:].strip(b" ")
+        seen[min(2, len(page.pixels) // 1500)][str(tiff_media.scheme(page.pixels))] += 1
+    assert all(len(kinds) == 4 and min(kinds.values()) >= 0.15 * sum(kinds.values()) for kinds in seen.values()) and len(seen) == 3
+
+
 def test_tiff_media(spark, docs, empty):
     for r in tiff_media.text_media(docs).collect():
         text = dict((x[0], x[1]) for x in rows() if x[0] is not None).get(r.doc_id, "skip")
