@@ -206,6 +206,53 @@ def test_language_crf(spark, docs, empty):
     assert language_crf.keep_clear(real, None, 0.4, 0.97).isEmpty() and language_crf.keep_clear(real.limit(0), model, 0.4, 0.97).isEmpty()
 
 
+def test_language_crf_gradient_is_that_of_the_likelihood():
+    """Derivatives against differences of a likelihood that sums over every labelling."""
+    from itertools import product
+
+    rng = np.random.default_rng(3)
+    lengths = np.array([4, 1, 3])
+    scores, trans, truth = rng.normal(size=(8, 2)), rng.normal(size=(2, 2)), rng.integers(0, 2, 8)
+
+    def loss(scores, trans):
+        total, at = 0.0, 0
+        for n in lengths:
+            e = scores[at : at + n]
+            worth = {y: np.exp(e[range(n), y].sum() + sum(trans[a, b] for a, b in zip(y, y[1:]))) * np.exp(trans[:, y[0]]).sum() for y in product(range(2), repeat=int(n))}
+            total -= np.log(worth[tuple(truth[at : at + n])] / sum(worth.values()))
+            at += n
+        return total
+
+    by_scores, by_trans = language_crf.gradient(scores, trans, lengths, truth)
+    for values, found in ((scores, by_scores), (trans, by_trans)):
+        for at in np.ndindex(values.shape):
+            kept, out = values[at], []
+            for d in (1e-5, -1e-5):
+                values[at] = kept + d
+                out.append(loss(scores, trans))
+            values[at] = kept
+            assert abs((out[0] - out[1]) / 2e-5 - found[at]) < 1e-6
+
+
+def test_language_crf_learns_from_a_few_words_and_labels_each_word(spark):
+    """Three short texts are enough to be told apart; words of two languages in one text get their own labels."""
+    few = language_crf.fit([("alpha beta gamma", "xx"), ("delta epsilon", "yy"), ("zeta eta theta", "zz")])
+    assert [few.labels[s.argmax()] for s in few.shares(["gamma", "epsilon delta", "theta"])[1]] == ["xx", "yy", "zz"]
+    assert language_crf.word_features("a" * 60 + "xyz") != language_crf.word_features("a" * 60 + "xqz")
+    real = spark.read.parquet("/root/testdata/sf0.01/documents.parquet")
+    model = language_crf.learn(real)
+    told = {r.lang: r.text.split(".")[0].split() for r in real.filter(language_crf.held_out(F.col("doc_id")) & F.col("lang").isin("fr", "en", "de") & (F.length("text") > 2000)).select("lang", "text").collect()}
+    text = " ".join(" ".join(told[x][:12]) for x in ("fr", "en", "de"))
+    want = [x for x in ("fr", "en", "de") for w in told[x][:12] for _ in language_crf.words_of(w)]
+    got = language_crf.label_words(spark.createDataFrame([(1, text), (2, None), (3, "12")], "doc_id long, text string"), model).orderBy("at").collect()
+    assert [r.word for r in got] == language_crf.words_of(text) and {r.doc_id for r in got} == {1}
+    assert np.mean([r.lang == w for r, w in zip(got, want)]) >= 0.9
+    assert any(model.lexicon.values()) and model.weights.shape[0] == language_crf.BUCKETS + len(model.labels)
+    assert language_crf.fit([("same words", "aa"), ("same words", "bb")]).tag("12") == []
+    with pytest.raises(ValueError):
+        language_crf.fit([("w", f"l{i}") for i in range(language_crf.MOST_LANGUAGES + 1)])
+
+
 def test_language_crf_cuts(monkeypatch):
     """Texts and words taken in small parts give what they give in one."""
     texts = ["alpha beta " * 40, None, "gamma", "", "delta epsilon zeta " * 200, "1 2 3", "beta"]
