@@ -20,6 +20,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .common import ship
+from .license_texts import LICENSES
 
 # Phrases counted as they stand, with their labels.
 PHRASES = {
@@ -159,7 +160,7 @@ class Scanner:
 
     def __init__(
         self,
-        templates: dict[str, tuple[str, str]] = TEMPLATES,
+        templates: dict[str, tuple[str, str]] = TEMPLATES | LICENSES,
         phrases: dict[str, str] = PHRASES,
         min_run: int = 3,
         max_gap: int = 8,
@@ -246,22 +247,23 @@ class Scanner:
                         runs[template].append((i - n + 1, end - n + 1, n))
         return {"n_words": len(words), "places": places, "spans": self.spans(runs)}
 
-    def chains(self, runs: list[Run]) -> list[tuple[int, int, int]]:
-        """(words covered, -runs, first word) of the best chain that ends in each of one template's sorted runs.
+    def chains(self, runs: list[Run]) -> list[tuple[int, int, int, int]]:
+        """(words covered, -runs, -template's words left out between them, first word) of the best chain that ends in
+        each of one template's sorted runs.
 
         Runs follow each other in text and template with gaps up to max_gap words; what overlaps counts once."""
-        best: list[tuple[int, int, int]] = []
+        best: list[tuple[int, int, int, int]] = []
         longest = max((size for _, _, size in runs), default=0)
         for j, (start, at, size) in enumerate(runs):
-            top = (size, -1, start)
+            top = (size, -1, 0, start)
             for i in range(j - 1, -1, -1):
                 begin, place, n = runs[i]
                 if begin + longest + self.max_gap < start:
                     break
                 cut = max(0, begin + n - start, place + n - at)
                 if cut < size and start + cut - begin - n <= self.max_gap and at + cut - place - n <= self.max_gap:
-                    words, number, first = best[i]
-                    top = max(top, (words + size - cut, number - 1, first))
+                    words, number, out, first = best[i]
+                    top = max(top, (words + size - cut, number - 1, out - (at + cut - place - n), first))
             best.append(top)
         return best
 
@@ -278,22 +280,22 @@ class Scanner:
                 out.append((start + skip, at + skip, size))
         return sorted(out)
 
-    def covered(self, runs: list[Run], length: int) -> list[tuple[int, int, int, int]]:
-        """(first word, next word, words covered, -runs) of one template's chains that cover enough and don't overlap."""
+    def covered(self, runs: list[Run], length: int) -> list[tuple[int, int, int, int, int]]:
+        """(first word, next word, words covered, -runs, -words left out) of one template's chains that cover enough and don't overlap."""
         out, parts = [], [runs]
         while parts:
             part = parts.pop()
             found = [
-                (-words, -number, start + size - first, first)
-                for (words, number, first), (start, _, size) in zip(self.chains(part), part)
+                (-words, -number, -out, start + size - first, first)
+                for (words, number, out, first), (start, _, size) in zip(self.chains(part), part)
                 if words >= self.min_cover * length
             ]
             taken: list[tuple[int, int]] = []
-            for words, number, wide, first in sorted(found):
+            for words, number, left, wide, first in sorted(found):
                 k = bisect_left(taken, (first, first))
                 if (k == 0 or taken[k - 1][1] <= first) and (k == len(taken) or taken[k][0] >= first + wide):
                     taken.insert(k, (first, first + wide))
-                    out.append((first, first + wide, -words, -number))
+                    out.append((first, first + wide, -words, -number, -left))
             if taken:
                 edges = [part[0][0], *(e for t in taken for e in t), max(start + size for start, _, size in part)]
                 rest = [self.within(part, low, high, length) for low, high in zip(edges[::2], edges[1::2]) if low < high]
@@ -302,21 +304,22 @@ class Scanner:
 
     def spans(self, runs: dict[int, list[Run]]) -> list[tuple[int, int, str, float]]:
         """Chains that cover enough of their template, less those whose words a template of another label explains better:
-        by more words, by as many in fewer runs, or by as many in as many runs and more of the template."""
+        by more words, by as many in fewer runs, with fewer words of the template left out between these, or else by more
+        of the template."""
         runs = {template: sorted(found) for template, found in runs.items()}
         spans = []
         for template, found in runs.items():
             _, label, tokens = self.templates[template]
-            for start, end, words, number in self.covered(found, len(tokens)):
-                mine = (words, number, words / len(tokens))
+            for start, end, words, number, left in self.covered(found, len(tokens)):
+                mine = (words, number, left, words / len(tokens))
                 for other, theirs in runs.items():
                     _, name, text = self.templates[other]
                     if name != label:
                         part = self.within(theirs, start, end, len(text))
-                        if any((w, n, w / len(text)) > mine for w, n, _ in self.chains(part)):
+                        if any((w, n, o, w / len(text)) > mine for w, n, o, _ in self.chains(part)):
                             break
                 else:
-                    spans.append((start, end, label, mine[2]))
+                    spans.append((start, end, label, mine[3]))
         return sorted(set(spans))
 
 
@@ -332,14 +335,17 @@ def scan_licenses(df: DataFrame, key: str = "doc_id", text: str = "text", **sett
     """One row for each row of df, with phrase places, labels and covered template spans.
 
     A null or empty text has no words, no places, empty labels and score 0.  Repeated rows each get their row;
-    a null key stays null; an empty table gives an empty result; other columns are not read.  The score is the
-    largest part of a template that a span covers, and 1 where a phrase stands in the text.
+    a null key stays null; an empty table gives an empty result; other columns are not read, so their names may clash
+    with the result's.  The score is the largest part of a template that a span covers, and 1 where a phrase stands in
+    the text.  Of chains that cover as many words the one of fewer runs stays, then the shorter and the earlier one.  A
+    very long text is streamed whole, and a chain looks back as far as its template's longest run and the gap reach.
     Rows stream through one narrow pass: no shuffle, memory bounded by a batch and one text's runs."""
     ship(df.sparkSession)
     rows = df.select(F.col(key).cast("bigint").alias("key"), F.col(text).cast("string").alias("text"))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        scanner = _SCANNERS.setdefault(repr(sorted(settings.items())), Scanner(**settings))
+        name = repr(sorted(settings.items()))
+        scanner = _SCANNERS[name] = _SCANNERS.get(name) or Scanner(**settings)
         for batch in batches:
             out = [scanner.scan(t.as_py()) for t in batch.column(1)]
             starts = [[p for p, _ in x["places"]] for x in out]
