@@ -1,8 +1,9 @@
 """WARC archives with revisit records, and their resolution.
 
 Headers are shuffled by payload digest, repeats are joined to the first record of their payload, and the archives
-are written anew: one response per payload, revisits that refer to it.  Archives are read whole, a file at a time,
-by their Content-Length, so that a payload may hold anything.
+are written anew: one response per payload, revisits that refer to it by record id, address and date.  Archives are read
+a record at a time, by their Content-Length, so that a payload may hold anything; a file may be one gzip member or have
+one for each record, as is usual, or be plain.
 """
 
 from __future__ import annotations
@@ -16,7 +17,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import scratch, ship
+from .common import fresh, join_split, materialise, scratch, ship
 
 # Fixed values of the format.
 VERSION = "WARC/1.1"
@@ -24,7 +25,6 @@ PROFILE = "http://netpreserve.org/warc/1.1/revisit/identical-payload-digest"
 DATE = "2024-01-01T00:00:00Z"
 
 LEAST_BYTES = 100
-SALTS = 16
 RECORDS_PER_FILE = 4000
 
 
@@ -35,35 +35,45 @@ def record_id(page: Column, url: Column) -> Column:
     return F.concat(F.lit("<urn:uuid:"), F.concat_ws("-", *parts), F.lit(">"))
 
 
-def mark_revisits(pages: DataFrame, digest: str = "digest", size: str = "payload_bytes", key: str = "page_id", least: int = LEAST_BYTES, salts: int = SALTS) -> DataFrame:
-    """pages with refers_to (the smallest key with the same payload, null where the row is that record itself),
-    for payloads of at least `least` bytes.
+def _address(url: Column) -> Column:
+    return F.regexp_replace(F.coalesce(url, F.lit("about:blank")), r"\s", "%20")
 
-    The first record of each repeated payload comes from a partial aggregation, which a hot payload doesn't skew;
-    the join back spreads each payload's rows over `salts` buckets."""
-    long = F.col(size) >= least
-    first = pages.filter(long).groupBy(F.col(digest).alias("_d")).agg(F.min(key).alias("_first"), F.count(F.lit(1)).alias("_n")).filter("_n > 1 and _first is not null")
-    spread = first.select("_d", "_first", F.explode(F.sequence(F.lit(0), F.lit(salts - 1))).alias("_s"))
-    salted = pages.withColumn("_salt", F.pmod(F.xxhash64(key), F.lit(salts)).cast("int"))
-    joined = salted.join(spread, (F.col(digest) == F.col("_d")) & (F.col("_salt") == F.col("_s")) & long, "left")
-    refers = F.when(~F.col(key).eqNullSafe(F.col("_first")), F.col("_first"))
-    return joined.withColumn("refers_to", refers).drop("_d", "_first", "_s", "_salt")
+
+def mark_revisits(pages: DataFrame, digest: str = "digest", size: str = "payload_bytes", key: str = "page_id", url: str = "url", least: int = LEAST_BYTES) -> DataFrame:
+    """pages with refers_to and refers_url (key and address of the record with the smallest key of the same payload, null
+    where the row is that record itself), for payloads of at least `least` bytes.
+
+    The first record of each repeated payload comes from a partial aggregation, which a hot payload doesn't skew; of
+    repeated rows with the smallest key the first address by order is referred to.  In the join back the rows of very
+    common payloads are dealt over parts."""
+    d, first = fresh("digest"), fresh("first")
+    long = F.when(F.col(size) >= least, F.col(digest))
+    place = F.when(F.col(key).isNotNull(), F.struct(F.col(key).alias("key"), F.col(url).alias("url")))
+    found = pages.groupBy(long.alias(d)).agg(F.min(place).alias(first), F.count(F.lit(1)).alias("n"))
+    found = materialise(found.filter(f"n > 1 and `{d}` is not null and `{first}` is not null"), "payloads")
+    joined = join_split(pages.withColumn(d, long), found.select(d, first), [d], found.select(d, "n"), F.xxhash64(key, url), "left")
+    repeat = ~F.col(key).eqNullSafe(F.col(f"{first}.key")) & F.col(first).isNotNull()
+    return joined.withColumns({"refers_to": F.when(repeat, F.col(f"{first}.key")), "refers_url": F.when(repeat, F.col(f"{first}.url"))}).drop(d, first)
 
 
 def to_records(pages: DataFrame) -> DataFrame:
-    """pages (page_id, url, html, refers_to, digest, payload_bytes) to the text of one record each, without its last line feed."""
+    """pages (page_id, url, html, refers_to, refers_url, digest, payload_bytes) to the text of one record each, without its last line feed."""
     eol = "\r\n"
     revisit = F.col("refers_to").isNotNull()
     payload = F.when(revisit, F.lit("")).otherwise(F.coalesce("html", F.lit("")))
     id_of = F.coalesce(F.col("page_id").cast("string"), F.lit("-"))
-    url = F.regexp_replace(F.coalesce("url", F.lit("about:blank")), r"\s", "%20")
+    refers = F.concat(
+        F.lit(f"{eol}WARC-Profile: {PROFILE}{eol}WARC-Refers-To: "), record_id(F.col("refers_to"), F.col("refers_url")),
+        F.lit(f"{eol}WARC-Refers-To-Target-URI: "), _address(F.col("refers_url")),
+        F.lit(f"{eol}WARC-Refers-To-Date: {DATE}"),
+    )
     head = F.concat(
         F.lit(f"{VERSION}{eol}WARC-Type: "), F.when(revisit, "revisit").otherwise("response"),
         F.lit(f"{eol}WARC-Record-ID: "), record_id(F.col("page_id"), F.col("url")),
-        F.lit(f"{eol}WARC-Date: {DATE}{eol}WARC-Target-URI: "), url,
+        F.lit(f"{eol}WARC-Date: {DATE}{eol}WARC-Target-URI: "), _address(F.col("url")),
         F.lit(f"{eol}WARC-Payload-Digest: sha256:"), F.col("digest"),
         F.lit(f"{eol}X-Page-Id: "), id_of,
-        F.when(revisit, F.concat(F.lit(f"{eol}WARC-Profile: {PROFILE}{eol}X-Refers-To-Page-Id: "), F.col("refers_to").cast("string"))).otherwise(F.lit("")),
+        F.when(revisit, refers).otherwise(F.lit("")),
         F.lit(f"{eol}Content-Type: text/html; charset=utf-8{eol}Content-Length: "), F.octet_length(payload).cast("string"),
         F.lit(f"{eol}{eol}"),
     )
@@ -78,77 +88,122 @@ def write_archives(pages: DataFrame, path: str, records_per_file: int = RECORDS_
 _HEADER = re.compile(rb"([\w-]+):[ \t]*([^\r\n]*)\r\n")
 
 
-def parse(data: bytes) -> Iterator[tuple[dict[bytes, bytes], bytes]]:
-    """(headers, block) of each record of an archive that isn't compressed."""
+def unpacked(data: bytes, step: int = 1 << 20) -> Iterator[bytes]:
+    """The bytes of all gzip members of a file in pieces of at most `step`, or the file's own if it isn't compressed."""
+    import zlib
+
+    if data[:2] != b"\x1f\x8b":
+        yield data
+        return
+    rest = memoryview(data)
+    while len(rest) and bytes(rest[:2]) == b"\x1f\x8b":
+        member, piece = zlib.decompressobj(31), rest
+        while not member.eof:
+            out = member.decompress(piece, step)
+            if not out and not member.unconsumed_tail and not member.eof:
+                raise ValueError("a gzip member ends early")
+            piece = member.unconsumed_tail
+            yield out
+        rest = rest[len(rest) - len(member.unused_data) :]
+
+
+def parse(pieces: Iterator[bytes]) -> Iterator[tuple[dict[bytes, bytes], bytes]]:
+    """(headers, block) of each record of an archive that comes in pieces; one record and a piece are held."""
+    held, done = bytearray(), False
+    pieces = iter(pieces)
+
+    def have(n: int) -> bool:
+        nonlocal done
+        while len(held) < n and not done:
+            piece = next(pieces, None)
+            done = piece is None
+            held.extend(piece or b"")
+        return len(held) >= n
+
     at = 0
-    while at < len(data):
-        end = data.find(b"\r\n\r\n", at)
-        if not data.startswith(b"WARC/", at) or end < 0:
+    while have(1):
+        end = held.find(b"\r\n\r\n")
+        while end < 0 and have(len(held) + 1):
+            end = held.find(b"\r\n\r\n")
+        if not held.startswith(b"WARC/") or end < 0:
             raise ValueError(f"no WARC record at byte {at}")
-        headers = {k.lower(): v for k, v in _HEADER.findall(data, at, end + 2)}
+        headers = {k.lower(): v.strip() for k, v in _HEADER.findall(held, 0, end + 2)}
         start = end + 4
         stop = start + int(headers[b"content-length"])
-        if data[stop : stop + 4] != b"\r\n\r\n":
+        if not have(stop + 4) or held[stop : stop + 4] != b"\r\n\r\n":
             raise ValueError(f"the record at byte {at} does not end as it should")
-        yield headers, data[start:stop]
-        at = stop + 4
+        yield headers, bytes(held[start:stop])
+        at += stop + 4
+        del held[: stop + 4]
 
 
-READ = "page_id bigint, record_id string, record_type string, url string, digest string, payload_bytes bigint, refers_to bigint, payload binary"
+READ = "page_id bigint, record_id string, record_type string, url string, digest string, payload_bytes bigint, refers_to string, refers_url string, payload binary"
 
 
-def read_archives(spark, path: str, payloads: bool = False) -> DataFrame:
-    """A row per record of the archives under path; digests and sizes are those of the bytes read, for revisits the header's digest."""
-    import zlib
+def read_archives(spark, path: str, payloads: bool = False, pattern: str = "*.gz") -> DataFrame:
+    """A row per response, resource or revisit record of the archives under path, their own or foreign ones: digests and
+    sizes are those of the bytes read, for revisits the header's digest; refers_to is the record id that a revisit names.
 
+    page_id is null in archives that were not written here.  An HTTP response's own header isn't part of its payload."""
     ship(spark)
-    files = spark.read.format("binaryFile").option("pathGlobFilter", "*.gz").load(path).select("content")
-    whole = lambda h, name: int(h[name]) if h.get(name, b"-") != b"-" else None
+    files = spark.read.format("binaryFile").option("pathGlobFilter", pattern).load(path).select("content")
+    kinds = [pa.int64(), pa.string(), pa.string(), pa.string(), pa.string(), pa.int64(), pa.string(), pa.string(), pa.binary()]
+    names = ["page_id", "record_id", "record_type", "url", "digest", "payload_bytes", "refers_to", "refers_url", "payload"]
+    told = lambda h, name: h[name].decode("utf-8", "replace") if name in h else None
+
+    def row(h: dict[bytes, bytes], block: bytes) -> tuple:
+        kind, page = h[b"warc-type"].decode(), h.get(b"x-page-id", b"-")
+        own = kind != "revisit"
+        if own and h.get(b"content-type", b"").startswith(b"application/http"):
+            block = block.partition(b"\r\n\r\n")[2]
+        digest = hashlib.sha256(block).hexdigest() if own else (told(h, b"warc-payload-digest") or "").removeprefix("sha256:")
+        return (int(page) if page != b"-" else None, told(h, b"warc-record-id"), "response" if own else kind, told(h, b"warc-target-uri"), digest, len(block) if own else None, told(h, b"warc-refers-to"), told(h, b"warc-refers-to-target-uri"), block if own and payloads else None)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        kinds = [pa.int64(), pa.string(), pa.string(), pa.string(), pa.string(), pa.int64(), pa.int64(), pa.binary()]
-        names = ["page_id", "record_id", "record_type", "url", "digest", "payload_bytes", "refers_to", "payload"]
         for batch in batches:
             for content in batch.column(0):
-                out = []
-                for h, block in parse(zlib.decompress(content.as_py(), 31)):
-                    kind = h[b"warc-type"].decode()
-                    own = kind == "response"
-                    digest = hashlib.sha256(block).hexdigest() if own else h[b"warc-payload-digest"].decode().removeprefix("sha256:")
-                    out.append((whole(h, b"x-page-id"), h[b"warc-record-id"].decode(), kind, h[b"warc-target-uri"].decode(), digest, len(block) if own else None, whole(h, b"x-refers-to-page-id"), block if own and payloads else None))
-                    if len(out) >= 2000:
+                out, size = [], 0
+                for h, block in parse(unpacked(content.as_py())):
+                    if h[b"warc-type"] in (b"response", b"resource", b"revisit"):
+                        out.append(row(h, block))
+                        size += len(block) * payloads
+                    if len(out) >= 2000 or size > 1 << 25:
                         yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*out), kinds)], names=names)
-                        out = []
+                        out, size = [], 0
                 if out:
                     yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*out), kinds)], names=names)
 
     return files.mapInArrow(run, READ)
 
 
-def resolve(records: DataFrame, salts: int = SALTS) -> DataFrame:
-    """Revisit records joined by digest and record to the responses that hold their payload: page_id, payload_bytes,
-    payload_digest, record_type, refers_to.
+def resolve(records: DataFrame) -> DataFrame:
+    """Revisit records joined to the responses that hold their payload: page_id, payload_bytes, payload_digest, record_type,
+    refers_to (the response's page), record_id, refers_to_record.
 
-    A revisit whose response is nowhere in the archives keeps null payload_bytes.  Only responses that some revisit
-    names are joined, and hot ones in `salts` buckets."""
-    revisits = records.filter("record_type = 'revisit'").select("page_id", "digest", "refers_to")
+    A revisit names its response by record id, or by address and digest where it gives no id, as older archives do.  One
+    whose response is nowhere in the archives keeps null payload_bytes and refers_to.  Only responses that some revisit
+    names are joined, and the revisits of very common ones are dealt over parts."""
     held = records.filter("record_type = 'response'")
-    responses = held.select(F.col("page_id").alias("_r"), F.col("digest").alias("_d"), F.col("payload_bytes").alias("_n"))
-    named = revisits.groupBy(F.col("refers_to").alias("_r"), F.col("digest").alias("_d")).agg(F.count(F.lit(1)).alias("_c")).drop("_c")
-    found = responses.groupBy("_r", "_d").agg(F.max("_n").alias("_n")).join(named, ["_r", "_d"])
-    spread = found.select("*", F.explode(F.sequence(F.lit(0), F.lit(salts - 1))).alias("_s"))
-    salted = revisits.withColumn("_salt", F.pmod(F.xxhash64("page_id"), F.lit(salts)).cast("int"))
-    joined = salted.join(spread, (F.col("digest") == F.col("_d")) & (F.col("refers_to") == F.col("_r")) & (F.col("_salt") == F.col("_s")), "left")
-    out = lambda df, size: df.select("page_id", F.col(size).alias("payload_bytes"), F.col("digest").alias("payload_digest"), "record_type", "refers_to")
-    return out(held, "payload_bytes").unionByName(out(joined.withColumn("record_type", F.lit("revisit")), "_n"))
+    revisits = records.filter("record_type <> 'response'")
+    name = F.coalesce("refers_to", F.concat_ws("\x1f", F.coalesce("refers_url", "url"), "digest"))
+    revisits = revisits.withColumn("name", name)
+    counts = materialise(revisits.groupBy("name").agg(F.count(F.lit(1)).alias("n")), "named")
+    by = lambda name: held.select(name.alias("name"), F.struct(F.col("page_id").alias("page"), F.col("payload_bytes").alias("size"), F.col("digest").alias("digest"), F.col("record_id").alias("record")).alias("r"))
+    both = by(F.col("record_id")).union(by(F.concat_ws("\x1f", "url", "digest")))
+    found = both.join(counts.select("name"), "name", "left_semi").groupBy("name").agg(F.min("r").alias("r"))
+    joined = join_split(revisits, found, ["name"], counts, F.xxhash64("page_id", "record_id"), "left")
+    plain = held.select("page_id", "payload_bytes", F.col("digest").alias("payload_digest"), "record_type", F.lit(None).cast("bigint").alias("refers_to"), "record_id", F.lit(None).cast("string").alias("refers_to_record"))
+    digest = F.coalesce(F.col("r.digest"), F.col("digest"))
+    return plain.unionByName(joined.select("page_id", F.col("r.size").alias("payload_bytes"), digest.alias("payload_digest"), "record_type", F.col("r.page").alias("refers_to"), "record_id", F.col("r.record").alias("refers_to_record")))
 
 
 def deduplicated_archives(pages: DataFrame, path: str | None = None, key: str = "page_id", url: str = "url", html: str = "html", least: int = LEAST_BYTES) -> str:
     """Write the pages as WARC archives in which each payload of at least `least` bytes stands once; return the path.
 
     Null html is an empty payload, which like all short ones is a response of its own.  A null key never is the
-    record that others refer to.  Repeated rows with the smallest key of their payload are all responses.  An empty
-    table gives archives without records.  Other columns are not read."""
+    record that others refer to.  Repeated rows with the smallest key of their payload are all responses, so there are no
+    ties.  An empty table gives archives without records.  Other columns are not read.  A file has up to
+    RECORDS_PER_FILE records whatever their bytes: pages of more than half a megabyte on average want fewer."""
     path = path or scratch(pages.sparkSession, "warc")
     payload = F.coalesce(F.col(html).cast("string"), F.lit(""))
     rows = pages.select(F.col(key).cast("bigint").alias("page_id"), F.col(url).cast("string").alias("url"), payload.alias("html"))
@@ -160,4 +215,4 @@ def deduplicated_archives(pages: DataFrame, path: str | None = None, key: str =
 def pages_by_archives(pages: DataFrame, **names) -> DataFrame:
     """Write the pages to deduplicated archives, read these back and resolve the revisits: one row per page."""
     path = deduplicated_archives(pages, **names)
-    return resolve(read_archives(pages.sparkSession, path))
+    return resolve(read_archives(pages.sparkSession, path)).drop("record_id", "refers_to_record")
