@@ -13,7 +13,7 @@ from dataclasses import dataclass
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import materialise
+from .common import fresh, materialise
 
 BLOCKS = 1024
 STEPS, WAYS = 5, 32
@@ -106,6 +106,7 @@ def mixture(df: DataFrame, target: Target = Target(), key: str = "doc_id", sourc
     source's running totals go over its blocks, so a source with most of the rows is no heavier than others; documents
     are ranked within their block only."""
     rows = df.select(F.col(key).cast("bigint").alias("key"), F.coalesce(F.col(source).cast("string"), F.lit("\x00null")).alias("source"), token_count(F.col(text).cast("string")).alias("tokens"))
+    rows = rows.withColumn("row", F.when(F.col("key").isNull(), F.monotonically_increasing_id()))  # written once, so it stays
     rows = materialise(rows, "mix-rows")
     table = weights(rows.groupBy("source").agg(F.sum("tokens").alias("tokens")), target).select("source", "weight", "exponent", "repeats", F.col("tokens").alias("held"))
     table = materialise(table, "mix-weights")
@@ -114,14 +115,14 @@ def mixture(df: DataFrame, target: Target = Target(), key: str = "doc_id", sourc
     part = F.least(F.lit(1.0), F.col("repeats") - F.col("pass_no"))
 
     place = lambda *more: F.xxhash64(F.lit(target.seed), *more)
-    rows = rows.withColumn("block", F.pmod(place(F.lit("block"), F.col("key"), F.col("tokens")), F.lit(blocks)).cast("int"))
+    rows = rows.withColumn("block", F.pmod(place(F.lit("block"), F.col("key"), F.col("tokens"), F.col("row")), F.lit(blocks)).cast("int"))
     sums = rows.groupBy("source", "block").agg(F.sum("tokens").alias("block_tokens"))
     order = Window.partitionBy("source", "pass_no").orderBy(place(F.lit("order"), F.col("source"), F.col("block"), F.col("pass_no")), "block")
     plan = sums.join(per_pass, "source").withColumn("before", F.sum("block_tokens").over(order.rowsBetween(Window.unboundedPreceding, -1)))
     plan = plan.withColumns({"before": F.coalesce("before", F.lit(0)), "limit": F.round(part * F.col("held")).cast("bigint")}).filter(F.col("before") < F.col("limit"))
     plan = plan.select("source", "block", "pass_no", "before", "limit", "block_tokens", "held", "repeats", "weight", "exponent")
 
-    inside = Window.partitionBy("source", "block", "pass_no").orderBy(place(F.lit("inside"), F.col("key"), F.col("pass_no")), "key", "tokens")
+    inside = Window.partitionBy("source", "block", "pass_no").orderBy(place(F.lit("inside"), F.col("key"), F.col("row"), F.col("pass_no")), "key", "tokens")
     used = rows.join(plan, ["source", "block"]).withColumn("earlier", F.coalesce(F.sum("tokens").over(inside.rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)))
     used = used.filter(F.col("before") + F.col("earlier") < F.col("limit"))
     at = (F.col("pass_no") * F.col("held") + F.col("before") + F.col("earlier")) / (F.col("repeats") * F.col("held"))
@@ -131,16 +132,19 @@ def mixture(df: DataFrame, target: Target = Target(), key: str = "doc_id", sourc
 def mixed(df: DataFrame, target: Target, key: str = "doc_id", source: str = "source", text: str = "text") -> DataFrame:
     """The rows of df that the mixture uses, each as often as it is used.
 
-    Rows with a null key have nothing to be told apart by and stay as they are; repeated rows share their key's uses."""
+    Rows with a null key have nothing to be told apart by and stay as they are; repeated rows share their key's uses, and which of them are used is up to a hash of
+    their texts.  All columns stay, by any name."""
+    name, uses, at, of = (fresh(x) for x in ("used", "uses", "at", "of"))
     keyed = df.filter(F.col(key).isNotNull())
-    uses = mixture(keyed, target, key, source, text).groupBy(F.col(key).alias("_used")).agg(F.count(F.lit(1)).cast("int").alias("_u"))
+    found = mixture(keyed, target, key, source, text).groupBy(F.col(key).alias(name)).agg(F.count(F.lit(1)).cast("int").alias(uses))
     rest = df.filter(F.col(key).isNull())
     again = lambda n: F.explode(F.sequence(F.lit(1), n))
+    columns = [f"`{c}`" for c in df.columns]
     if keyed.groupBy(key).agg(F.count(F.lit(1)).alias("c")).filter("c > 1").isEmpty():
-        out = keyed.join(uses, F.col(key) == F.col("_used"))
-        return out.withColumn("_i", again(F.col("_u"))).select(*df.columns).unionByName(rest)
+        out = keyed.join(found, F.col(key) == F.col(name))
+        return out.withColumn(at, again(F.col(uses))).select(*columns).unionByName(rest)
     rank = F.row_number().over(Window.partitionBy(key).orderBy(F.xxhash64(text)))
     every = F.count(F.lit(1)).over(Window.partitionBy(key))
-    out = keyed.withColumns({"_r": rank, "_c": every}).join(uses, F.col(key) == F.col("_used"))
-    share = F.floor(F.col("_u") / F.col("_c")).cast("int") + (F.col("_r") <= F.col("_u") % F.col("_c")).cast("int")
-    return out.withColumn("_n", share).filter("_n > 0").withColumn("_i", again(F.col("_n"))).select(*df.columns).unionByName(rest)
+    out = keyed.withColumns({at: rank, of: every}).join(found, F.col(key) == F.col(name))
+    share = F.floor(F.col(uses) / F.col(of)).cast("int") + (F.col(at) <= F.col(uses) % F.col(of)).cast("int")
+    return out.withColumn(uses, share).filter(F.col(uses) > 0).withColumn(at, again(F.col(uses))).select(*columns).unionByName(rest)
