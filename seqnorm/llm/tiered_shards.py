@@ -76,13 +76,15 @@ class Store:
             hadoop.FileContext.getFileContext(fs.getUri(), conf).rename(hadoop.Path(aside), hadoop.Path(final), options)
         except Exception as e:
             fs.delete(hadoop.Path(aside), True)
-            if "FileAlreadyExists" in str(e) or "exist" in str(e).lower():
+            if fs.exists(hadoop.Path(final)):
                 raise CommitConflict(f"version {version} is there already") from e
             raise
 
     def _measure(self, folder: str, generation: int, version: int) -> DataFrame:
         """The files that a job wrote, with their sizes and rows; only file metadata and no column is read."""
-        files = self.spark.read.parquet(folder).select(F.col("_metadata.file_path").alias("file"), F.col("_metadata.file_size").alias("bytes"))
+        shards = self.spark.read.parquet(folder)
+        meta = shards.metadataColumn("_metadata")  # also where the data have a column of this name
+        files = shards.select(meta["file_path"].alias("file"), meta["file_size"].alias("bytes"))
         counted = files.groupBy("file", "bytes").agg(F.count(F.lit(1)).alias("rows"))
         return counted.select("file", "bytes", "rows", F.lit(generation).alias("generation"), F.lit(version).cast("bigint").alias("version"))
 
@@ -112,34 +114,42 @@ class Store:
         if not at:
             return None
         tiers = self.tiers(at)
-        full = tiers.filter("tier is not null").groupBy("tier").count().filter(F.col("count") >= s.fan_in).agg(F.min("tier")).first()[0]
+        full = self.full()
         if full is None:
             return None
         chosen = tiers.filter(F.col("tier") == full)
         names = [r[0] for r in chosen.orderBy("bytes", "file").select("file").collect()]  # names only, as Spark's own file index holds them
         generation = chosen.agg(F.max("generation")).first()[0] + 1
         folder = f"{self.path}/shards/{uuid.uuid4().hex}"
-        held = {k: self.spark.conf.get(k) for k in ("spark.sql.files.maxPartitionBytes", "spark.sql.files.openCostInBytes", "spark.sql.files.minPartitionNum") if self.spark.conf.get(k, None)}
-        try:
-            self.spark.conf.set("spark.sql.files.maxPartitionBytes", str(s.target_bytes))
-            self.spark.conf.set("spark.sql.files.openCostInBytes", "0")
-            self.spark.conf.set("spark.sql.files.minPartitionNum", "1")
-            self.spark.read.parquet(*names).write.option("compression", s.codec).parquet(folder)
-        finally:
-            for k in ("spark.sql.files.maxPartitionBytes", "spark.sql.files.openCostInBytes", "spark.sql.files.minPartitionNum"):
-                self.spark.conf.set(k, held[k]) if k in held else self.spark.conf.unset(k)
+        reader = self.spark.newSession()  # its settings are its own
+        reader.conf.set("spark.sql.files.maxPartitionBytes", str(s.target_bytes))
+        reader.conf.set("spark.sql.files.openCostInBytes", "0")
+        reader.conf.set("spark.sql.files.minPartitionNum", "1")
+        reader.read.parquet(*names).write.option("compression", s.codec).parquet(folder)
         rest = tiers.filter((F.col("tier") != full) | F.col("tier").isNull()).drop("tier")
         self._commit(rest.unionByName(self._measure(folder, generation, at + 1)), at + 1)
         return at + 1
 
-    def compact(self, most: int = 32) -> int:
-        """Merge until no tier is full; the newest version.  A merge of a tier makes fewer files than it reads, or the loop ends."""
-        for _ in range(most):
-            before = self.manifest().count() if self.version() else 0
-            if self.compact_once() is None or self.manifest().count() >= before:
+    def compact(self, most: int | None = None) -> int:
+        """Merge until no tier is full; the newest version.
+
+        A merge that makes as many files as it read is the last one, so the loop ends; with `most`, RuntimeError is raised
+        if after so many merges a tier is still full."""
+        before, merges = self.manifest().count() if self.version() else 0, 0
+        while self.compact_once() is not None:
+            merges += 1
+            after = self.manifest().count()
+            if after >= before:
                 break
+            if merges == most and self.full() is not None:
+                raise RuntimeError(f"a tier is still full after {most} merges")
+            before = after
         return self.version()
 
+    def full(self) -> int | None:
+        """The lowest tier that holds `fan_in` shards or more."""
+        return self.tiers().filter("tier is not null").groupBy("tier").count().filter(F.col("count") >= self.settings.fan_in).agg(F.min("tier")).first()[0]
+
     def read(self, version: int | None = None) -> DataFrame:
         """The rows of a version."""
         names = [r[0] for r in self.manifest(version).select("file").collect()]
@@ -150,7 +160,8 @@ class Store:
     def placement(self, key: str = "doc_id", version: int | None = None) -> DataFrame:
         """Which file of a version holds each row: key, file_no (by the files' smallest keys), file_rows, file_bytes, generation, version."""
         at = self.version() if version is None else version
-        where = self.read(at).select(F.col(key).alias("_key"), F.col("_metadata.file_path").alias("file"))
+        shards = self.read(at)
+        where = shards.select(F.col(key).alias("_key"), shards.metadataColumn("_metadata")["file_path"].alias("file"))
         files = self.manifest(at).join(where.groupBy("file").agg(F.min("_key").alias("_first")), "file", "left")
         ordered = files.groupBy().agg(F.array_sort(F.collect_list(F.struct("_first", "file", "rows", "bytes", "generation", "version"))).alias("f"))
         numbered = ordered.select(F.posexplode("f").alias("file_no", "f")).select("file_no", "f.file", "f.rows", "f.bytes", "f.generation", "f.version")

@@ -144,6 +144,73 @@ def test_tiered_shards(spark, docs, empty):
     assert tiered_shards.compacted(empty, settings).read().count() == 0
 
 
+def test_tiers_merge_as_a_plan_of_sizes_says(spark, tmp_path):
+    """Each merge takes all shards of the lowest full tier, as a plan over the manifest's sizes alone would."""
+    import math
+
+    settings = tiered_shards.Settings(arrival_rows=40, target_bytes=200_000, least_bytes=1 << 10, fan_in=3)
+    store = tiered_shards.Store(spark, f"file://{tmp_path}/store", settings)
+    rng, kept = random.Random(2), {k: spark.conf.get(k) for k in ("spark.sql.files.maxPartitionBytes", "spark.sql.files.openCostInBytes")}
+    shape = lambda: {r.file: r.bytes for r in store.manifest().collect()}
+    merges = Counter()
+    for n in (200, 190, 180, 170):
+        data = [(i, "".join(rng.choices("abcdefghij", k=60)), i) for i in range(n)]
+        store.append(spark.createDataFrame(data, "doc_id long, text string, _metadata long").coalesce(1))
+        files, last = shape(), 1 << 30
+        while True:
+            tiers = defaultdict(set)
+            for file, size in files.items():
+                if 2 * size < settings.target_bytes:
+                    tiers[int(math.log(max(size, settings.least_bytes) / settings.least_bytes, settings.ratio) + 1e-12)].add(file)
+            full = min((t for t, fs in tiers.items() if len(fs) >= settings.fan_in), default=None)
+            assert full == store.full()
+            if full is None or len(files) >= last:
+                break
+            last, before = len(files), files
+            store.compact_once()
+            files, _ = shape(), merges.update([full])
+            assert before.keys() - files.keys() == tiers[full]
+    assert len(merges) > 1 and store.read().count() == store.placement().count() == 740
+    assert kept == {k: spark.conf.get(k) for k in kept}
+    store.append(spark.createDataFrame([(1, "x", 1)] * 200, "doc_id long, text string, _metadata long"))
+    with pytest.raises(RuntimeError):
+        tiered_shards.Store(spark, store.path, tiered_shards.Settings(target_bytes=1 << 30, least_bytes=1, ratio=2, fan_in=1)).compact(1)
+
+
+def test_mixing_of_rows_without_keys_and_of_clashing_columns(spark):
+    rows = [(None, "same text", "hot", 1, 2) for _ in range(400)] + [(i, f"w{i} text", "cold", 1, 2) for i in range(50)] + [(7, "w7 text", "cold", 3, 4)]
+    df = spark.createDataFrame(rows, "doc_id long, text string, source string, _used int, _u int")
+    target = temperature_mix.Target(entropy=None, exponent=1.0, max_repeats=1.0)
+    m = temperature_mix.mixture(df, target).cache()
+    assert m.count() == len(rows) and m.filter("source = 'hot'").groupBy("block").count().agg(F.max("count")).first()[0] < 10
+    kept = temperature_mix.mixed(df, target)
+    assert kept.columns == df.columns and kept.count() == len(rows)
+    once = temperature_mix.mixed(df.filter("doc_id is null or doc_id <> 7"), target)
+    assert sorted(map(str, once.collect())) == sorted(map(str, df.filter("doc_id is null or doc_id <> 7").collect()))
+
+
+def test_mixing_weights_against_a_search(spark):
+    """Exponent, weights and repeats as a fine search over exponents finds them."""
+    held = {"a": 9000, "b": 700, "c": 250, "d": 50}
+    table = spark.createDataFrame(list(held.items()), "source string, tokens long")
+    total = sum(held.values())
+
+    def shares(x):
+        w = {k: (n / total) ** x for k, n in held.items()}
+        return {k: v / sum(w.values()) for k, v in w.items()}
+
+    entropy = lambda x: -sum(v * np.log(v) for v in shares(x).values())
+    worst = lambda x: max(v * total / held[k] for k, v in shares(x).items())
+    grid = np.linspace(0, 1, 20_001)
+    for target, want in (
+        (temperature_mix.Target(entropy=0.7, max_repeats=1e9), max(x for x in grid if entropy(x) >= 0.7 * np.log(4))),
+        (temperature_mix.Target(entropy=0.95, max_repeats=2.0), min(x for x in grid if worst(x) <= 2.0)),
+    ):
+        got = {r.source: r for r in temperature_mix.weights(table, target).collect()}
+        assert all(abs(r.exponent - want) < 2e-4 for r in got.values())
+        assert all(abs(r.weight - shares(want)[k]) < 1e-3 and abs(r.repeats - shares(want)[k] * total / held[k]) < 2e-2 for k, r in got.items())
+
+
 def test_temperature_mix(spark, docs, empty):
     rng = np.random.default_rng(0)
     big = [(i, "w " * int(rng.integers(5, 60)), "en", "hot" if i % 3 else f"s{i % 7}", 0, "", "", 0) for i in range(3000)]
@@ -371,6 +438,46 @@ def test_warc(spark):
     assert warc_revisit.pages_by_archives(df.limit(0)).count() == 0
 
 
+def test_warc_of_others(spark, tmp_path):
+    """An archive with a gzip member for each record, of another writer: revisits by record id and by address, and a lost one."""
+    import gzip
+
+    def record(kind, uri, rid, block, **more):
+        head = {"WARC-Type": kind, "WARC-Record-ID": rid, "WARC-Date": "2020-02-02T02:02:02Z", "WARC-Target-URI": uri, **more, "Content-Length": str(len(block))}
+        return ("WARC/1.0\r\n" + "".join(f"{k}: {v}\r\n" for k, v in head.items()) + "\r\n").encode() + block + b"\r\n\r\n"
+
+    page = b"<p>" + b"long \r\n\r\n" * 30_000
+    http = b"HTTP/1.1 200 OK\r\nContent-Type: text/html\r\n\r\n"
+    digest = hashlib.sha256(page).hexdigest()
+    records = [
+        record("warcinfo", "", "<urn:a>", b"software: x"),
+        record("response", "http://a/", "<urn:b>", http + page, **{"Content-Type": "application/http; msgtype=response"}),
+        record("revisit", "http://c/", "<urn:c>", b"", **{"WARC-Refers-To": "<urn:b>", "WARC-Payload-Digest": f"sha256:{digest}"}),
+        record("revisit", "http://d/", "<urn:d>", http, **{"WARC-Refers-To-Target-URI": "http://a/", "WARC-Payload-Digest": f"sha256:{digest}"}),
+        record("revisit", "http://e/", "<urn:e>", b"", **{"WARC-Refers-To": "<urn:gone>", "WARC-Payload-Digest": f"sha256:{digest}"}),
+    ]
+    (tmp_path / "x.warc.gz").write_bytes(b"".join(map(gzip.compress, records)))
+    (tmp_path / "plain.warc").write_bytes(records[1].replace(b"<urn:b>", b"<urn:p>"))
+    got = {r.record_id: r for r in warc_revisit.resolve(warc_revisit.read_archives(spark, str(tmp_path), pattern="*.warc*")).collect()}
+    assert set(got) == {f"<urn:{x}>" for x in "bcdep"}
+    assert all((got[f"<urn:{x}>"].payload_bytes, got[f"<urn:{x}>"].payload_digest) == (len(page), digest) for x in "bcdp")
+    assert (got["<urn:c>"].refers_to_record, got["<urn:e>"].refers_to_record, got["<urn:e>"].payload_bytes) == ("<urn:b>", None, None)
+    assert got["<urn:d>"].refers_to_record in ("<urn:b>", "<urn:p>")
+    with pytest.raises(ValueError):
+        list(warc_revisit.parse(warc_revisit.unpacked(gzip.compress(records[1])[:-20])))
+    with pytest.raises(ValueError):
+        list(warc_revisit.parse([records[0][:-3]]))
+
+
+def test_warc_headers_name_the_response(spark):
+    body = "y" * 150
+    df = spark.createDataFrame([(1, "http://a/ b", body), (2, None, body), (3, "http://c/", "é" * 400_000), (4, None, "é" * 400_000)], "page_id long, url string, html string")
+    path = warc_revisit.deduplicated_archives(df)
+    records = {r.page_id: r for r in warc_revisit.read_archives(spark, path, True).collect()}
+    assert records[2].refers_to == records[1].record_id and records[2].refers_url == "http://a/%20b" and records[2].payload is None
+    assert records[4].refers_to == records[3].record_id and records[3].payload_bytes == 800_000 and records[4].url == "about:blank"
+
+
 def test_dart_minhash(spark, docs, empty):
     got = {r.doc_id: r.class_id for r in dart_minhash.classes(docs).collect() if r.doc_id is not None}
     assert got[4] == got[5] == got[6] == 4 and all(got[k] == k for k in (0, 1, 2, 3, 7, 8, 9))
