@@ -44,27 +44,32 @@ def static_fit(x: np.ndarray, ell: int, mult: int = 2, sample: int = 5000, selec
 def _free_clusters(ready: np.ndarray) -> list[list[int]]:
     """Ward clustering of any rows by nearest-neighbour chains, cut at the largest relative jump of heights."""
     n = len(ready)
-    size, total = np.ones(n), ready.copy()
-    active = np.ones(n, bool)
+    size, mean = np.ones(n), np.array(ready, float)
+    square = np.einsum("ij,ij->i", mean, mean)
+    names = np.arange(n)  # of the rows kept: those joined away go when they are half of them
+    gone = np.zeros(n, bool)
     joins, chain = [], []
-    while active.sum() > 1:
+    while len(names) - gone.sum() > 1:
+        if 2 * gone.sum() > len(names):
+            place = np.cumsum(~gone) - 1
+            chain = [int(place[c]) for c in chain]
+            names, size, mean, square, gone = names[~gone], size[~gone], mean[~gone], square[~gone], gone[~gone]
         if not chain:
-            chain = [int(np.flatnonzero(active)[0])]
+            chain = [int(np.flatnonzero(~gone)[0])]
         while True:
             a = chain[-1]
-            others = np.flatnonzero(active)
-            others = others[others != a]
-            gap = total[a] / size[a] - total[others] / size[others, None]
-            d = np.sqrt(2 * size[a] * size[others] / (size[a] + size[others])) * np.linalg.norm(gap, axis=1)
-            b = int(others[d.argmin()])
-            if len(chain) > 1 and np.isclose(d.min(), d[others == chain[-2]][0]):
+            d = np.maximum(square + square[a] - 2.0 * (mean @ mean[a]), 0.0) * (2.0 * size[a] * size / (size[a] + size))
+            d[gone] = np.inf
+            d[a] = np.inf
+            b = int(d.argmin())
+            if len(chain) > 1 and (b == chain[-2] or np.isclose(d[b], d[chain[-2]])):
                 b = chain[-2]
-            if len(chain) > 1 and b == chain[-2]:
-                joins.append((float(d.min()), b, a))
+                joins.append((float(np.sqrt(d[b])), int(names[b]), int(names[a])))
                 chain = chain[:-2]
-                total[b] += total[a]
+                mean[b] = (size[a] * mean[a] + size[b] * mean[b]) / (size[a] + size[b])
+                square[b] = mean[b] @ mean[b]
                 size[b] += size[a]
-                active[a] = False
+                gone[a] = True
                 break
             chain.append(b)
     joins.sort(key=lambda j: j[0])
