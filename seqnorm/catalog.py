@@ -165,6 +165,7 @@ def adjacent_gap_links(s: SparkSession, d: str) -> DataFrame:
     return rounded(g.withColumn("n", nxt).filter("n is not null").select("seg", D.euclid(F.col("c"), F.col("n")).alias("dist")), "dist", digits=2)
 
 
+# The neighbour distances and the heights of two branches of the worked examples.
 TOY_LINKS = (0.2, 0.1, 18, 9.2, 4, 6.2, 5.3, 21.9, 14.8, 0.9, 16.9, 9.5, 2.1, 1.1)
 TOY_HEIGHTS = {1: (0.13, 0.23, 0.55, 26.12, 145.0), 13: (1.11, 2.58, 13.72, 4.2, 145.0)}
 
@@ -180,13 +181,13 @@ def chain_cut_toy(s: SparkSession, d: str) -> DataFrame:
 
 
 def cut_toy_rules(s: SparkSession, d: str) -> DataFrame:
-    """The mean jump of the two branches of the worked example, and the first jump beyond it."""
+    """The limits of every cut rule at every step of the two branches of the worked example, and whether it cuts there."""
     rows = []
     for seed, h in TOY_HEIGHTS.items():
-        limit = contig.jump_limit(list(h), "mean_jump", 0)
-        jumps = [b - a for a, b in zip(h, h[1:])]
-        rows.append((seed, round(limit, 4), next(i for i, j in enumerate(jumps, 1) if j > limit)))
-    return s.createDataFrame(rows, "seed int, mean_jump double, cut_at int")
+        for rule in ("mean_jump", "running_mean", "mean_plus_std", "printed"):
+            limits = [contig.jump_limit(list(h), rule, at) for at in range(len(h) - 1)]
+            rows += [(seed, rule, at + 1, round(limit, 4), h[at + 1] - h[at] > limit) for at, limit in enumerate(limits)]
+    return s.createDataFrame(rows, "seed int, rule string, step int, limit double, cut boolean")
 
 
 def _ca(repair: bool, k: int) -> Query:
@@ -461,15 +462,21 @@ def dissim_matrix(s: SparkSession, d: str) -> DataFrame:
 
 
 def anom_dissim(s: SparkSession, d: str) -> DataFrame:
-    """Mean and deviation, by factor, of the zero-mean distance between a period of A times a factor and A itself."""
-    grid = s.range(50).select(F.col("id").alias("pos"))
-    base = inject.shape(F.lit(0), F.col("pos"))
+    """By injected factor, mean and deviation of the anomalous windows' distance to their nearest normal pattern, beside
+    the mean and the largest distance between normal patterns; these are the four concepts' periods."""
+    period = s.range(50).select(F.explode(F.array(*map(F.lit, range(4)))).alias("pattern"), F.col("id").alias("i"))
+    normal = period.groupBy("pattern").agg(F.transform(F.array_sort(F.collect_list(F.struct("i", inject.shape(F.col("pattern"), F.col("i")).alias("v")))), lambda t: t["v"]).alias("shape"))
+    a, b = normal.select(F.col("pattern").alias("a"), F.col("shape").alias("sa")), normal.select(F.col("pattern").alias("b"), F.col("shape").alias("sb"))
+    between = a.join(b, F.col("a") < F.col("b")).select(D.zm_col(F.col("sa"), F.col("sb")).alias("d")).agg(F.avg("d").alias("normal_mean"), F.max("d").alias("normal_max"))
     parts = None
     for k in (0.5, 1.0, 2.0, 3.0):
-        one = grid.select(F.lit(k).alias("factor"), "pos", base.alias("v"), (k * base).alias("w"))
+        hit = segment.segments(inject.scaled_normal(workloads.heart(s, d), k), 50).select("seg", "xs")
+        truth = inject.scaled_normal(workloads.heart(s, d), k).groupBy(F.floor(F.col("pos") / 50).cast("int").alias("seg")).agg(F.min("y_true").alias("y"))
+        one = hit.join(truth.filter("y > 0"), "seg").select(F.lit(k).alias("factor"), "seg", "xs")
         parts = one if parts is None else parts.unionByName(one)
-    dist = parts.groupBy("factor").agg(F.sqrt(F.sum((F.col("v") - F.col("w")) * (F.col("v") - F.col("w")))).alias("dist"))
-    return rounded(dist, "dist")
+    near = parts.join(F.broadcast(normal)).groupBy("factor", "seg").agg(F.min(D.zm_col(F.col("xs"), F.col("shape"))).alias("dist"))
+    out = near.groupBy("factor").agg(F.count(F.lit(1)).alias("n"), F.avg("dist").alias("mean"), F.stddev_pop("dist").alias("sd")).crossJoin(F.broadcast(between))
+    return rounded(out, "mean", "sd", "normal_mean", "normal_max")
 
 
 def unclustered_by_rmin(s: SparkSession, d: str) -> DataFrame:
@@ -592,7 +599,7 @@ def op_unpivot(s: SparkSession, d: str) -> DataFrame:
 
 
 def op_agg_stats(s: SparkSession, d: str) -> DataFrame:
-    return rounded(relational.agg_stats(P.by_type(s, d), ["series_id"]), "total", "mean", "low", "high", "sd", "variance", "skew", "kurt", digits=3).drop("skew", "kurt")
+    return rounded(relational.agg_stats(P.by_type(s, d), ["series_id"]), "total", "mean", "low", "high", "sd", "variance", "skew", "kurt", digits=3)
 
 
 def op_grouping_sets(s: SparkSession, d: str) -> DataFrame:

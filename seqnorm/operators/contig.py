@@ -157,17 +157,20 @@ class Agglomeration:
 
 
 def jump_limit(heights: list[float], rule: str, at: int) -> float:
-    """The height difference beyond which a branch is cut at its step `at`; heights are those on the seed's way up."""
+    """The height difference beyond which a branch is cut at its step `at`; heights are those on the seed's way up.
+
+    mean_jump: the mean of all the way's differences; mean_plus_std: that and their deviation; running_mean: the mean of
+    the differences so far, this one included; printed: the sum of the heights so far less that mean, over their number."""
     jumps = np.diff(heights)
     if rule == "mean_jump":
         return float(jumps.mean())
     seen = jumps[: at + 1]
     if rule == "running_mean":
-        return float(np.mean(heights[: at + 1]))
+        return float(seen.mean())
     if rule == "mean_plus_std":
         return float(jumps.mean() + jumps.std())
     if rule == "printed":
-        return float(heights[at + 1] - seen.mean()) / (at + 1)
+        return float(np.sum(heights[: at + 2]) - seen.mean()) / (at + 2)
     raise ValueError(f"unknown cut rule {rule}")
 
 

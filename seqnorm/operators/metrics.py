@@ -5,34 +5,40 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from seqnorm.operators.segment import prefix_sums
+
+
+def _counted(df: DataFrame, keys: list[str], score: str, y: str) -> DataFrame:
+    """Positives p and negatives n of each distinct score, with those of lower scores as p_below and n_below."""
+    truth = lambda c: F.sum(c.cast("bigint"))
+    c = df.filter(F.col(score).isNotNull() & F.col(y).isNotNull()).groupBy(*keys, score).agg(truth(F.col(y) > 0).alias("p"), truth(F.col(y) <= 0).alias("n"))
+    return prefix_sums(c, tuple(keys), score, {"p_below": "p", "n_below": "n"})
+
 
 def auc(df: DataFrame, score: str = "score", y: str = "y", by: tuple[str, ...] = ()) -> DataFrame:
     """Exact AUC, ties counted half: a row for each group with n_pos, n_neg, auc.
 
-    Rows are counted per score first; the running count of negatives goes over distinct scores."""
+    Rows are counted per score first; running counts go over range partitions of distinct scores, so neither a giant group
+    nor the whole table is one task's."""
     keys = list(by)
-    c = df.filter(F.col(score).isNotNull() & F.col(y).isNotNull()).groupBy(*keys, score).agg(F.sum((F.col(y) > 0).cast("bigint")).alias("p"), F.sum((F.col(y) <= 0).cast("bigint")).alias("n"))
-    below = Window.partitionBy(*keys).orderBy(score).rowsBetween(Window.unboundedPreceding, -1)
-    c = c.withColumn("below", F.coalesce(F.sum("n").over(below), F.lit(0)))
-    out = c.groupBy(*keys).agg(F.sum("p").alias("n_pos"), F.sum("n").alias("n_neg"), F.sum(F.col("p") * (F.col("below") + F.col("n") / 2.0)).alias("u"))
+    out = _counted(df, keys, score, y).groupBy(*keys).agg(F.sum("p").alias("n_pos"), F.sum("n").alias("n_neg"), F.sum(F.col("p") * (F.col("n_below") + F.col("n") / 2.0)).alias("u"))
     return out.select(*keys, "n_pos", "n_neg", F.when((F.col("n_pos") > 0) & (F.col("n_neg") > 0), F.col("u") / F.col("n_pos") / F.col("n_neg")).alias("auc"))
 
 
 def auc_binned(df: DataFrame, width: float, score: str = "score", y: str = "y") -> DataFrame:
-    """AUC over bins of scores with a bound of its error; the running count is over bins, whose number the width bounds."""
-    b = df.select(F.floor(F.col(score) / width).alias("bin"), F.col(y).alias("y")).groupBy("bin").agg(F.sum((F.col("y") > 0).cast("bigint")).alias("p"), F.sum((F.col("y") <= 0).cast("bigint")).alias("n"))
-    b = b.withColumn("below", F.coalesce(F.sum("n").over(Window.orderBy("bin").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)))
-    s = b.agg(F.sum("p").alias("n_pos"), F.sum("n").alias("n_neg"), F.sum(F.col("p") * (F.col("below") + F.col("n") / 2.0)).alias("u"), F.sum(F.col("p") * F.col("n")).alias("mixed"))
+    """AUC over bins of scores with a bound of its error; a bin is a row, however many scores it has."""
+    b = _counted(df.withColumn("_bin", F.floor(F.col(score) / width)), [], "_bin", y)
+    s = b.agg(F.sum("p").alias("n_pos"), F.sum("n").alias("n_neg"), F.sum(F.col("p") * (F.col("n_below") + F.col("n") / 2.0)).alias("u"), F.sum(F.col("p") * F.col("n")).alias("mixed"))
     pairs = F.col("n_pos") * F.col("n_neg")
     return s.select("n_pos", "n_neg", (F.col("u") / pairs).alias("auc"), (F.col("mixed") / (2.0 * pairs)).alias("bound"))
 
 
 def roc(df: DataFrame, score: str = "score", y: str = "y") -> DataFrame:
     """(threshold, fpr, tpr) for every distinct score as threshold of the alarms score >= threshold."""
-    c = df.groupBy(F.col(score).alias("threshold")).agg(F.sum((F.col(y) > 0).cast("bigint")).alias("p"), F.sum((F.col(y) <= 0).cast("bigint")).alias("n"))
-    run = Window.orderBy(F.desc("threshold")).rowsBetween(Window.unboundedPreceding, 0)
-    total = Window.orderBy(F.desc("threshold")).rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)
-    return c.select("threshold", (F.sum("n").over(run) / F.sum("n").over(total)).alias("fpr"), (F.sum("p").over(run) / F.sum("p").over(total)).alias("tpr"))
+    c = _counted(df, [], score, y)
+    total = c.agg(F.sum("p").alias("_pos"), F.sum("n").alias("_neg"))
+    rate = lambda below, all_: (F.col(all_) - F.col(below)) / F.col(all_)
+    return c.crossJoin(F.broadcast(total)).select(F.col(score).alias("threshold"), rate("n_below", "_neg").alias("fpr"), rate("p_below", "_pos").alias("tpr"))
 
 
 def confusion(df: DataFrame, alarm: Column, y: str = "y", by: tuple[str, ...] = ()) -> DataFrame:

@@ -30,6 +30,41 @@ def assign_pos_giant(df: DataFrame, order: str, pos_col: str = "pos", parts: int
     return ranged.join(F.broadcast(base), "_p").withColumn(pos_col, within + F.col("_base")).drop("_p", "_base")
 
 
+def ranged(df: DataFrame, by: tuple[str, ...], order: str, parts: int | None = None) -> DataFrame:
+    """df in range partitions by its groups and an order, numbered by _p in that order.
+
+    It is written once: sums over partitions and the rows of partitions must see the same ranges, whose bounds are
+    sampled anew in every plan."""
+    n = parts or int(df.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    return materialise(df.repartitionByRange(n, *by, order).withColumn("_p", F.spark_partition_id()), "ranged")
+
+
+def prefix_sums(df: DataFrame, by: tuple[str, ...], order: str, values: dict[str, str], parts: int | None = None) -> DataFrame:
+    """df with, for each {new: column}, the sum of the column over the rows of its group that come before in the order.
+
+    No task sees a whole group: sums within range partitions, and one row for each partition and group before them.  Rows
+    that are equal in the order must not be in one group twice, or which of them comes first is open."""
+    rows = ranged(df, by, order, parts)
+    sums = rows.groupBy("_p", *by).agg(*(F.sum(c).alias(new) for new, c in values.items()))
+    if by:
+        earlier = Window.partitionBy(*by).orderBy("_p").rowsBetween(Window.unboundedPreceding, -1)
+        base = sums.select(F.col("_p").alias("_q"), *(F.col(c).alias(f"_by_{c}") for c in by), *(F.coalesce(F.sum(new).over(earlier), F.lit(0)).alias(f"_base_{new}") for new in values))
+    else:
+        run, before = dict.fromkeys(values, 0), []
+        for r in sums.orderBy("_p").collect():  # one row per partition
+            before.append((r["_p"], *run.values()))
+            run = {new: v + (r[new] or 0) for new, v in run.items()}
+        kinds = ", ".join(f"_base_{new} {sums.schema[new].dataType.simpleString()}" for new in values)
+        base = df.sparkSession.createDataFrame(before, f"_q int, {kinds}")
+    on = F.col("_p") == F.col("_q")
+    for c in by:
+        on = on & F.col(c).eqNullSafe(F.col(f"_by_{c}"))
+    within = Window.partitionBy("_p", *by).orderBy(order).rowsBetween(Window.unboundedPreceding, -1)
+    out = rows.join(base if by else F.broadcast(base), on, "left")
+    out = out.withColumns({new: F.coalesce(F.sum(c).over(within), F.lit(0)) + F.coalesce(F.col(f"_base_{new}"), F.lit(0)) for new, c in values.items()})
+    return out.drop("_p", "_q", *(f"_by_{c}" for c in by), *(f"_base_{new}" for new in values))
+
+
 def regularize(df: DataFrame, ts: str, value: str, every: str = "hour", fill: str = "zero") -> DataFrame:
     """(ts, pos, x): sums per unit of time on the full grid between the first and the last; gaps filled as asked."""
     grid = df.agg(F.date_trunc(every, F.min(ts)).alias("a"), F.date_trunc(every, F.max(ts)).alias("b")).select(F.explode(F.expr(f"sequence(a, b, interval 1 {every})")).alias("ts"))
@@ -45,15 +80,30 @@ def fill_gaps(df: DataFrame, policy: str, x: str = "x", pos: str = "pos") -> Dat
     """Missing values by policy: zero, ffill, linear (ends take the nearest value), or error left to the caller as nulls."""
     if policy == "zero":
         return df.withColumn(x, F.coalesce(F.col(x), F.lit(0.0)))
-    before, after = Window.orderBy(pos).rowsBetween(Window.unboundedPreceding, 0), Window.orderBy(pos).rowsBetween(0, Window.unboundedFollowing)
+    if policy not in ("ffill", "linear"):
+        return df
+    rows = ranged(df.withColumn("_here", F.when(F.col(x).isNotNull(), F.struct(F.col(pos).alias("pos"), F.col(x).alias("x")))), (), pos)
+    # the nearest values outside each range partition, from one row per partition
+    ends = rows.groupBy("_p").agg(F.min("_here").alias("first"), F.max("_here").alias("last")).orderBy("_p").collect()
+    last, following, found = None, None, {}
+    for r in ends:
+        found[r["_p"]] = [r["_p"], last]
+        last = r["last"] or last
+    for r in reversed(ends):
+        found[r["_p"]].append(following)
+        following = r["first"] or following
+    at = rows.schema["_here"].dataType.simpleString()
+    near = df.sparkSession.createDataFrame([tuple(v) for v in found.values()], f"_p int, _out_before {at}, _out_after {at}")
+    span = Window.partitionBy("_p").orderBy(pos)
+    before = F.coalesce(F.last("_here", True).over(span.rowsBetween(Window.unboundedPreceding, 0)), F.col("_out_before"))
+    after = F.coalesce(F.first("_here", True).over(span.rowsBetween(0, Window.unboundedFollowing)), F.col("_out_after"))
+    d = rows.join(F.broadcast(near), "_p").withColumns({"_a": before, "_b": after})
     if policy == "ffill":
-        return df.withColumn(x, F.last(x, ignorenulls=True).over(before))
-    if policy == "linear":
-        here = F.when(F.col(x).isNotNull(), F.col(pos))
-        d = df.withColumns({"_a": F.last(x, True).over(before), "_pa": F.last(here, True).over(before), "_b": F.first(x, True).over(after), "_pb": F.first(here, True).over(after)})
-        line = F.col("_a") + (F.col("_b") - F.col("_a")) * (F.col(pos) - F.col("_pa")) / (F.col("_pb") - F.col("_pa"))
-        return d.withColumn(x, F.when(F.col(x).isNotNull(), F.col(x)).when(F.col("_a").isNotNull() & F.col("_b").isNotNull(), line).otherwise(F.coalesce("_a", "_b"))).drop("_a", "_pa", "_b", "_pb")
-    return df
+        d = d.withColumn(x, F.col("_a.x"))
+    else:
+        line = F.col("_a.x") + (F.col("_b.x") - F.col("_a.x")) * (F.col(pos) - F.col("_a.pos")) / (F.col("_b.pos") - F.col("_a.pos"))
+        d = d.withColumn(x, F.when(F.col(x).isNotNull(), F.col(x)).when(F.col("_a").isNotNull() & F.col("_b").isNotNull(), line).otherwise(F.coalesce("_a.x", "_b.x")))
+    return d.select(*df.columns)
 
 
 def windows(points: DataFrame, ell: int, stride: int = 1) -> DataFrame:

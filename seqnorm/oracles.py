@@ -85,6 +85,12 @@ def _distances() -> dict[str, str]:
         + """, size as (select vec_id, sqrt(sum(v * v)) as n from c group by 1),
             cross_ as (select a.vec_id as a, b.vec_id as b, a.i - b.i as shift, sum(a.v * b.v) as p from c a join c b on a.vec_id < b.vec_id group by 1, 2, 3)
             select x.a, x.b, round(1 - max(p) / any_value(s.n * t.n), 4) as dist from cross_ x join size s on s.vec_id = x.a join size t on t.vec_id = x.b group by 1, 2""",
+        "dist_dtw_small": """with recursive e as (select vec_id, list_transform(embedding, lambda x: cast(x as double)) as xs from embeddings where vec_id < 8),
+            m as (select vec_id, xs, list_avg(xs) as m from e), c as (select vec_id, list_transform(xs, lambda x: x - m) as xs from m),
+            t as (select a.vec_id as a, b.vec_id as b, a.xs as x, b.xs as y, 0 as k, list_transform(range(65), lambda i: case when i = 0 then 0.0::double else 'infinity'::double end) as last_, list_transform(range(65), lambda i: 'infinity'::double) as before_ from c a join c b on a.vec_id < b.vec_id
+              union all
+              select a, b, x, y, k + 1, list_transform(range(65), lambda i: case when i between 1 and 64 and k + 1 - i between 1 and 64 then pow(x[i] - y[k + 1 - i], 2) + least(last_[i], last_[i + 1], before_[i]) else 'infinity'::double end), last_ from t where k < 128)
+            select a, b, round(sqrt(last_[65]), 4) as dist from t where k = 128""",
         "dist_zm_pairs": f"{days} {day.format(c='v')}",
         "dist_zn_pairs": f"{days} {day.format(c='z')}",
         "dist_min_place": f"""{HOURLY}, day as (select cast(floor(pos / 24) as int) as seg, pos % 24 as i, x - avg(x) over (partition by floor(pos / 24)) as v from pts where pos < 24 * floor((select count(*) from pts) / 24)),
@@ -112,10 +118,19 @@ def _linkage() -> dict[str, str]:
               coalesce((select max(k.right_) from o k where k.right_ < j.right_ and k.rn > j.rn), 0) as lo,
               coalesce((select min(k.right_) from o k where k.right_ > j.right_ and k.rn > j.rn), 15) - 1 as hi from joins j)
             select cast(rn - 1 as int) as step, cast(lo as int) as lo, cast(hi as int) as hi, cast(d as double) as height from ends""",
-        "cut_toy_rules": """with h as (select * from (values (1, 1, 0.13), (1, 2, 0.23), (1, 3, 0.55), (1, 4, 26.12), (1, 5, 145.0), (13, 1, 1.11), (13, 2, 2.58), (13, 3, 13.72), (13, 4, 4.2), (13, 5, 145.0)) t(seed, p, h)),
-            j as (select seed, p - 1 as p, cast(h as double) - lag(cast(h as double)) over (partition by seed order by p) as j from h),
-            m as (select seed, avg(j) as m from j where j is not null group by seed)
-            select cast(m.seed as int) as seed, round(any_value(m.m), 4) as mean_jump, cast(min(j.p) as int) as cut_at from m join j on m.seed = j.seed and j.j > m.m group by m.seed""",
+        "cut_toy_rules": """with h as (select seed, p, cast(h as double) as h from (values (1, 1, 0.13), (1, 2, 0.23), (1, 3, 0.55), (1, 4, 26.12), (1, 5, 145.0), (13, 1, 1.11), (13, 2, 2.58), (13, 3, 13.72), (13, 4, 4.2), (13, 5, 145.0)) t(seed, p, h)),
+            j as (select seed, p, h, h - lag(h) over (partition by seed order by p) as j, sum(h) over (partition by seed order by p) as total from h),
+            r as (select seed, p - 1 as step, j, avg(j) over w as m, stddev_pop(j) over w as sd, avg(j) over (partition by seed order by p) as so_far, total / p as level, p from j where j is not null window w as (partition by seed)),
+            l as (select seed, step, j, unnest(['mean_jump', 'running_mean', 'mean_plus_std', 'printed']) as rule, unnest([m, so_far, m + sd, level - so_far / p]) as "limit" from r)
+            select cast(seed as int) as seed, rule, cast(step as int) as step, round("limit", 4) as "limit", j > "limit" as cut from l""",
+        "ca_ward_norepair_daily": f"""{DAILY.replace('with', 'with recursive', 1)}, {_segments(14)},
+            leaf as (select seg, list(v order by i) as t from seg group by seg),
+            st as (select 0 as k, list({{'lo': seg, 'hi': seg, 'n': 1, 't': t}} order by seg) as c, 0.0::double as h, 0 as lo, 0 as hi, 0 as n from leaf
+              union all
+              select k + 1, list_concat(list_concat(list_slice(c, 1, place - 1), [{{'lo': c[place].lo, 'hi': c[place + 1].hi, 'n': c[place].n + c[place + 1].n, 't': list_transform(range(1, 15), lambda j: c[place].t[j] + c[place + 1].t[j])}}]), list_slice(c, place + 2, len(c))),
+                ds[place], c[place].lo, c[place + 1].hi, c[place].n + c[place + 1].n
+              from (select *, list_position(ds, list_min(ds)) as place from (select *, list_transform(range(1, len(c)), lambda i: sqrt(2.0 * c[i].n * c[i + 1].n / (c[i].n + c[i + 1].n) * list_sum(list_transform(range(1, 15), lambda j: pow(c[i].t[j] / c[i].n - c[i + 1].t[j] / c[i + 1].n, 2))))) as ds from st where len(c) > 1)))
+            select cast((select count(*) from leaf) + k - 1 as int) as node, cast(lo as int) as lo_seg, cast(hi as int) as hi_seg, cast(n as int) as n, round(h, 2) as height, false as reverted from st where k > 0""",
     }
 
 
@@ -195,6 +210,7 @@ def _fixed() -> dict[str, str]:
         "label_threshold": f"{TRAIL} select start, cast(score > 1000 as int) as label from sc",
         "label_radius": f"{TRAIL} select start, cast(no_active or score > tau as int) as label from sc join tau on tau.pid = sc.nearest",
         "label_topk": f"{TRAIL} select start, cast(row_number() over (order by score desc, start) <= 20 as int) as label from sc",
+        "label_quantile": f"{TRAIL} select start, cast(score > (select quantile_disc(score, 0.95) from sc) as int) as label from sc",
         "alarms_per_series": f"""{TRAIL.replace('with', 'with recursive', 1)}, o as (select start, score, row_number() over (order by score desc, start) as rn from sc),
             pickd as (select 1 as k, start, score, [start] as taken from o where rn = 1
               union all
@@ -313,7 +329,13 @@ def _measures() -> dict[str, str]:
             select tp, fp, fn, tn, round(tp / nullif(tp + fp, 0)::double, 4) as precision, round(tp / nullif(tp + fn, 0)::double, 4) as recall, round(fp / nullif(fp + tn, 0)::double, 4) as fpr, round(2.0 * tp / nullif(2 * tp + fp + fn, 0)::double, 4) as f1 from k""",
         "dissim_matrix": f"{heat} select * from m",
         "op_cross_pivot": f"{heat} select a as item, max(d) filter (b = 'A') as \"A\", max(d) filter (b = 'B') as \"B\", max(d) filter (b = 'C') as \"C\", max(d) filter (b = 'D') as \"D\" from m group by a",
-        "anom_dissim": f"select factor, round(sqrt(sum(({shape('0', 'i')} * (1 - factor)) ** 2)), 4) as dist from (select unnest(range(50)) as i), (values (0.5::double), (1.0::double), (2.0::double), (3.0::double)) t(factor) group by factor",
+        "anom_dissim": f"""{carrier()}, f as (select unnest([0.5, 1.0, 2.0, 3.0])::double as factor),
+            hit as (select factor, wid, pos % 50 as i, x * (factor + 0.1 * {normal('wk', 'factor1')}) as x from b, f where {u('wk', 'hit1')} < 0.1 and wid < floor({N} / 50)),
+            w as (select factor, wid, i, x - avg(x) over (partition by factor, wid) as v from hit),
+            pt as (select p, i, {shape('p', 'i')} as x from (select unnest(range(4)) as p), (select unnest(range(50)) as i)), pc as (select p, i, x - avg(x) over (partition by p) as v from pt),
+            d as (select factor, wid, p, sqrt(sum((w.v - pc.v) ** 2)) as d from w join pc using (i) group by 1, 2, 3), near as (select factor, wid, min(d) as d from d group by 1, 2),
+            between_ as (select avg(d) as m, max(d) as x from (select sqrt(sum((a.v - b.v) ** 2)) as d from pc a join pc b on a.i = b.i and a.p < b.p group by a.p, b.p))
+            select factor, count(*) as n, round(avg(d), 4) as mean, round(stddev_pop(d), 4) as sd, round(any_value(m), 4) as normal_mean, round(any_value(between_.x), 4) as normal_max from near, between_ group by factor""",
         "unclustered_by_rmin": f"""{DAILY}, {_segments(14)}, k as (select distinct seg, cast(floor(sqrt(seg)) as int) as c from seg), sz as (select c, count(*) as n from k group by c),
             r as (select unnest([0.001, 0.01, 0.05, 0.1])::double as r_min) select r_min, cast(sum(n) as bigint) as unclustered from r, sz where n < greatest(2, ceil(r_min * (select count(*) from k))) group by r_min""",
         "by_region": f"""{carrier(region_concept, region_inside)}, t as (select case when {SCALE_HIT} then 'anomaly' when in_transition then 'drift' else 'normal' end as region, abs(case when {SCALE_HIT} then {SCALE_X} else x end) as s from b)
@@ -346,7 +368,7 @@ def _around() -> dict[str, str]:
         "op_anti": "select doc_id, n_chars from documents where doc_id not in (select doc_id from labels)",
         "op_unpivot": """with t as (select event_type as series_id, round(avg(value), 4) as mean, round(max(value), 4) as high from events group by 1)
             select series_id, 'mean' as metric, mean as value from t union all select series_id, 'high', high from t""",
-        "op_agg_stats": "select event_type as series_id, count(*) as n, round(sum(value), 3) as total, round(avg(value), 3) as mean, round(min(value), 3) as low, round(max(value), 3) as high, round(stddev_pop(value), 3) as sd, round(var_pop(value), 3) as variance from events group by 1",
+        "op_agg_stats": "select event_type as series_id, count(*) as n, round(sum(value), 3) as total, round(avg(value), 3) as mean, round(min(value), 3) as low, round(max(value), 3) as high, round(stddev_pop(value), 3) as sd, round(var_pop(value), 3) as variance, round(avg(z ** 3), 3) as skew, round(avg(z ** 4) - 3, 3) as kurt from (select *, (value - avg(value) over (partition by event_type)) / stddev_pop(value) over (partition by event_type) as z from events) group by 1",
         "op_grouping_sets": "select day, event_type, count(*) as n, round(sum(value), 2) as v from (select *, cast(dayofmonth(ts) as int) as day from events) group by grouping sets ((event_type), (day), ())",
         "op_cube": f"select event_type, cast(dow as int) as dow, count(*) as n from {dow} group by cube (event_type, dow)",
         "op_rollup": f"select event_type, cast(dow as int) as dow, count(*) as n from {dow} group by rollup (event_type, dow)",
