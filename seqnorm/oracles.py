@@ -123,6 +123,15 @@ def _linkage() -> dict[str, str]:
             r as (select seed, p - 1 as step, j, avg(j) over w as m, stddev_pop(j) over w as sd, avg(j) over (partition by seed order by p) as so_far, total / p as level, p from j where j is not null window w as (partition by seed)),
             l as (select seed, step, j, unnest(['mean_jump', 'running_mean', 'mean_plus_std', 'printed']) as rule, unnest([m, so_far, m + sd, level - so_far / p]) as "limit" from r)
             select cast(seed as int) as seed, rule, cast(step as int) as step, round("limit", 4) as "limit", j > "limit" as cut from l""",
+        "ca_rounds_daily": f"""{DAILY.replace('with', 'with recursive', 1)}, {_segments(14)},
+            leaf as (select seg, list(v order by i) as t from seg group by seg),
+            st as (select 0 as k, list({{'lo': seg, 'hi': seg, 'n': 1, 't': t}} order by seg) as c from leaf
+              union all
+              select k + 1, list_transform(list_filter(range(1, len(c) + 1), lambda i: not list_contains(tk, i - 1)), lambda i: case when list_contains(tk, i) then {{'lo': c[i].lo, 'hi': c[i + 1].hi, 'n': c[i].n + c[i + 1].n, 't': list_transform(range(1, 15), lambda j: c[i].t[j] + c[i + 1].t[j])}} else c[i] end)
+              from (select *, list_transform(list_slice(list_sort(list_transform(list_filter(range(1, len(ds) + 1), lambda i: (i = 1 or ds[i] <= ds[i - 1]) and (i = len(ds) or ds[i] <= ds[i + 1])), lambda i: {{'d': ds[i], 'i': i}})), 1, len(c) - 20), lambda x: x.i) as tk
+                from (select *, list_transform(range(1, len(c)), lambda i: sqrt(2.0 * c[i].n * c[i + 1].n / (c[i].n + c[i + 1].n) * list_sum(list_transform(range(1, 15), lambda j: pow(c[i].t[j] / c[i].n - c[i + 1].t[j] / c[i + 1].n, 2))))) as ds from st where len(c) > 20))),
+            f as (select unnest(c) as c, unnest(range(len(c))) as id from st where k = (select max(k) from st))
+            select cast(id as int) as cluster_id, cast(c.lo as int) as seg_lo, cast(c.hi as int) as seg_hi, cast(c.n as int) as n from f""",
         "ca_ward_norepair_daily": f"""{DAILY.replace('with', 'with recursive', 1)}, {_segments(14)},
             leaf as (select seg, list(v order by i) as t from seg group by seg),
             st as (select 0 as k, list({{'lo': seg, 'hi': seg, 'n': 1, 't': t}} order by seg) as c, 0.0::double as h, 0 as lo, 0 as hi, 0 as n from leaf

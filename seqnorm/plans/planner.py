@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from dataclasses import dataclass
+from dataclasses import dataclass, replace
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -38,11 +38,15 @@ def choose(points: DataFrame, params: Params = Params(), patterns_per_series: in
     )
 
 
-def detect(points: DataFrame, params: Params = Params(), train: float = 0.2) -> DataFrame:
-    """Scores of every series by the way that its size asks for."""
+def detect(points: DataFrame, params: Params = Params(), train: float = 0.2, frozen: bool = False) -> DataFrame:
+    """Scores of every series, with births whatever its size, as births make a series sequential and so one task's.
+
+    With `frozen`, or with params that have no births, no concept is learned after training, and series are scored in
+    blocks when one of them is larger than a task should hold; that doesn't change the frozen model's scores."""
     from seqnorm.operators import detect as how
     from seqnorm.operators.model import fit
 
-    if choose(points, params).scan == "series":
+    params = replace(params, births=False) if frozen else params
+    if params.births or choose(points, params).scan == "series":
         return how.scores(how.online(points, params, train))
     return how.in_blocks(points, fit(points, params, train), params)

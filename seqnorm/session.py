@@ -56,10 +56,13 @@ def ship(spark: SparkSession) -> None:
 def shared_dir(spark: SparkSession) -> str:
     """The folder that driver and executors share: spark.checkpoint.dir of the session.
 
-    Where the session names none (tests, a laptop), a temporary one is set."""
+    Where a local session names none (tests, a laptop), a temporary one is set; on a cluster that is an error, as its
+    executors can't see the driver's folders."""
     sc = spark.sparkContext
     named = spark.conf.get("spark.checkpoint.dir", None) or sc.getCheckpointDir()
     if not named:
+        if not sc.master.startswith("local"):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that the driver and the executors share")
         named = "file://" + tempfile.mkdtemp(prefix="seqnorm-shared-")
         sc.setCheckpointDir(named)
     return named.rstrip("/")

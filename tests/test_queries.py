@@ -16,7 +16,7 @@ SF = "/root/testdata/sf0.01"
 SOME = (
     "points_hourly gapfill_orders_linear windows_hourly segments_daily dist_min_place link_ward chain_cut_toy cut_toy_rules tau_fixed freq_majority_fixed"
     " active_flags_trained drift_events_hourly score_trailing_min score_offline_nearest_time label_radius alarms_per_series admit_both auc_carrier roc_points"
-    " dist_dtw_small ca_ward_norepair_daily anom_dissim op_agg_stats label_quantile auc_binned stability auc_doc_toxic gapfill_orders_ffill"
+    " dist_dtw_small ca_ward_norepair_daily ca_rounds_daily anom_dissim op_agg_stats label_quantile auc_binned stability auc_doc_toxic gapfill_orders_ffill"
     " inj_gradual inj_place_rayleigh by_region op_asof_nearest op_range_join op_islands op_session stream_hourly"
 ).split()
 
