@@ -80,13 +80,13 @@ def left_profile(points: DataFrame, ell: int, block: int = 64) -> DataFrame:
     return pairs.select("series_id", F.col("a.start").alias("start"), best.alias("s")).groupBy("series_id", "start").agg(F.sqrt(F.min("s")).alias("score")).filter("score is not null")
 
 
-def adaptive_window(points: DataFrame, delta: float = 0.002) -> DataFrame:
-    """(series_id, pos) of the drifts that an adaptive window finds."""
+def adaptive_window(points: DataFrame, ell: int, delta: float = 0.002) -> DataFrame:
+    """(series_id, pos) of the drifts that adaptive windows find over level, spread and roughness of points with a period of ell."""
     ship(points.sparkSession)
 
     def run(g: pd.DataFrame) -> pd.DataFrame:
         g = g.sort_values("pos")
-        at = kernels.adaptive_window(g["x"].to_numpy(float), delta)
+        at = kernels.drift_positions(g["x"].to_numpy(float), ell, delta)
         return pd.DataFrame({"series_id": g["series_id"].iloc[0], "pos": g["pos"].to_numpy()[at]})
 
     return points.select("series_id", "pos", "x").groupBy("series_id").applyInPandas(run, "series_id string, pos bigint")

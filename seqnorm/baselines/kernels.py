@@ -347,46 +347,68 @@ def transformer_score(x: np.ndarray, ell: int, train: float = 0.2, epochs: int =
 # -- adaptive window ---------------------------------------------------------------------------------
 
 
-def adaptive_window(x: np.ndarray, delta: float = 0.002, least: int = 5, per_size: int = 5) -> list[int]:
-    """Positions at which an adaptive window drops its older part, with exponential histograms of counts and sums."""
-    rows: list[list[tuple[float, float]]] = [[]]  # per size 2^i: (sum, sum of squares), oldest first
-    lo, hi = (float(x.min()), float(x.max())) if len(x) else (0.0, 1.0)
-    scale, out = (hi - lo) or 1.0, []
-    for pos, raw in enumerate(x):
-        v = (raw - lo) / scale
+class AdaptiveWindow:
+    """Counts, sums and squares of values in [0, 1] in buckets of doubling size; drops its older part when the means on both
+    sides of a cut differ by more than chance allows."""
+
+    def __init__(self, delta: float = 0.002, least: int = 5, per_size: int = 5):
+        self.delta, self.least, self.per_size = delta, least, per_size
+        self.rows: list[list[tuple[float, float]]] = [[]]  # per size 2^i: (sum, sum of squares), oldest first
+
+    def push(self, v: float) -> None:
+        rows, i = self.rows, 0
         rows[0].append((v, v * v))
-        i = 0
-        while len(rows[i]) > per_size:
+        while len(rows[i]) > self.per_size:
             if i + 1 == len(rows):
                 rows.append([])
             a, b = rows[i].pop(0), rows[i].pop(0)
             rows[i + 1].append((a[0] + b[0], a[1] + b[1]))
             i += 1
-        if pos % 8:
-            continue
-        while True:
-            buckets = [(1 << i, s, q) for i in range(len(rows) - 1, -1, -1) for s, q in rows[i]]
-            n = sum(b[0] for b in buckets)
-            total, square = sum(b[1] for b in buckets), sum(b[2] for b in buckets)
-            if n < 2 * least:
-                break
-            variance, confidence = max(square / n - (total / n) ** 2, 0.0), np.log(2 * np.log(max(n, 3)) / delta)
-            n0 = s0 = 0.0
-            cut = False
-            for size, s, _ in buckets[:-1]:
-                n0, s0 = n0 + size, s0 + s
-                n1 = n - n0
-                if n0 < least or n1 < least:
-                    continue
-                inverse = 1 / n0 + 1 / n1
-                bound = np.sqrt(2 * inverse * variance * confidence) + 2 / 3 * inverse * confidence
-                if abs(s0 / n0 - (total - s0) / n1) > bound:
-                    cut = True
-                    break
-            if not cut:
-                break
-            if not out or out[-1] != pos:
-                out.append(pos)
-            top = max(i for i in range(len(rows)) if rows[i])
-            rows[top].pop(0)
+
+    def cut(self) -> bool:
+        """Drop what lies before the clearest cut, so that a drift counts once; False if there is none."""
+        buckets = [(1 << i, s, q) for i in range(len(self.rows) - 1, -1, -1) for s, q in self.rows[i]]
+        n = sum(b[0] for b in buckets)
+        if n < 2 * self.least:
+            return False
+        total, square = sum(b[1] for b in buckets), sum(b[2] for b in buckets)
+        variance, confidence = max(square / n - (total / n) ** 2, 0.0), np.log(2 * np.log(max(n, 3)) / self.delta)
+        n0, s0, older, clearest = 0, 0.0, 0, 1.0
+        for k, (size, s, _) in enumerate(buckets[:-1], 1):
+            n0, s0 = n0 + size, s0 + s
+            if n0 < self.least or n - n0 < self.least:
+                continue
+            inverse = 1 / n0 + 1 / (n - n0)
+            bound = np.sqrt(2 * inverse * variance * confidence) + 2 / 3 * inverse * confidence
+            ratio = abs(s0 / n0 - (total - s0) / (n - n0)) / bound
+            if ratio > clearest:
+                older, clearest = k, ratio
+        for size in reversed(self.rows if older else []):
+            while older and size:
+                size.pop(0)
+                older -= 1
+        return clearest > 1.0
+
+
+def drift_positions(x: np.ndarray, ell: int, delta: float = 0.002) -> list[int]:
+    """Positions at which an adaptive window over the level, spread or roughness of points finds a drift.
+
+    A drift changes the shape of a period, seldom its mean, so the mean of points shows nothing.  Both parts of a cut have
+    ten periods or more, so that neither a part of a period nor one anomaly makes a cut; a twentieth of the values is
+    clipped at either end for the same reason.  When one window finds a drift all begin anew."""
+    if len(x) < 20 * ell:
+        return []
+    every, out = max(1, ell // 2), []
+    scaled = []
+    for values in (x, np.abs(x - np.median(x)), np.abs(np.diff(x, prepend=x[0]))):
+        low, high = np.quantile(values, [0.05, 0.95])
+        scaled.append((np.clip(values, low, high) - low) / ((high - low) or 1.0))
+    fresh = lambda: [AdaptiveWindow(delta, 10 * ell) for _ in scaled]
+    windows = fresh()
+    for pos, values in enumerate(zip(*scaled)):
+        for w, v in zip(windows, values):
+            w.push(float(v))
+        if pos % every == 0 and any(w.cut() for w in windows):
+            out.append(pos)
+            windows = fresh()
     return out

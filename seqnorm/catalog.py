@@ -412,7 +412,7 @@ def _baseline(f: Callable[..., DataFrame], **how) -> Query:
 
 
 def adaptive_window_daily(s: SparkSession, d: str) -> DataFrame:
-    return detectors.adaptive_window(P.daily_lineitem(s, d)).select("pos")
+    return detectors.adaptive_window(P.daily_lineitem(s, d), 7).select("pos")
 
 
 # -- measures ----------------------------------------------------------------------------------------

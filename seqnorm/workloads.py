@@ -299,9 +299,9 @@ def x13(spark: SparkSession, sf_dir: str) -> DataFrame:
     from seqnorm.baselines.detectors import adaptive_window
 
     out = None
-    for name, (df, _) in carriers(spark, sf_dir).items():
+    for name, (df, ell) in carriers(spark, sf_dir).items():
         named = df.withColumn("series_id", F.lit(name))
-        c = metrics.card(named, adaptive_window(named))
+        c = metrics.card(named, adaptive_window(named, ell))
         out = c if out is None else out.unionByName(c)
     return out
 

@@ -7,6 +7,7 @@ import pytest
 
 from seqnorm.baselines import kernels
 from seqnorm.functions import distance as D
+from seqnorm import catalog
 from seqnorm.operators import contig
 from seqnorm.operators.detect import events_of
 from seqnorm.operators.living import Params, activity, detect_series, fit_series, offline_series
@@ -75,12 +76,29 @@ def test_outlier_is_left_for_later():
 
 
 def test_cut_example():
+    # fixed values: the two branches of the worked example and the means of their jumps
     for heights, mean in (([0.13, 0.23, 0.55, 26.12, 145], 36.2175), ([1.11, 2.58, 13.72, 4.2, 145], 35.9725)):
+        assert tuple(heights) in catalog.TOY_HEIGHTS.values()
         limit = contig.jump_limit(heights, "mean_jump", 0)
         assert limit == pytest.approx(mean)
         assert [j > limit for j in np.diff(heights)] == [False, False, False, True]
 
 
+def test_drift_counter_finds_planted_cuts():
+    """Each change of shape is found within twenty periods, a series without one has none; anomalies are no drift."""
+    from seqnorm.baselines import kernels
+
+    rng, at = np.random.default_rng(2), np.arange(10_000)
+    phase = 2 * np.pi * at / 50
+    shapes = np.stack([np.sin(phase), np.sin(2 * phase), 0.4 * np.sin(phase) + np.sin(3 * phase)])
+    for cuts in ([], [5000], [2500, 6000]):
+        which = np.searchsorted(cuts, at, "right")
+        x = shapes[which, at] + 0.05 * rng.normal(size=len(at))
+        hit = np.repeat(rng.random(200) < 0.03, 50)
+        found = kernels.drift_positions(np.where(hit, 2.5 * x, x), 50)
+        assert len(found) == len(cuts) and all(0 <= f - c <= 1000 for f, c in zip(found, cuts)), (cuts, found)
+
+
 @pytest.mark.parametrize("kind", ["single", "complete", "average", "centroid", "ward"])
 @pytest.mark.parametrize("k", [1, 3])
 def test_forest_invariants(kind, k):
@@ -179,7 +197,7 @@ def test_profiles_and_baselines():
     shapes, w = kernels.static_fit(x, 50)
     assert w.sum() == pytest.approx(1) and len(kernels.static_score(x, shapes, w, 50)) == 1451
     assert len(kernels.batch_shape(x, 50, batch=500)) == 1451
-    assert kernels.adaptive_window(np.r_[RNG.normal(size=500), RNG.normal(size=500) + 3])
+    assert kernels.drift_positions(np.r_[RNG.normal(size=500), RNG.normal(size=500) + 3], 20)
 
 
 def test_transformer_gradients():
