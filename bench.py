@@ -33,7 +33,7 @@ def main() -> None:
         "static_weighted": lambda: detectors.static_weighted(points, 50),
         "batch_shape": lambda: detectors.batch_shape(points, 50),
         "discord": lambda: detectors.backward_discord(points, 50),
-        "transformer": lambda: detectors.transformer(points, 50, stride=5),
+        "transformer": lambda: detectors.transformer(points, 50),
     }
     queries, accuracy = {}, {}
     for name, make in runs.items():
