@@ -35,6 +35,7 @@ def _points() -> dict[str, Query]:
     out: dict[str, Query] = {k: (lambda s, d, f=f: rounded(f(s, d), "x")) for k, f in make.items()}
     for policy in ("zero", "ffill", "linear"):
         out[f"gapfill_orders_{policy}"] = lambda s, d, p=policy: rounded(P.daily(s, d, "orders", "o_orderdate", "o_totalprice", p).select("pos", "x"), "x")
+        out[f"gapfill_hourly_{policy}"] = lambda s, d, p=policy: rounded(P.hourly(s, d, p).select("pos", "x"), "x")
     return out
 
 
@@ -728,6 +729,34 @@ def stream_detect(s: SparkSession, d: str) -> DataFrame:
     return rounded(out.select("start", "score", "nearest", "no_active", "event", "pattern_id"), "score")
 
 
+def stream_detect_equals_batch(s: SparkSession, d: str) -> DataFrame:
+    """Live detection with a delay against a batch run over the same points: is each window's score and activity the same?"""
+    from seqnorm.operators import detect
+    from seqnorm.streaming import detector
+
+    n, p = workloads._n(s, d), Params(delta=2 * workloads.ELL)
+    carry = lambda e: e.select(F.lit("live").alias("series_id"), F.col("event_id").alias("pos"), (inject.shape((F.col("event_id") >= n // 2).cast("int"), F.col("event_id")) + 0.001 * (F.col("value") - 50.0)).alias("x"))
+    live = detector.run_to_table(detector.detect_stream_plain(carry(_event_stream(s, d)), p, max(p.ell_m, int(n * 0.2))), scratch(s, "stream"))
+    whole = detect.scores(detect.online(carry(_events(s, d)), p)).select("start", F.col("score").alias("b_score"), F.col("no_active").alias("b_none"))
+    pairs = detect.scores(live).join(whole, "start", "left")
+    close = F.abs(F.col("score") - F.col("b_score")) <= 1e-6 * F.greatest(F.lit(1.0), F.col("b_score"))
+    return pairs.select("start", F.coalesce(close & (F.col("no_active") == F.col("b_none")), F.lit(False)).alias("same"))
+
+
+def stream_late_count(s: SparkSession, d: str) -> DataFrame:
+    """Events in five arrivals, a tenth of them one arrival late: rows and late rows of each type."""
+    from seqnorm.streaming import detector
+
+    n, folder = workloads._n(s, d), scratch(s, "arrivals")
+    arrival = F.floor(F.col("event_id") * 4 / n).cast("int") + (inject.u(F.col("event_id"), "late") < 0.1).cast("int")
+    dealt = _events(s, d).select("event_type", F.col("ts").cast("timestamp").alias("ts"), arrival.alias("arrival"))
+    for k in range(5):  # written one after the other, as files come in the order of their times
+        dealt.filter(F.col("arrival") == k).drop("arrival").coalesce(1).write.mode("append").parquet(folder)
+    arrivals = s.readStream.schema("event_type string, ts timestamp").option("maxFilesPerTrigger", 1).parquet(folder)
+    found = detector.run_to_table(detector.late_rows(arrivals, "event_type"), scratch(s, "stream"))
+    return found.groupBy(F.col("key").alias("event_type")).agg(F.sum("rows").alias("n"), F.sum("late").alias("late"))
+
+
 # -- all of them -------------------------------------------------------------------------------------
 
 
@@ -736,7 +765,7 @@ def _workloads() -> dict[str, Query]:
     named: dict[str, Query] = {
         "x1a": w.x1, "x1b": lambda s, d: w.x1(s, d, "services"), "x2a": w.x2, "x2b": lambda s, d: w.x2(s, d, "services"), "x3": w.x3, "x4": w.x4,
         "x5a": w.x5a, "x5b": w.x5b, "x6a": w.x6, "x6b": lambda s, d: w.x6(s, d, "seasonal"), "x7a": w.x7a, "x7b": w.x7b, "x7c": w.x7c, "x7d": w.x7d,
-        "x8": w.x8, "x9": w.x9, "x10": w.x10, "x12": w.x12, "x13": w.x13, "x14": w.x14, "ablations": w.ablations,
+        "x8": w.x8, "x9": w.x9, "x10": w.x10, "x12": w.x12, "x13": w.x13, "x14": w.x14, "x15": w.x15, "ablations": w.ablations,
     }
 
     def tidy(f: Query) -> Query:
@@ -762,7 +791,7 @@ def queries() -> dict[str, Query]:
         " adaptive_window_daily auc_carrier auc_binned roc_points confusion fp_after_drift dissim_matrix anom_dissim unclustered_by_rmin by_region dataset_card"
         " stability op_range_join op_semi op_anti op_cross_pivot op_unpivot op_agg_stats op_grouping_sets op_cube op_rollup op_rank_suite op_range_frame op_rolling"
         " op_running op_islands op_topk op_topk_per op_percentile op_count_distinct op_json_props op_tumbling op_sliding op_session op_lateral_topk op_full_outer"
-        " op_sample_md5 stream_hourly stream_session stream_dedup stream_detect op_range_join_lineitem"
+        " op_sample_md5 stream_hourly stream_session stream_dedup stream_detect stream_detect_equals_batch stream_late_count op_range_join_lineitem"
     ).split()
     out = _points() | {name: getattr(here, name) for name in plain} | _injectors() | _workloads()
     out |= {f"link_{k}": _links(k) for k in ("single", "complete", "average", "centroid", "ward")}

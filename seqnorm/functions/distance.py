@@ -66,21 +66,53 @@ def dtw(a: np.ndarray, b: np.ndarray, band: int | None = None) -> float:
     return float(np.sqrt(row[m]))
 
 
-def dtw_rows(a: np.ndarray, b: np.ndarray, rows: int = 256) -> np.ndarray:
-    """Warping distances of the rows of a to those of b, without a band; a diagonal of the table at a time for many pairs."""
+def dtw_rows(a: np.ndarray, b: np.ndarray, rows: int = 512) -> np.ndarray:
+    """Warping distances of the rows of a to those of b, without a band; a diagonal of the table at a time for many pairs,
+    which lie side by side in memory."""
     a, b, out = prepare(a, "zm"), prepare(b, "zm"), np.empty(len(a))
     n, m = a.shape[1], b.shape[1]
     for at in range(0, len(a), rows):
-        x, y = a[at : at + rows], b[at : at + rows, ::-1]
-        before, last = np.full((len(x), n + 1), np.inf), np.full((len(x), n + 1), np.inf)  # by row of the table
-        before[:, 0] = 0.0
+        x, y = np.ascontiguousarray(a[at : at + rows].T), np.ascontiguousarray(b[at : at + rows, ::-1].T)
+        before, last, now = (np.full((n + 1, x.shape[1]), np.inf) for _ in range(3))  # by row of the table
+        room = np.empty_like(x)
+        before[0] = 0.0
         for s in range(2, n + m + 1):
             lo, hi = max(1, s - m), min(n, s - 1)
-            now = np.full((len(x), n + 1), np.inf)
-            gap = x[:, lo - 1 : hi] - y[:, m - s + lo : m - s + hi + 1]
-            now[:, lo : hi + 1] = gap * gap + np.minimum(np.minimum(last[:, lo - 1 : hi], before[:, lo - 1 : hi]), last[:, lo : hi + 1])
-            before, last = last, now
-        out[at : at + rows] = np.sqrt(last[:, n])
+            gap, least = room[: hi - lo + 1], now[lo : hi + 1]
+            np.subtract(x[lo - 1 : hi], y[m - s + lo : m - s + hi + 1], out=gap)
+            np.multiply(gap, gap, out=gap)
+            np.minimum(last[lo - 1 : hi], last[lo : hi + 1], out=least)
+            np.minimum(least, before[lo - 1 : hi], out=least)
+            np.add(least, gap, out=least)
+            now[lo - 1], now[hi + 1 : hi + 2] = np.inf, np.inf
+            before, last, now = last, now, before
+        out[at : at + rows] = np.sqrt(last[n])
+    return out
+
+
+def sbd_table(a: np.ndarray, b: np.ndarray, rows: int = 256) -> np.ndarray:
+    """Shape-based distances (len(a), len(b)); the transforms of both sides are made once."""
+    a, b = prepare(a, "zm"), prepare(b, "zm")
+    m = a.shape[1]
+    n = 1 << (2 * m - 1).bit_length()
+    norm_a, norm_b = np.linalg.norm(a, axis=1), np.linalg.norm(b, axis=1)
+    right, out = np.conj(np.fft.rfft(b, n)), np.empty((len(a), len(b)))
+    for at in range(0, len(a), rows):
+        cross = np.fft.irfft(np.fft.rfft(a[at : at + rows], n)[:, None, :] * right[None], n)
+        best = cross[..., :m].max(-1)
+        if m > 1:
+            best = np.maximum(best, cross[..., -(m - 1) :].max(-1))
+        size, total = norm_a[at : at + rows, None] * norm_b[None], norm_a[at : at + rows, None] + norm_b[None]
+        out[at : at + rows] = np.where(size < FLAT, np.where(total < FLAT, 0.0, 1.0), 1.0 - best / np.where(size < FLAT, 1.0, size))
+    return out
+
+
+def dtw_table(a: np.ndarray, b: np.ndarray, pairs: int = 1 << 14) -> np.ndarray:
+    """Warping distances (len(a), len(b))."""
+    out, step = np.empty((len(a), len(b))), max(1, pairs // max(1, len(b)))
+    for at in range(0, len(a), step):
+        x = a[at : at + step]
+        out[at : at + step] = dtw_rows(np.repeat(x, len(b), 0), np.tile(b, (len(x), 1))).reshape(len(x), len(b))
     return out
 
 
@@ -101,6 +133,8 @@ def placements(windows: np.ndarray, pattern: np.ndarray, kind: str = "zm") -> np
     pieces = sliding(np.asarray(pattern, float), windows.shape[1])
     if kind in ("zm", "zn"):
         return _euclid(prepare(windows, kind), prepare(pieces, kind))
+    if kind in ("sbd", "dtw"):
+        return (sbd_table if kind == "sbd" else dtw_table)(np.asarray(windows, float), pieces)
     fn = named(kind)
     return np.array([[fn(w, p) for p in pieces] for w in windows])
 

@@ -37,12 +37,17 @@ class Params:
     weighted: bool = False
     align: str = "trailing"
     contiguous: bool = True
-    scan: str = "all"  # lazy: inactive patterns are looked at where no active one is left
+    scan: str = "all"  # lazy: inactive patterns are looked at, and may come back, only where no active one is left
 
     @property
     def ell_m(self) -> int:
         return self.mult * self.ell
 
+    @property
+    def ahead(self) -> int:
+        """Windows after the current one that the delay lets a membership's mean see."""
+        return max(0, self.delta - self.ell)
+
 
 @dataclass
 class Pattern:
@@ -153,7 +158,7 @@ class Detected:
 
 def activity(phi: np.ndarray, freq: float, win: int, params: Params) -> tuple[np.ndarray, np.ndarray]:
     """(mean membership, active) of one pattern at every window."""
-    avg = rolling_mean(phi, win, max(0, params.delta - params.ell))
+    avg = rolling_mean(phi, win, params.ahead)
     active = avg >= freq - 1e-12
     if params.warmup == "hold":
         active[:win] = True
@@ -193,9 +198,134 @@ def full(model: Living, params: Params) -> bool:
     return params.max_patterns is not None and len(model.patterns) >= params.max_patterns
 
 
+def relearn(x: np.ndarray, j: int, base: int, model: Living, params: Params) -> Pattern | None:
+    """What the points up to window j, and the delay's after it, propose; x[0] stands at position `base`."""
+    back = int(max(model.win, 2 * params.ell_m) * params.relearn_mult)
+    stretch = x[max(0, j + params.ell - back - base) : j + params.ell + params.delta - base]
+    return propose(stretch, params, min(model.win, max(1, len(stretch) - params.ell + 1)))
+
+
+class Ledger:
+    """Distances of windows to patterns, worked out a chunk at a time and only where someone asks for them."""
+
+    def __init__(self, x: np.ndarray, params: Params, win: int):
+        self.x, self.params, self.n = x, params, len(x) - params.ell + 1
+        self.win, self.step = win, max(params.ell, win // 4)
+        self.patterns: list[Pattern] = []
+        self.dist: list[np.ndarray] = []
+        self.done: list[np.ndarray] = []
+        self.evaluations = 0
+
+    def add(self, p: Pattern) -> None:
+        self.patterns.append(p)
+        self.dist.append(np.full(self.n, np.inf))
+        self.done.append(np.zeros(-(-self.n // self.step), bool))
+
+    def get(self, i: int, lo: int, hi: int) -> np.ndarray:
+        """Distances of the windows from lo to hi, without hi."""
+        for c in range(lo // self.step, -(-hi // self.step)):
+            if not self.done[i][c]:
+                a, b = c * self.step, min(self.n, (c + 1) * self.step)
+                self.dist[i][a:b] = D.profile(self.x[a : b + self.params.ell - 1], self.patterns[i].shape, self.params.ell, self.params.distance)
+                self.done[i][c] = True
+                self.evaluations += b - a
+        return self.dist[i][lo:hi]
+
+    def frequent(self, i: int, lo: int, hi: int) -> tuple[np.ndarray, np.ndarray]:
+        """(mean membership, frequent enough to be active) of the windows from lo to hi, without hi."""
+        first, last = max(0, lo - self.win), min(self.n, hi + self.params.ahead)
+        p = self.patterns[i]
+        avg = rolling_mean(D.phi(self.get(i, first, last), p.tau, eta_of(p, self.params)), self.win, self.params.ahead)[lo - first : hi - first]
+        on = avg >= p.freq - 1e-12
+        if self.params.warmup == "hold":
+            on |= np.arange(lo, hi) < self.win
+        return avg, on
+
+
+def detect_lazily(x: np.ndarray, model: Living, params: Params) -> Detected:
+    """Scores of all windows, active patterns first: an inactive pattern is looked at only where no active one is left, and
+    comes back there if it is frequent enough.  All patterns are active at first.
+
+    Patterns that lie idle cost nothing, but one that recurs beside an active pattern stays inactive until that one has
+    gone, so activity and scores may differ from the full scan's.  Distances that nobody asked for are infinite in the
+    result, memberships zero."""
+    model, ell, n = model.copy(), params.ell, len(x) - params.ell + 1
+    led = Ledger(x, params, model.win)
+    for p in model.patterns:
+        led.add(p)
+    on = [np.zeros(n, bool) for _ in model.patterns]
+    avg = [np.zeros(n) for _ in model.patterns]
+    births, refused, epochs, at, j = [], [], 1, 2 * params.ell_m, 0
+    alive = set(range(len(model.patterns)))
+    while j < n:
+        # a stretch ends with its chunk, with the last active pattern, or where an inactive one comes back
+        e = min(n, (j // led.step + 1) * led.step)
+        looked = sorted(alive) or list(range(len(model.patterns)))
+        seen = {i: led.frequent(i, j, e) for i in looked}
+        if alive:
+            ends = {i: int(np.argmin(f)) + j if not f.all() else e for i, (_, f) in seen.items()}
+            upto = max(ends.values())
+            for i, (a, _) in seen.items():
+                on[i][j : ends[i]] = True
+                avg[i][j:upto] = a[: upto - j]
+            alive = {i for i in alive if ends[i] >= e} if upto >= e else set()
+            j = upto
+            continue
+        back = np.logical_or.reduce([f for _, f in seen.values()]) if seen else np.zeros(e - j, bool)
+        upto = int(back.argmax()) + j if back.any() else e
+        tried = max(j, at) if params.births else e
+        if tried < upto:
+            epochs += 1
+            candidate = relearn(x, tried, 0, model, params)
+            at = tried + (params.retry_every or ell)
+            upto = tried + 1
+            if candidate is not None and accept(candidate, model, params):
+                if full(model, params):
+                    refused.append(tried)
+                else:
+                    model.patterns.append(replace(candidate, born_at=tried, origin="born", members=[]))
+                    births.append((tried, len(model.patterns) - 1))
+                    led.add(model.patterns[-1])
+                    on.append(np.zeros(n, bool))
+                    avg.append(np.zeros(n))
+                    on[-1][tried] = True
+                    avg[-1][tried] = led.frequent(len(on) - 1, tried, tried + 1)[0][0]
+                    alive = {len(on) - 1}
+        elif back.any():
+            alive = {i for i, (_, f) in seen.items() if f[upto - j]}
+        for i, (a, _) in seen.items():
+            avg[i][j:upto] = a[: upto - j]
+        j = upto
+    m = len(model.patterns)
+    if not m:
+        return Detected(np.zeros(n), np.full(n, -1), np.ones(n, bool), np.zeros((n, 0), bool), np.zeros((n, 0)), np.zeros((n, 0)), model, births, epochs, 0, refused)
+    active = np.stack(on, 1)
+    none = ~active.any(1)
+    born = {q: j for j, q in births}
+    for q in range(m):
+        for lo, hi in runs_of((active[:, q] | none) & (np.arange(n) >= born.get(q, 0))):
+            led.get(q, max(0, lo - ell), hi)
+    d = np.stack(led.dist, 1)
+    masked = np.where(active | none[:, None], d, np.inf)
+    for at_, q in births:
+        masked[:at_, q] = np.inf
+    nearest = masked.argmin(1)
+    return Detected(window_score(d, nearest, ell, params.align), nearest, none, active, d, np.stack(avg, 1), model, births, epochs, led.evaluations, refused)
+
+
+def runs_of(flags: np.ndarray) -> list[tuple[int, int]]:
+    """Start and end (without it) of every run of true flags."""
+    edges = np.flatnonzero(np.diff(np.r_[False, flags, False].astype(np.int8)))
+    return list(zip(edges[::2].tolist(), edges[1::2].tolist()))
+
+
 def detect_series(x: np.ndarray, model: Living, params: Params) -> Detected:
     """Scores of all windows.  For given patterns everything is a function of position; a birth changes only what comes
     after it, so each epoch ends at the first window without an active pattern whose proposal is admitted."""
+    if params.scan == "lazy" and len(x) >= params.ell:
+        if params.weighted or params.all_active or params.align != "trailing":
+            raise ValueError("a lazy scan knows no weighted, all-active or centred scores")
+        return detect_lazily(x, model, params)
     model, ell, n = model.copy(), params.ell, len(x) - params.ell + 1
     births: list[tuple[int, int]] = []
     refused: list[int] = []
@@ -227,10 +357,8 @@ def detect_series(x: np.ndarray, model: Living, params: Params) -> Detected:
             if not none.any():
                 break
             j = int(none.argmax())
-            back = int(max(model.win, 2 * params.ell_m) * params.relearn_mult)
-            stretch = x[max(0, j + ell - back) : j + ell + params.delta]
             epochs += 1
-            candidate = propose(stretch, params, min(model.win, max(1, len(stretch) - ell + 1)))
+            candidate = relearn(x, j, 0, model, params)
             if candidate is not None and accept(candidate, model, params) and full(model, params):
                 refused.append(j)
             elif candidate is not None and accept(candidate, model, params):

@@ -45,6 +45,7 @@ def _sources() -> dict[str, str]:
         "points_doc_len": _keyed("'documents'", "doc_id", "n_chars", "documents"),
         "points_page_len": _keyed("'pages'", "page_id", "length(html)", "pages"),
         "points_turn_len": _keyed("conv_id", "turn", "length(text)", "conversations"),
+        **{f"gapfill_hourly_{k}": f"with {_grid('events', 'ts', 'value', 'hour')}{'' if v.startswith(',') else ' '}{v}" for k, v in fill.items()},
         **{f"gapfill_orders_{k}": f"{head}{'' if v.startswith(',') else ' '}{v}" for k, v in fill.items()},
     }
 
@@ -409,6 +410,10 @@ def _around() -> dict[str, str]:
         "stream_session": """with l as (select event_type, ts, coalesce(cast(ts - lag(ts) over (partition by event_type order by ts) >= interval 30 minute as int), 1) as new from events),
             i as (select *, sum(new) over (partition by event_type order by ts) as k from l), s as (select event_type, min(ts) as a, max(ts) as b, count(*) as n from i group by event_type, k)
             select event_type, cast(floor(epoch(a)) as bigint) as start_s, n from s where b + interval 30 minute <= (select max(ts) - interval 1 hour from events)""",
+        "stream_detect_equals_batch": "select cast(range as bigint) as start, true as same from range((select count(*) - 49 - 100 from events))",
+        "stream_late_count": f"""with e as (select event_type, ts, cast(floor(event_id * 4 / (select count(*) from events)) as int) + cast({u('event_id', 'late')} < 0.1 as int) as a from events),
+            m as (select event_type, a, max(ts) as top from e group by 1, 2), b as (select event_type, a, max(top) over (partition by event_type order by a rows between unbounded preceding and 1 preceding) as top from m)
+            select event_type, count(*) as n, cast(sum(case when ts < b.top - interval 1 hour then 1 else 0 end) as bigint) as late from e join b using (event_type, a) group by 1""",
         "stream_dedup": "select event_id, value from events",
     }
 

@@ -13,7 +13,7 @@ from pyspark.sql import functions as F
 from pyspark.sql.streaming import StatefulProcessor
 
 from seqnorm.functions import distance as D
-from seqnorm.operators.living import Living, Params, accept, eta_of, fit_series, full, propose
+from seqnorm.operators.living import Living, Params, accept, eta_of, fit_series, full, relearn
 from seqnorm.session import ship
 
 OUT = "series_id string, start bigint, score double, nearest int, no_active boolean, event string, pattern_id int"
@@ -23,9 +23,13 @@ class LiveSeries:
     """The literal loop, a window at a time, over the points of one series in order.
 
     Until `train_points` points have come they are collected; the model is then learned from them, and all windows from
-    the first one on are scored, so that a stream gives what a batch run over the same points gives."""
+    the first one on are scored, so that a stream gives what a batch run over the same points gives.  With a delay, a
+    window is held back until the points it may look ahead to have come; `flush` gives the last windows at the end of a
+    series, which see only what there is.  With a lazy scan inactive patterns are looked at only where no active one is left."""
 
     def __init__(self, params: Params, train_points: int):
+        if params.weighted or params.align != "trailing":
+            raise ValueError("live scores are trailing ones of the nearest active pattern")
         self.params, self.train_points = params, train_points
         self.model: Living | None = None
         self.x: list[float] = []
@@ -33,8 +37,10 @@ class LiveSeries:
         self.next = 0  # next window
         self.last_pos = -1
         self.late = 0
+        self.evaluations = 0
+        self.dists: list[list[float]] = []  # of each pattern, from window first[i] on
         self.phis: list[list[float]] = []
-        self.dists: list[list[float]] = []
+        self.first: list[int] = []
         self.was: list[bool] = []
         self.retry = 0
 
@@ -47,64 +53,100 @@ class LiveSeries:
         if self.model is None:
             if len(self.x) < max(self.train_points, self.params.ell_m):
                 return
-            self.model = fit_series(np.array(self.x), self.params)
-            self.retry = 2 * self.params.ell_m
-            for p in self.model.patterns:
-                self._track(p, 0)
-        while self.next + self.params.ell <= self.base + len(self.x):
+            self._learn()
+        while self.next + self.params.ell + self.params.delta <= self.base + len(self.x):
             yield from self._window(self.next)
             self.next += 1
-        keep = max(self.model.win, 2 * self.params.ell_m) + 2 * self.params.ell + self.params.delta
+        back = max(self.model.win, int(max(self.model.win, 2 * self.params.ell_m) * self.params.relearn_mult))
+        keep = back + 2 * self.params.ell + self.params.delta
         if len(self.x) > 2 * keep:
             drop = len(self.x) - keep
             self.x, self.base = self.x[drop:], self.base + drop
 
-    def _track(self, p, upto: int) -> None:  # noqa: ANN001
-        """A pattern's memberships of the windows before `upto` that its mean still needs."""
-        first = max(self.base, upto - self.model.win)
-        d = D.profile(np.array(self.x[first - self.base : upto - self.base + self.params.ell - 1]), p.shape, self.params.ell, self.params.distance) if upto > first else np.zeros(0)
-        self.phis.append(D.phi(d, p.tau, eta_of(p, self.params)).tolist())
-        self.dists.append(d[-self.params.ell :].tolist())
-        self.was.append(False)
+    def flush(self) -> Iterator[tuple]:
+        """The windows still held back, when no more points will come; a series too short for training is learned whole."""
+        if self.model is None:
+            if len(self.x) < self.params.ell:
+                return
+            self._learn()
+        while self.next + self.params.ell <= self.base + len(self.x):
+            yield from self._window(self.next)
+            self.next += 1
+
+    def _learn(self) -> None:
+        self.model = fit_series(np.array(self.x), self.params)
+        self.retry = 2 * self.params.ell_m
+        for _ in self.model.patterns:
+            self._track(0, self.params.scan == "lazy")
+
+    def _track(self, from_: int, active: bool) -> None:
+        self.dists.append([])
+        self.phis.append([])
+        self.first.append(from_)
+        self.was.append(active)
+
+    def _look(self, i: int, j: int) -> bool:
+        """Bring a pattern's memberships up to window j and what lies ahead of it; is it frequent enough to be active?"""
+        params, p = self.params, self.model.patterns[i]
+        last = min(j + params.ahead, self.base + len(self.x) - params.ell)
+        keep = max(0, j - max(self.model.win, params.ell))
+        upto = self.first[i] + len(self.dists[i])
+        if upto < keep or not self.dists[i]:
+            self.dists[i], self.phis[i], self.first[i], upto = [], [], keep, keep
+        if upto <= last:
+            d = D.profile(np.array(self.x[upto - self.base : last + params.ell - self.base]), p.shape, params.ell, params.distance)
+            self.evaluations += len(d)
+            self.dists[i] += d.tolist()
+            self.phis[i] += D.phi(d, p.tau, eta_of(p, params)).tolist()
+        if self.first[i] < keep:
+            del self.dists[i][: keep - self.first[i]], self.phis[i][: keep - self.first[i]]
+            self.first[i] = keep
+        if params.all_active or params.warmup == "hold" and j < self.model.win:
+            return True
+        lo = max(0, j - self.model.win) - self.first[i]
+        return float(np.mean(self.phis[i][lo : last + 1 - self.first[i]])) >= p.freq - 1e-12
 
     def _window(self, j: int) -> Iterator[tuple]:
         params, model = self.params, self.model
-        w = np.array(self.x[j - self.base : j - self.base + params.ell])
-        born = False
-        active = []
-        for i, p in enumerate(model.patterns):
-            active.append(self._see(i, p, w))
-        if not any(active) and params.births and j >= self.retry and j >= 2 * params.ell_m:
-            back = int(max(model.win, 2 * params.ell_m) * params.relearn_mult)
-            stretch = np.array(self.x[max(0, j + params.ell - back - self.base) : j + params.ell - self.base])
-            candidate = propose(stretch, params, min(model.win, max(1, len(stretch) - params.ell + 1)))
+        lazy, every, born = params.scan == "lazy", range(len(model.patterns)), None
+        active = [(self.was[i] or not lazy) and self._look(i, j) for i in every]
+        if lazy and not any(active):
+            active = [self._look(i, j) for i in every]
+        if not any(active) and params.births and j >= self.retry:
+            candidate = relearn(np.array(self.x), j, self.base, model, params)
             if candidate is not None and accept(candidate, model, params) and full(model, params):
                 yield j, None, -1, False, "refused", -1
             elif candidate is not None and accept(candidate, model, params):
                 model.patterns.append(replace(candidate, born_at=j, origin="born", members=[]))
-                self._track(model.patterns[-1], j)
-                active.append(self._see(len(model.patterns) - 1, model.patterns[-1], w))
-                active[-1] = born = True
+                born = len(active)
+                self._track(max(0, j - model.win), False)
+                self._look(born, j)
+                active.append(True)
             self.retry = j + (params.retry_every or params.ell)
         for i, (now, before) in enumerate(zip(active, self.was)):
-            if born and i == len(active) - 1:
+            if i == born:
                 yield j, None, -1, False, "born", i
             elif j and now != before:
                 yield j, None, -1, False, "on_recurring" if now else "off", i
         self.was = active
-        here = [d[-1] for d in self.dists]
         none = not any(active)
-        q = min((i for i in range(len(here)) if active[i] or none), key=lambda i: (here[i], i), default=-1)
-        score = min(self.dists[q][-(params.ell + 1) :]) if q >= 0 else 0.0
+        here = {i: self.dists[i][j - self.first[i]] for i in range(len(active)) if active[i] or none}
+        q = min(here, key=lambda i: (here[i], i), default=-1)
+        score = 0.0
+        if q >= 0:
+            at = j - self.first[q]
+            score = min(self.dists[q][max(0, at - params.ell) : at + 1])
         yield j, score, q, none, None, q
 
-    def _see(self, i: int, p, w: np.ndarray) -> bool:  # noqa: ANN001
-        d = float(D.placements(w[None], p.shape, self.params.distance).min())
-        self.dists[i].append(d)
-        self.phis[i].append(float(D.phi(np.array([d]), p.tau, eta_of(p, self.params))[0]))
-        del self.dists[i][: -(self.params.ell + 1)]
-        del self.phis[i][: -(self.model.win + 1)]
-        return float(np.mean(self.phis[i])) >= p.freq - 1e-12
+
+def feed(live: LiveSeries, points: pd.DataFrame) -> list[tuple]:
+    """What a micro-batch's points give; a point that comes after a later one is dropped and reported as an event."""
+    out = []
+    for pos, x in zip(points["pos"].tolist(), points["x"].tolist()):
+        if pos <= live.last_pos:
+            out.append((pos, None, -1, False, "late", -1))
+        out += live.push(pos, x)
+    return out
 
 
 class Detector(StatefulProcessor):
@@ -119,7 +161,7 @@ class Detector(StatefulProcessor):
     def handleInputRows(self, key, rows, timerValues) -> Iterator[pd.DataFrame]:  # noqa: ANN001, N802, N803
         live: LiveSeries = pickle.loads(self.state.get()[0]) if self.state.exists() else LiveSeries(self.params, self.train_points)
         points = pd.concat(list(rows)).sort_values("pos")
-        out = [r for pos, x in zip(points["pos"], points["x"]) for r in live.push(int(pos), float(x))]
+        out = feed(live, points)
         self.state.update((pickle.dumps(live),))
         if out:
             f = pd.DataFrame(out, columns=["start", "score", "nearest", "no_active", "event", "pattern_id"])
@@ -148,7 +190,7 @@ def detect_stream_plain(points: DataFrame, params: Params, train_points: int) ->
     def run(key: tuple, frames: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
         live = pickle.loads(state.get[0]) if state.exists else LiveSeries(params, train_points)
         points_ = pd.concat(list(frames)).sort_values("pos")
-        out = [r for pos, x in zip(points_["pos"], points_["x"]) for r in live.push(int(pos), float(x))]
+        out = feed(live, points_)
         state.update((pickle.dumps(live),))
         f = pd.DataFrame(out, columns=["start", "score", "nearest", "no_active", "event", "pattern_id"])
         f.insert(0, "series_id", key[0])
@@ -172,6 +214,27 @@ def dedup_stream(events: DataFrame, key: str = "event_id", delay: str = "1 hour"
     return events.withWatermark("ts", delay).dropDuplicatesWithinWatermark([key])
 
 
+def late_rows(events: DataFrame, key: str, ts: str = "ts", delay_s: int = 3600) -> DataFrame:
+    """(key, rows, late) of each micro-batch: rows that are more than the delay behind the latest of their key in earlier
+    micro-batches, which a watermark of that delay for the key would drop.  The state is one number a key."""
+    from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
+
+    rows = events.select(F.col(key).cast("string").alias("key"), F.unix_micros(F.col(ts).cast("timestamp")).alias("us")).filter("us is not null")
+
+    def run(k: tuple, frames: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
+        bound = state.get[0] - delay_s * 1_000_000 if state.exists else None
+        n = late = 0
+        top = state.get[0] if state.exists else None
+        for f in frames:
+            n += len(f)
+            late += int((f["us"] < bound).sum()) if bound is not None else 0
+            top = int(f["us"].max()) if top is None else max(top, int(f["us"].max()))
+        state.update((top,))
+        yield pd.DataFrame({"key": [k[0]], "rows": [n], "late": [late]})
+
+    return rows.groupBy("key").applyInPandasWithState(run, "key string, rows bigint, late bigint", "top bigint", "append", GroupStateTimeout.NoTimeout)
+
+
 def run_to_table(stream: DataFrame, folder: str, mode: str = "append") -> DataFrame:
     """Run a stream over what is there and read back what it wrote."""
     spark = stream.sparkSession

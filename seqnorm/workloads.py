@@ -49,12 +49,17 @@ def score_of(method: str, x: np.ndarray, p: Params) -> tuple[np.ndarray, int, di
 RAW = "setting string, method string, series_id string, pos bigint, score double, y int, in_transition boolean, no_counters boolean, counters map<string,double>"
 
 
-def scored(frame: DataFrame, params: dict[str, Params], methods: Sequence[str] = ALL) -> DataFrame:
+def scored(frame: DataFrame, params: dict[str, Params], methods: Sequence[str] = ALL, spread: bool = True) -> DataFrame:
     """Scores of every method on every (setting, series) of frame, with the truth of the point each stands for.
 
-    A task per (setting, method, series).  Counters and seconds come on one extra row of each task."""
+    A group per (setting, method, series), with a partition count that the adaptive planner doesn't shrink: groups hold few
+    bytes and much work.  Without `spread` small inputs run one after another, as timing wants.  Counters and seconds come
+    on one extra row of each group."""
     ship(frame.sparkSession)
     tasks = frame.select("setting", "series_id", "pos", "x", "y_true", "in_transition").withColumn("method", F.explode(F.array(*map(F.lit, methods))))
+    if spread:
+        default = int(frame.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+        tasks = tasks.repartition(max(default, min(1024, 4 * len(params) * len(methods))), "setting", "method", "series_id")
 
     def run(g: pd.DataFrame) -> pd.DataFrame:
         g = g.sort_values("pos")
@@ -92,9 +97,9 @@ def union(frames: dict[str, DataFrame]) -> DataFrame:
     return out
 
 
-def run(frames: dict[str, DataFrame], params: Params | dict[str, Params] = Params(), methods: Sequence[str] = ALL, counters: bool = False) -> DataFrame:
+def run(frames: dict[str, DataFrame], params: Params | dict[str, Params] = Params(), methods: Sequence[str] = ALL, counters: bool = False, spread: bool = True) -> DataFrame:
     per = params if isinstance(params, dict) else dict.fromkeys(frames, params)
-    return results(scored(union(frames), per, methods), counters)
+    return results(scored(union(frames), per, methods, spread), counters)
 
 
 # -- carriers ----------------------------------------------------------------------------------------
@@ -239,7 +244,7 @@ def x7d(spark: SparkSession, sf_dir: str, sweep: Sequence[float] = (0.001, 0.01,
 def x8(spark: SparkSession, sf_dir: str, methods: Sequence[str] = ALL) -> DataFrame:
     """Run time of every method on the services carrier: mean, least and most seconds over its series."""
     n = _n(spark, sf_dir) // 5
-    return run({"services": inject.scale(services(spark, sf_dir, inject.abrupt(inject.cuts(n, 5, 1), 4)), 0.05)}, methods=methods, counters=True).filter("metric like 'seconds%' or metric = 'auc'")
+    return run({"services": inject.scale(services(spark, sf_dir, inject.abrupt(inject.cuts(n, 5, 1), 4)), 0.05)}, methods=methods, counters=True, spread=False).filter("metric like 'seconds%' or metric = 'auc'")
 
 
 def x9(spark: SparkSession, sf_dir: str, methods: Sequence[str] = ("online",)) -> DataFrame:
@@ -253,8 +258,8 @@ def x9(spark: SparkSession, sf_dir: str, methods: Sequence[str] = ("online",)) -
     return run({k: df for k, (df, _) in settings.items()}, {k: p for k, (_, p) in settings.items()}, methods)
 
 
-def x10(spark: SparkSession, sf_dir: str, kinds: Sequence[str] = ("zm", "zn")) -> DataFrame:
-    """Distances: on abrupt drifts and on look-alikes.  Shape-based and warping distances are not run (see the README)."""
+def x10(spark: SparkSession, sf_dir: str, kinds: Sequence[str] = ("zm", "zn", "sbd", "dtw")) -> DataFrame:
+    """Distances: on abrupt drifts and on look-alikes."""
     n = _n(spark, sf_dir)
     a = inject.scale(heart(spark, sf_dir, inject.abrupt(inject.cuts(n, 5, 1), 4)), 0.05)
     b = inject.lookalike(heart(spark, sf_dir, inject.ratio(n, 5, 5)), 0.1)
@@ -319,10 +324,50 @@ def x14(spark: SparkSession, sf_dir: str) -> DataFrame:
     return run({"rhythm": df})
 
 
+def natural(spark: SparkSession, sf_dir: str) -> dict[str, tuple[DataFrame, int]]:
+    """Columns of the given tables as they are, with a length of subsequences for each."""
+    vectors = sources.vectors(spark, sf_dir).select("series_id", "start", F.posexplode("xs").alias("i", "x"))
+    return {
+        "hourly": (sources.hourly(spark, sf_dir), 24),
+        "daily_lineitem": (sources.daily_lineitem(spark, sf_dir), 7),
+        "daily_orders": (sources.daily_orders(spark, sf_dir), 7),
+        "by_type": (sources.by_type(spark, sf_dir), 24),
+        "by_user": (sources.by_user(spark, sf_dir), 4),
+        "doc_len": (sources.doc_lengths(spark, sf_dir), 24),
+        "page_len": (sources.page_lengths(spark, sf_dir), 24),
+        "turn_len": (sources.turn_lengths(spark, sf_dir), 2),
+        "embeddings": (vectors.select("series_id", (F.col("start") * 64 + F.col("i")).cast("bigint").alias("pos"), "x"), 64),
+    }
+
+
+def x15(spark: SparkSession, sf_dir: str, methods: Sequence[str] = OURS) -> DataFrame:
+    """Natural columns without injected anomalies: series, points, windows, windows without an active pattern, drift events
+    and mean score of both modes.  Series too short for one subsequence have points and no windows."""
+    from seqnorm.operators import detect
+
+    out = None
+    for name, (df, ell) in natural(spark, sf_dir).items():
+        p, df = Params(ell=ell), df.filter("x is not null")
+        sizes = df.groupBy("series_id").agg(F.count(F.lit(1)).alias("n")).agg(F.count(F.lit(1)).alias("series"), F.sum("n").alias("points"))
+        parts = [(m, detect.offline(df, p) if m == "offline" else detect.online(df, p)) for m in methods]
+        rows = [sizes.select(F.lit("data").alias("method"), F.create_map(F.lit("series"), F.col("series").cast("double"), F.lit("points"), F.col("points").cast("double")).alias("m"))]
+        for method, found in parts:
+            scored_ = F.col("event").isNull()
+            total = found.agg(
+                F.count_if(scored_).cast("double").alias("windows"), F.count_if(scored_ & F.col("no_active")).cast("double").alias("no_active"),
+                F.count_if(~scored_).cast("double").alias("events"), F.avg(F.when(scored_, F.col("score"))).alias("mean_score"),
+            )
+            rows.append(total.select(F.lit(method).alias("method"), F.create_map(*[c for n in total.columns for c in (F.lit(n), F.col(n))]).alias("m")))
+        for r in rows:
+            one = r.select(F.lit(name).alias("setting"), "method", F.explode("m").alias("metric", "value"))
+            out = one if out is None else out.unionByName(one)
+    return out
+
+
 def ablations(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Parts of the method turned off one at a time."""
     n = _n(spark, sf_dir)
     df = inject.scale(heart(spark, sf_dir, inject.abrupt(inject.cuts(n, 5, 1), 4)), 0.05)
     p = Params()
-    kinds = {"full": p, "without_time": replace(p, contiguous=False), "without_repair": replace(p, repair=False), "k=5": replace(p, k=5), "z_norm": replace(p, distance="zn"), "weighted": replace(p, weighted=True), "frozen": replace(p, births=False), "all_active": replace(p, all_active=True)}
+    kinds = {"full": p, "without_time": replace(p, contiguous=False), "without_repair": replace(p, repair=False), "k=5": replace(p, k=5), "z_norm": replace(p, distance="zn"), "weighted": replace(p, weighted=True), "lazy": replace(p, scan="lazy"), "frozen": replace(p, births=False), "all_active": replace(p, all_active=True)}
     return run(dict.fromkeys(kinds, df), kinds, ("online",))

@@ -35,6 +35,10 @@ def test_distances():
     pattern = np.r_[b, a]
     many = RNG.normal(size=(2, 300, 24))
     assert D.dtw_rows(*many) == pytest.approx([D.dtw(x, y) for x, y in zip(*many)])
+    for kind, fn in (("sbd", D.sbd), ("dtw", D.dtw)):
+        some = np.vstack([many[0][:5], np.zeros(24)])
+        table = D.placements(some, np.r_[a, np.zeros(24), b], kind)
+        assert table == pytest.approx(np.array([[fn(w, q) for q in D.sliding(np.r_[a, np.zeros(24), b], 24)] for w in some]))
     best, at = D.min_place(pattern, a)
     assert at == 24 and best == pytest.approx(0, abs=1e-6)
     assert all(best <= D.zm(pattern[o : o + 24], a) + 1e-9 for o in range(25))
@@ -174,6 +178,36 @@ def test_stream_loop_equals_epochs():
     assert list(live.push(5, 1.0)) == [] and live.late == 1
 
 
+@pytest.mark.parametrize("more", [dict(delta=120), dict(scan="lazy"), dict(scan="lazy", delta=120), dict(warmup="hold"), dict(relearn_mult=2.0)])
+def test_stream_with_options_equals_batch(more):
+    x, p = carrier(4000), Params(**more)
+    live = LiveSeries(p, 800)
+    rows = [r for i, v in enumerate(x) for r in live.push(i, float(v))]
+    assert sum(r[4] is None for r in rows) == len(x) - 49 - p.delta  # held back until the delay has passed
+    rows += live.flush()
+    found = detect_series(x, fit_series(x[:800], p), p)
+    told = [r for r in rows if r[4] is None]
+    assert np.allclose([r[1] for r in told], found.score, atol=1e-6)
+    assert [r[3] for r in told] == found.no_active.tolist()
+    assert sorted((r[0], r[4], r[5]) for r in rows if r[4]) == events_of(found)
+
+
+def test_lazy_scan_against_window_by_window():
+    """A literal loop over full memberships: inactive patterns count only where no active one is left."""
+    x, p = carrier(8000, births=False), Params(births=False)
+    model = fit_series(x[:3000], p)
+    everything, lazy = detect_series(x, model, p), detect_series(x, model, Params(births=False, scan="lazy"))
+    m, alive = len(model.patterns), set(range(len(model.patterns)))
+    frequent = np.stack([activity(D.phi(everything.dist[:, q], model.patterns[q].tau, 1 / model.patterns[q].tau), model.patterns[q].freq, model.win, p)[1] for q in range(m)], 1)
+    for j in range(len(everything.score)):
+        alive = {q for q in alive if frequent[j, q]} or {q for q in range(m) if frequent[j, q]}
+        assert alive == set(np.flatnonzero(lazy.active[j]))
+        looked = sorted(alive) or range(m)
+        q = min(looked, key=lambda q: (everything.dist[j, q], q))
+        assert lazy.nearest[j] == q and lazy.score[j] == pytest.approx(everything.dist[max(0, j - 50) : j + 1, q].min(), abs=1e-6)
+    assert lazy.evaluations < everything.evaluations
+
+
 def test_activity_and_scores():
     phi = np.r_[np.ones(50), np.zeros(50)]
     avg, on = activity(phi, 0.5, 9, Params())

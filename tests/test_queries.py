@@ -18,6 +18,7 @@ SOME = (
     " active_flags_trained drift_events_hourly score_trailing_min score_offline_nearest_time label_radius alarms_per_series admit_both auc_carrier roc_points"
     " dist_dtw_small ca_ward_norepair_daily ca_rounds_daily anom_dissim op_agg_stats label_quantile auc_binned stability auc_doc_toxic gapfill_orders_ffill"
     " inj_gradual inj_place_rayleigh by_region op_asof_nearest op_range_join op_islands op_session stream_hourly"
+    " gapfill_hourly_linear stream_detect_equals_batch stream_late_count"
 ).split()
 
 
