@@ -3,15 +3,16 @@
 Headers are shuffled by payload digest, repeats are joined to the first record of their payload, and the archives
 are written anew: one response per payload, revisits that refer to it by record id, address and date.  Archives are read
 a record at a time, by their Content-Length, so that a payload may hold anything; a file may be one gzip member or have
-one for each record, as is usual, or be plain.
+one for each record, as is usual, or be plain.  Gzip files come to a task in pieces, so that their size doesn't matter.
 """
 
 from __future__ import annotations
 
 import hashlib
 import re
-import uuid
 from collections.abc import Iterator
+from itertools import groupby
+from operator import itemgetter
 
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
@@ -85,6 +86,7 @@ def write_archives(pages: DataFrame, path: str, records_per_file: int = RECORDS_
     pages.select(to_records(pages)).write.option("maxRecordsPerFile", records_per_file).option("compression", "gzip").text(path)
 
 
+_BLANK = b"\r\n\r\n"
 _HEADER = re.compile(rb"([\w-]+):[ \t]*([^\r\n]*)\r\n")
 
 
@@ -144,9 +146,14 @@ def read_archives(spark, path: str, payloads: bool = False, pattern: str = "*.gz
     """A row per response, resource or revisit record of the archives under path, their own or foreign ones: digests and
     sizes are those of the bytes read, for revisits the header's digest; refers_to is the record id that a revisit names.
 
-    page_id is null in archives that were not written here.  An HTTP response's own header isn't part of its payload."""
+    Files whose pattern ends in .gz come in pieces, others whole.  page_id is null in archives that were not written here.  An HTTP response's own header isn't part of its payload."""
     ship(spark)
-    files = spark.read.format("binaryFile").option("pathGlobFilter", pattern).load(path).select("content")
+    whole = not pattern.endswith(".gz")
+    if whole:
+        files = spark.read.format("binaryFile").option("pathGlobFilter", pattern).load(path).select("content", F.xxhash64("path").alias("file"))
+    else:  # no reader splits a gzip file, so one task has its pieces in their order
+        text = spark.read.option("lineSep", _BLANK.decode()).option("pathGlobFilter", pattern).text(path)
+        files = text.select(F.col("value").cast("binary"), F.xxhash64(text.metadataColumn("_metadata")["file_path"]).alias("file"))
     kinds = [pa.int64(), pa.string(), pa.string(), pa.string(), pa.string(), pa.int64(), pa.string(), pa.string(), pa.binary()]
     names = ["page_id", "record_id", "record_type", "url", "digest", "payload_bytes", "refers_to", "refers_url", "payload"]
     told = lambda h, name: h[name].decode("utf-8", "replace") if name in h else None
@@ -160,18 +167,18 @@ def read_archives(spark, path: str, payloads: bool = False, pattern: str = "*.gz
         return (int(page) if page != b"-" else None, told(h, b"warc-record-id"), "response" if own else kind, told(h, b"warc-target-uri"), digest, len(block) if own else None, told(h, b"warc-refers-to"), told(h, b"warc-refers-to-target-uri"), block if own and payloads else None)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            for content in batch.column(0):
-                out, size = [], 0
-                for h, block in parse(unpacked(content.as_py())):
-                    if h[b"warc-type"] in (b"response", b"resource", b"revisit"):
-                        out.append(row(h, block))
-                        size += len(block) * payloads
-                    if len(out) >= 2000 or size > 1 << 25:
-                        yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*out), kinds)], names=names)
-                        out, size = [], 0
-                if out:
+        pieces = ((file, piece.as_py()) for batch in batches for piece, file in zip(batch.column(0), batch.column(1).to_pylist()))
+        out, size = [], 0
+        for _, mine in groupby(pieces, itemgetter(0)):
+            for h, block in parse(unpacked(next(mine)[1]) if whole else (piece + _BLANK for _, piece in mine)):
+                if h[b"warc-type"] in (b"response", b"resource", b"revisit"):
+                    out.append(row(h, block))
+                    size += len(block) * payloads
+                if len(out) >= 2000 or size > 1 << 25:
                     yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*out), kinds)], names=names)
+                    out, size = [], 0
+        if out:
+            yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*out), kinds)], names=names)
 
     return files.mapInArrow(run, READ)
 
@@ -203,7 +210,7 @@ def deduplicated_archives(pages: DataFrame, path: str | None = None, key: str =
     Null html is an empty payload, which like all short ones is a response of its own.  A null key never is the
     record that others refer to.  Repeated rows with the smallest key of their payload are all responses, so there are no
     ties.  An empty table gives archives without records.  Other columns are not read.  A file has up to
-    RECORDS_PER_FILE records whatever their bytes: pages of more than half a megabyte on average want fewer."""
+    RECORDS_PER_FILE records whatever their bytes; very long pages make large files, which are read in pieces."""
     path = path or scratch(pages.sparkSession, "warc")
     payload = F.coalesce(F.col(html).cast("string"), F.lit(""))
     rows = pages.select(F.col(key).cast("bigint").alias("page_id"), F.col(url).cast("string").alias("url"), payload.alias("html"))

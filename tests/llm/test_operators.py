@@ -469,6 +469,27 @@ def test_warc_of_others(spark, tmp_path):
         list(warc_revisit.parse([records[0][:-3]]))
 
 
+def test_warc_pieces_keep_every_byte(spark, tmp_path):
+    """Payloads full of line ends, and bytes that are no UTF-8, through files of several gzip members read in pieces."""
+    import gzip
+    import random
+
+    rng, want = random.Random(3), {}
+    for name in ("a", "b", "c"):
+        members = []
+        for k in range(40):
+            alphabet = (b"\r\n", b"\r\nx", b"\r\n\xff\x00")[k % 3]
+            block = bytes(rng.choice(alphabet) for _ in range(rng.choice((0, 1, 4, 5, 3000, 70_000))))
+            want[f"<urn:{name}{k}>"] = block
+            members.append(f"WARC/1.1\r\nWARC-Type: resource\r\nWARC-Record-ID: <urn:{name}{k}>\r\nContent-Length: {len(block)}\r\n\r\n".encode() + block + b"\r\n\r\n")
+        (tmp_path / f"{name}.warc.gz").write_bytes(b"".join(map(gzip.compress, members)) if name < "c" else gzip.compress(b"".join(members)))
+    got = {r.record_id: bytes(r.payload) for r in warc_revisit.read_archives(spark, str(tmp_path), True).collect()}
+    assert got == want
+    pages = spark.createDataFrame([(k, f"u{k}", b.decode("latin-1")) for k, b in enumerate(want.values())], "page_id long, url string, html string")
+    found = {r.page_id: r.digest for r in warc_revisit.read_archives(spark, warc_revisit.deduplicated_archives(pages)).collect()}
+    assert found == {k: hashlib.sha256(b.decode("latin-1").encode()).hexdigest() for k, b in enumerate(want.values())}
+
+
 def test_warc_headers_name_the_response(spark):
     body = "y" * 150
     df = spark.createDataFrame([(1, "http://a/ b", body), (2, None, body), (3, "http://c/", "é" * 400_000), (4, None, "é" * 400_000)], "page_id long, url string, html string")
