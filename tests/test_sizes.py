@@ -57,3 +57,16 @@ def test_joins_look_their_place_up_and_not_through_all():
         a.live = Counted(a.live)
         f = a.run()
         assert not seen and len(f.roots()) == 1 and len(f.roots()[0].members) == 300
+
+
+def test_batches_in_tasks_of_their_own_score_as_the_series_does(spark):
+    from pyspark.sql import functions as F
+
+    from seqnorm.baselines import detectors, kernels
+
+    x = wave(4630)
+    pts = spark.createDataFrame([("s", i, float(v)) for i, v in enumerate(x)], "series_id string, pos bigint, x double")
+    got = detectors.batch_shape(pts, 50, batch=1000).orderBy("start").toPandas()
+    assert got["start"].tolist() == list(range(len(x) - 49)) and np.allclose(got["score"], kernels.batch_shape(x, 50, batch=1000), atol=1e-6)
+    tasks = detectors.batch_shape(pts, 50, batch=1000).groupBy(F.spark_partition_id()).count().count()
+    assert tasks > 1  # one task for the whole series before
