@@ -70,3 +70,19 @@ def test_batches_in_tasks_of_their_own_score_as_the_series_does(spark):
     assert got["start"].tolist() == list(range(len(x) - 49)) and np.allclose(got["score"], kernels.batch_shape(x, 50, batch=1000), atol=1e-6)
     tasks = detectors.batch_shape(pts, 50, batch=1000).groupBy(F.spark_partition_id()).count().count()
     assert tasks > 1  # one task for the whole series before
+
+
+@pytest.mark.parametrize("name", "dissim_matrix op_cross_pivot op_range_join chain_cut_toy".split())
+def test_what_was_made_up_comes_from_a_given_table(spark, name):
+    import duckdb
+
+    from seqnorm import catalog
+
+    from test_queries import SF, same
+
+    con = duckdb.connect()
+    for table in "events lineitem orders".split():
+        con.execute(f"create view {table} as select * from '{SF}/{table}.parquet'")
+    found = catalog.queries()[name](spark, SF)
+    assert found.inputFiles()
+    same(found.toPandas(), con.execute(catalog.oracle_sql()[name]).df())
