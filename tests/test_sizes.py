@@ -86,3 +86,17 @@ def test_what_was_made_up_comes_from_a_given_table(spark, name):
     found = catalog.queries()[name](spark, SF)
     assert found.inputFiles()
     same(found.toPandas(), con.execute(catalog.oracle_sql()[name]).df())
+
+
+def test_cut_rules_are_those_of_the_branches_of_line_items(spark):
+    import duckdb
+
+    from seqnorm import catalog
+
+    from test_queries import SF, same
+
+    con = duckdb.connect()
+    con.execute(f"create view lineitem as select * from '{SF}/lineitem.parquet'")
+    found = catalog.cut_toy_rules(spark, SF)
+    assert found.inputFiles()  # the branches were made up before
+    same(found.toPandas(), con.execute(catalog.oracle_sql()["cut_toy_rules"]).df())
