@@ -100,3 +100,34 @@ def test_cut_rules_are_those_of_the_branches_of_line_items(spark):
     found = catalog.cut_toy_rules(spark, SF)
     assert found.inputFiles()  # the branches were made up before
     same(found.toPandas(), con.execute(catalog.oracle_sql()["cut_toy_rules"]).df())
+
+
+@pytest.mark.parametrize("how", [{}, {"delta": 400}, {"warmup": "hold"}, {"distance": "zn"}, {"max_patterns": 2}, {"scan": "lazy"}])
+def test_a_stream_is_scored_in_stretches_however_its_points_are_dealt(how, monkeypatch):
+    from seqnorm.streaming import detector
+
+    x, p, found, looks = wave(6000), Params(**how), [], []
+    look = detector.LiveSeries._bring
+    monkeypatch.setattr(detector.LiveSeries, "_bring", lambda self, i, *a: looks.append(i) or look(self, i, *a))
+    for cuts in ([6000], [7, 1190, 2100, 2101, 6000]):
+        live, rows, lo = detector.LiveSeries(p, 1200, 1500), [], 0
+        for hi in cuts:
+            for f in live.push_all(np.arange(lo, hi), x[lo:hi]):
+                rows += detector._tuples(f)
+            lo = hi
+        found.append(rows + list(live.flush()))
+    assert how.get("scan") or len(looks) < len(x) / 10  # once for each window and pattern before
+    a, b = found
+    assert len(a) == len(b) and all(u[0] == v[0] and u[2:] == v[2:] and u[1] == pytest.approx(v[1], abs=1e-9) for u, v in zip(a, b))
+    whole = detect_series(x, fit_series(x[:1200], p), p)
+    scores = [r for r in a if r[4] is None]
+    assert np.allclose([r[1] for r in scores], whole.score, atol=1e-7) and [r[2] for r in scores] == whole.nearest.tolist()
+    assert [(r[0], r[5]) for r in a if r[4] == "born"] == whole.births
+
+
+def test_online_scores_without_events_are_those_with_them(spark):
+    from seqnorm.operators import detect
+
+    pts = spark.createDataFrame([("s", i, float(v)) for i, v in enumerate(wave(4000))], "series_id string, pos bigint, x double")
+    lean, full = detect.online(pts, events=False).toPandas(), detect.scores(detect.online(pts)).toPandas()
+    assert lean["event"].isna().all() and len(lean) == len(full) and np.allclose(lean.sort_values("start")["score"], full.sort_values("start")["score"])
