@@ -131,3 +131,21 @@ def test_online_scores_without_events_are_those_with_them(spark):
     pts = spark.createDataFrame([("s", i, float(v)) for i, v in enumerate(wave(4000))], "series_id string, pos bigint, x double")
     lean, full = detect.online(pts, events=False).toPandas(), detect.scores(detect.online(pts)).toPandas()
     assert lean["event"].isna().all() and len(lean) == len(full) and np.allclose(lean.sort_values("start")["score"], full.sort_values("start")["score"])
+
+
+def test_discords_hold_the_points_and_not_their_windows():
+    import tracemalloc
+
+    from seqnorm.baselines import kernels
+    from seqnorm.functions import distance as D
+
+    x = np.r_[wave(3000) + 1e4, np.full(200, 1e4), wave(800, 1) + 1e4]  # far from zero, with flat windows
+    ready = D.prepare(D.sliding(x, 50), "zn")
+    plain = [0.0 if j < 200 else float(np.sqrt(((ready[: j - 49] - ready[j]) ** 2).sum(1).min())) for j in range(len(ready))]
+    assert np.allclose(kernels.backward_discord(x, 50, prune=False), plain, atol=1e-5)
+    x = wave(60000)
+    tracemalloc.start()
+    kernels.backward_discord(x, 50)
+    peak = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    assert peak < len(x) * 50 * 8  # all windows were held, more than once, before
