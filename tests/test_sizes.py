@@ -149,3 +149,27 @@ def test_discords_hold_the_points_and_not_their_windows():
     peak = tracemalloc.get_traced_memory()[1]
     tracemalloc.stop()
     assert peak < len(x) * 50 * 8  # all windows were held, more than once, before
+
+
+def test_a_transformer_scores_blocks_in_tasks_of_their_own(spark):
+    from pyspark.sql import functions as F
+
+    from seqnorm.baselines import detectors, kernels
+
+    x = wave(3010)
+    rows = [("s", i, float(v)) for i, v in enumerate(x)] + [("short", i, float(i)) for i in range(50)] + [("none", 0, 1.0)]
+    pts = spark.createDataFrame(rows, "series_id string, pos bigint, x double")
+    found = detectors.transformer(pts, 50, block=500)
+    got = found.orderBy("series_id", "start").toPandas()
+    long, short = got[got["series_id"] == "s"], got[got["series_id"] == "short"]
+    assert long["start"].tolist() == list(range(len(x) - 49)) and np.allclose(long["score"], kernels.transformer_score(x, 50), rtol=1e-4)
+    assert short["score"].tolist() == [0.0] and "none" not in set(got["series_id"])
+    assert found.filter("series_id = 's'").groupBy(F.spark_partition_id()).count().count() > 1  # one task before
+
+
+def test_single_precision_scores_as_double_does():
+    from seqnorm.baselines import kernels
+
+    x = wave(3000)
+    single, double = (kernels.transformer_errors(x, 50, *kernels.transformer_fit(x[:1000], 50, dtype=t)) for t in (np.float32, np.float64))
+    assert np.allclose(single, double, rtol=1e-2) and np.corrcoef(single, double)[0, 1] > 0.9999
