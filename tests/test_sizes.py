@@ -173,3 +173,23 @@ def test_single_precision_scores_as_double_does():
     x = wave(3000)
     single, double = (kernels.transformer_errors(x, 50, *kernels.transformer_fit(x[:1000], 50, dtype=t)) for t in (np.float32, np.float64))
     assert np.allclose(single, double, rtol=1e-2) and np.corrcoef(single, double)[0, 1] > 0.9999
+
+
+def test_links_are_worked_out_once_and_contiguous_members_hold_no_memory(monkeypatch):
+    rows, seen = np.random.default_rng(2).normal(size=(150, 8)).cumsum(0), []
+    real = contig.Agglomeration.distance
+    monkeypatch.setattr(contig.Agglomeration, "distance", lambda self, a, b: seen.append((a, b)) or real(self, a, b))
+    f = contig.Agglomeration(rows, k=20, repair=False).run()
+    assert len(seen) < 2 * len(set(seen))  # every pair around a join was worked out anew before
+    f = contig.Agglomeration(rows).run()
+    assert all(isinstance(x.held, range) for x in f.nodes) and f.roots()[0].members == tuple(range(150))
+
+
+def test_joins_without_time_need_no_list_of_all_pairs():
+    from seqnorm.operators import living
+
+    rows = wave(20000).reshape(-1, 100)
+    f, found = contig.cluster(rows, k=len(rows), repair=False)
+    free = contig.free_forest(rows)
+    assert contig.branch_cut(free) == found == living.tree_without_time(rows, Params())
+    assert np.allclose([free.nodes[j].height for j in free.order], [f.nodes[j].height for j in f.order])
