@@ -193,3 +193,44 @@ def test_joins_without_time_need_no_list_of_all_pairs():
     free = contig.free_forest(rows)
     assert contig.branch_cut(free) == found == living.tree_without_time(rows, Params())
     assert np.allclose([free.nodes[j].height for j in free.order], [f.nodes[j].height for j in f.order])
+
+
+def test_points_are_packed_and_come_back_in_order_whatever_the_batches():
+    rng = np.random.default_rng(4)
+    rows = [(s, n, p, 10.0 * p + s, p % 3 - 1 if p % 7 else None) for s in (0, 1) for n in "ab" for p in range(0, 40, 1 + s)]
+    rows = [rows[i] for i in rng.permutation(len(rows))]
+    kinds = (pa.int32(), pa.string(), pa.int64(), pa.float64(), pa.int8())
+    whole = pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows), kinds)], ["s", "series_id", "pos", "x", "y"])
+    for size in (1, 7, len(rows)):
+        packed = pa.Table.from_batches(workloads._pack(whole.slice(i, size) for i in range(0, len(rows), size)))
+        assert packed.num_rows <= 4 * -(-len(rows) // size)
+        packed = packed.rename_columns(["g", *packed.column_names[1:]]).sort_by([(c, "ascending") for c in ("g", "series_id", "lo")])
+        got = list(workloads._groups(workloads._unpack(packed.to_batches(max_chunksize=3))))
+        assert [g[:2] for g in got] == [(0, "a"), (0, "b"), (1, "a"), (1, "b")]
+        for s, n, x, y in got:
+            want = sorted(r[2:] for r in rows if r[:2] == (s, n))
+            assert x.tolist() == [r[1] for r in want] and np.array_equal(y.astype(float), [np.nan if r[2] is None else r[2] for r in want], equal_nan=True)
+    assert [b.num_rows for b in workloads._pack([whole.slice(0, 0)])] == [0]
+
+
+def test_offline_scores_hold_little_beyond_the_points():
+    import tracemalloc
+
+    x, p = wave(300000), Params(r_min=0.5)
+    tracemalloc.start()
+    found = offline_series(x, p, keep=False)
+    peak = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    assert peak < 8 * x.nbytes  # more than that before
+    cut = offline_series(x, p, keep=False, step=1000)
+    assert np.allclose(found.score, cut.score, atol=1e-9) and found.evaluations == cut.evaluations
+
+
+def test_presence_in_stretches_is_that_of_the_whole():
+    from seqnorm.operators.living import presence_of
+
+    phi = np.random.default_rng(1).random(5000)
+    for mode in ("overlap", "majority", "contain"):
+        for members in ([3, 9], [10], [400]):
+            whole = presence_of(phi, members, 300, 100, 50, mode, 40)
+            assert whole == pytest.approx(presence_of(np.split(phi, [400, 900, 2500]), members, 300, 100, 50, mode, 40), abs=1e-12)
