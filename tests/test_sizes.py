@@ -234,3 +234,33 @@ def test_presence_in_stretches_is_that_of_the_whole():
         for members in ([3, 9], [10], [400]):
             whole = presence_of(phi, members, 300, 100, 50, mode, 40)
             assert whole == pytest.approx(presence_of(np.split(phi, [400, 900, 2500]), members, 300, 100, 50, mode, 40), abs=1e-12)
+
+
+def test_groups_with_the_most_work_come_first_and_in_partitions_of_their_own(spark):
+    from pyspark.sql import functions as F
+
+    assert workloads.places([("zm", "offline"), ("zm", "transformer"), ("dtw", "offline"), ("zm", "batch_shape"), ("dtw", "online")]) == [4, 2, 1, 3, 0]
+    rows = [("a", n, i, float(v), i % 9 == 0) for n in ("s", "t") for i, v in enumerate(wave(700))]
+    frame = spark.createDataFrame(rows, "setting string, series_id string, pos bigint, x double, y_true boolean")
+    got = workloads.scored(frame, {"a": Params()}, ("offline", "discord", "online"))
+    at = got.select("method", F.spark_partition_id().alias("p")).distinct().toPandas().groupby("method")["p"].agg(["min", "max"])
+    assert at["max"]["online"] < at["min"]["discord"] and at["max"]["discord"] < at["min"]["offline"]  # by hash before
+
+
+def test_shape_distances_need_no_transforms_and_training_no_large_arrays(monkeypatch):
+    from seqnorm.baselines import kernels
+    from seqnorm.functions import distance as D
+
+    rows, sizes = D.prepare(D.sliding(wave(900), 100), "zn"), []
+    full = [[np.correlate(r, rows[7], "full")] for r in rows]
+    with monkeypatch.context() as m:
+        m.setattr(np.fft, "irfft", lambda *a, **k: pytest.fail("rows were transformed"))
+        d, shift = kernels.shape_distances(rows, rows[7])
+        kernels.k_shape(rows, 3)
+    assert np.allclose(d, [1 - f[0].max() / 100 for f in full]) and shift.tolist() == [int(f[0].argmax()) - 99 for f in full]
+    real = kernels.Transformer.passes
+    monkeypatch.setattr(kernels.Transformer, "passes", lambda self, x: sizes.append(len(x)) or real(self, x))
+    parts = kernels.transformer_fit(wave(400), 50)[0].p
+    assert max(sizes) == kernels.PART  # 64 before
+    monkeypatch.setattr(kernels, "PART", 64)
+    assert all(np.allclose(v, parts[k], atol=1e-3) for k, v in kernels.transformer_fit(wave(400), 50)[0].p.items())
