@@ -264,3 +264,32 @@ def test_shape_distances_need_no_transforms_and_training_no_large_arrays(monkeyp
     assert max(sizes) == kernels.PART  # 64 before
     monkeypatch.setattr(kernels, "PART", 64)
     assert all(np.allclose(v, parts[k], atol=1e-3) for k, v in kernels.transformer_fit(wave(400), 50)[0].p.items())
+
+
+@pytest.mark.parametrize("ell", [1, 2, 3, 20, 50])
+def test_warping_tries_no_piece_that_its_ends_rule_out(ell, monkeypatch):
+    from seqnorm.functions import distance as D
+
+    x, tried = wave(1200), []
+    x[600:700] *= 2.5
+    windows, pieces = D.sliding(x, ell)[::7], D.sliding(x[50:150], ell)
+    table = D.dtw_table(windows, pieces)
+    real = D.dtw_rows
+    monkeypatch.setattr(D, "dtw_rows", lambda a, b, *r: tried.append(len(a)) or real(a, b, *r))
+    assert np.allclose(D.profile(x, x[50:150], ell, "dtw")[::7], table.min(1), atol=1e-9)
+    tried.clear()
+    assert np.allclose(D.dtw_least(windows, pieces), table.min(1), atol=1e-9)
+    assert ell < 20 or sum(tried) < 0.75 * table.size  # all of them before
+
+
+@pytest.mark.parametrize("ell", [1, 2, 3, 20, 50])
+def test_shape_based_profiles_try_no_shift_that_its_overlap_rules_out(ell, monkeypatch):
+    from seqnorm.functions import distance as D
+
+    x = wave(1200)
+    x[600:700], x[800:880], x[1000:1100] = x[600:700] * 2.5, 3.0, np.random.default_rng(3).normal(size=100)
+    for pattern in (x[50:150], np.r_[x[50:150], np.full(60, 2.0)]):
+        table = D.sbd_table(D.sliding(x, ell), D.sliding(pattern, ell))
+        assert np.allclose(D.profile(x, pattern, ell, "sbd"), table.min(1), atol=1e-9)
+    monkeypatch.setattr(D, "sbd_table", lambda *a: pytest.fail("all shifts of all pieces were tried"))
+    assert ell < 20 or len(D.profile(x[:500], x[50:150], ell, "sbd")) == 501 - ell
