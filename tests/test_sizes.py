@@ -293,3 +293,21 @@ def test_shape_based_profiles_try_no_shift_that_its_overlap_rules_out(ell, monke
         assert np.allclose(D.profile(x, pattern, ell, "sbd"), table.min(1), atol=1e-9)
     monkeypatch.setattr(D, "sbd_table", lambda *a: pytest.fail("all shifts of all pieces were tried"))
     assert ell < 20 or len(D.profile(x[:500], x[50:150], ell, "sbd")) == 501 - ell
+
+
+@pytest.mark.parametrize("block", [4096, 37])
+def test_every_pair_of_vectors_has_a_distance(spark, block, monkeypatch):
+    import duckdb
+
+    from seqnorm import catalog
+
+    from test_queries import SF, same
+
+    monkeypatch.setattr(catalog, "ROW_BLOCK", block)  # few blocks and many
+    con = duckdb.connect()
+    con.execute(f"create view v as select vec_id, embedding::double[] as e, list_avg(embedding::double[]) as m from '{SF}/embeddings.parquet'")
+    asked = "select a.vec_id as a, b.vec_id as b, sqrt(list_sum([((a.e[i] - a.m) - (b.e[i] - b.m)) ** 2 for i in range(1, 65)])) as d from v a join v b on a.vec_id < b.vec_id"
+    got = catalog.queries()["dist_emb_zm_all"](spark, SF).toPandas().sort_values(["a", "b"])
+    want = con.execute(asked).df().sort_values(["a", "b"])
+    same(got[["a", "b"]], want[["a", "b"]])  # every 50th vector as a, before
+    assert len(got) == 500 * 499 // 2 and np.allclose(got["dist"], want["d"], atol=1e-4)
