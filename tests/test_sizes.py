@@ -311,3 +311,15 @@ def test_every_pair_of_vectors_has_a_distance(spark, block, monkeypatch):
     want = con.execute(asked).df().sort_values(["a", "b"])
     same(got[["a", "b"]], want[["a", "b"]])  # every 50th vector as a, before
     assert len(got) == 500 * 499 // 2 and np.allclose(got["dist"], want["d"], atol=1e-4)
+
+
+def test_static_scores_make_windows_ready_once_for_all_shapes(monkeypatch):
+    from seqnorm.baselines import kernels
+    from seqnorm.functions import distance as D
+
+    x, seen, prepare = wave(5000), [], D.prepare
+    shapes, weights = [x[a : a + 100] for a in range(0, 4000, 200)], np.arange(1.0, 21) / 210
+    want = kernels.centred_mean(sum(w * D.profile(x, s, 50, "zn") for s, w in zip(shapes, weights)), 50)
+    monkeypatch.setattr(D, "prepare", lambda v, kind: seen.append(len(v)) or prepare(v, kind))
+    assert np.allclose(kernels.static_score(x, shapes, weights, 50, 700), want, atol=1e-9)
+    assert sum(seen) == len(x) - 49 + 51 * len(shapes)  # all windows for each shape before
