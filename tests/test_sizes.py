@@ -323,3 +323,30 @@ def test_static_scores_make_windows_ready_once_for_all_shapes(monkeypatch):
     monkeypatch.setattr(D, "prepare", lambda v, kind: seen.append(len(v)) or prepare(v, kind))
     assert np.allclose(kernels.static_score(x, shapes, weights, 50, 700), want, atol=1e-9)
     assert sum(seen) == len(x) - 49 + 51 * len(shapes)  # all windows for each shape before
+
+
+@pytest.mark.parametrize("change", [lambda x: x, lambda x: x * 1e6 + 3e7, lambda x: np.where(np.arange(len(x)) % 97 == 0, 1e4, x), lambda x: np.round(x, 1), lambda x: x * 0])
+def test_single_precision_finds_the_piece_and_double_gives_its_distance(change, monkeypatch):
+    from seqnorm.functions import distance as D
+
+    x = change(wave(3000))
+    windows, pieces, double, rows = D.sliding(x[500:1100], 50), D.sliding(wave(1000).reshape(-1, 100).mean(0), 50), [], D.dtw_rows
+    whole = D.dtw_table(np.array(windows), pieces).min(1)
+    monkeypatch.setattr(D, "dtw_rows", lambda a, b, *r: double.append(len(a)) or rows(a, b, *r))
+    assert np.allclose(D.dtw_least(windows, pieces), whole, rtol=1e-12, atol=1e-12 * abs(x).max())
+    if np.allclose(x, wave(3000)):
+        assert sum(double) < 5 * len(windows)  # every piece that its bounds let through, before
+
+
+def test_training_and_births_compare_many_shapes_at_a_time(monkeypatch):
+    from seqnorm.functions import distance as D
+    from seqnorm.operators import living
+
+    rows, one = wave(1000).reshape(-1, 100), {k: D.named(k) for k in ("sbd", "dtw")}
+    for kind, f in one.items():
+        assert np.allclose(D.to_shape(rows, rows[0], kind), [f(r, rows[0]) for r in rows], atol=1e-9)
+        monkeypatch.setitem(D._NAMED, kind, None)  # one pair at a time in Python, before
+    for kind in one:
+        p = Params(distance=kind)
+        model = fit_series(wave(3000), p)
+        assert model.patterns and not living.accept(model.patterns[0], model, p)
